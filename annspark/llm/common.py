@@ -70,9 +70,9 @@ def text_slices(column: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[in
         lo = hi
 
 
-def word_spans(buf: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def word_spans(buf: np.ndarray, offsets: np.ndarray, breaks: np.ndarray = SPACES) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Byte start and end of every word, and for each text the index of its first word (n+1 of them)."""
-    ink = ~SPACES[buf]
+    ink = ~breaks[buf]
     edge = np.zeros(len(buf) + 1, bool)
     edge[offsets] = True
     before = np.empty(len(buf), bool)

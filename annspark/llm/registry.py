@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from . import simhash
+from . import decontaminate, line_dedup, simhash
 
 
 def queries():
     return {
+        "op2_line_spread": line_dedup.query,
         "op6_simhash_components": simhash.query,
+        "op10_benchmark_matches": decontaminate.query,
     }
 
 
 def oracle_sql():
-    return {}
+    return {"op2_line_spread": line_dedup.SQL}
