@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from . import decontaminate, line_dedup, simhash
+from . import decontaminate, language_id, line_dedup, quality, simhash
 
 
 def queries():
     return {
         "op2_line_spread": line_dedup.query,
         "op6_simhash_components": simhash.query,
+        "op7_quality_ftrl": quality.query,
+        "op9_language_families": language_id.query,
         "op10_benchmark_matches": decontaminate.query,
     }
 
