@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import decontaminate, language_id, line_dedup, quality, simhash
+from . import decontaminate, language_id, line_dedup, pii, quality, simhash
 
 
 def queries():
     return {
         "op2_line_spread": line_dedup.query,
+        "op3_pii_crf": pii.query,
         "op6_simhash_components": simhash.query,
         "op7_quality_ftrl": quality.query,
         "op9_language_families": language_id.query,
