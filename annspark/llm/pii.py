@@ -281,7 +281,6 @@ def train(rows: list[tuple[str, list[str]]], rounds: int = 120, rate: float = 0.
             backward[:, t] = np.where(there[:, t + 1, None], step, 0)
         total = _logsum(forward[:, -1], 1)
         marginal = np.exp(forward + backward - total[:, None, None])
-        pull = one_hot - 0
         expected = np.zeros_like(one_hot)
         expected[column[there]] = marginal[there]
         pull = one_hot - expected
@@ -405,5 +404,8 @@ def query(spark, sf_dir):
     def written(column):
         return F.array_join(F.transform(column, lambda s: F.concat_ws(":", s["kind"], s["start"], s["end"])), ",")
 
-    counts = [F.size(F.filter("base", lambda s, k=kind: s["kind"] == k)).cast("long").alias(f"n_{kind}") for kind in KINDS]
+    def count(kind):
+        return F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+
+    counts = [count(kind) for kind in KINDS]
     return found.select("doc_id", *counts, F.sha2(written("base"), 256).alias("base_sha256"), written("spans").alias("spans"))
