@@ -111,11 +111,14 @@ class Hashes:
             yield t, row, order[row, rank] + t * base ** each.shape[1]
 
 
-def _chunks(counts: dict[int, int], size: int) -> dict[int, tuple[int, int]]:
-    """First chunk and number of chunks of each bucket: small ones share, large ones get several."""
-    out, at, room = {}, 0, size
+def _chunks(counts: dict[int, int], size: int, per_table: int) -> dict[int, tuple[int, int]]:
+    """First chunk and number of chunks of each bucket: small ones of a table share, large ones get several."""
+    out, at, room, table_no = {}, 0, size, 0
     for bucket in sorted(counts):
         n = counts[bucket]
+        if bucket // per_table != table_no:
+            # a chunk holds an id once, so it holds one table
+            at, room, table_no = at + (room < size), size, bucket // per_table
         if n > size:
             at += room < size
             parts = -(-n // size)
@@ -195,7 +198,7 @@ def search(base: DataFrame, queries: DataFrame, k: int = 5, target: float = TARG
     indexed = base.mapInArrow(hashed, "id long, v array<double>, buckets array<long>").withColumn("bucket", F.explode("buckets"))
     # at most tables * cells ** projections rows
     counts = {r[0]: r[1] for r in indexed.groupBy("bucket").count().collect()}
-    placed = spark.sparkContext.broadcast(_chunks(counts, chunk))
+    placed = spark.sparkContext.broadcast(_chunks(counts, chunk, cells**projections))
 
     def dealt(batches):
         for batch in batches:

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import decontaminate, language_id, line_dedup, mixing, pii, quality, simhash
+from . import ann, decontaminate, language_id, line_dedup, mixing, pii, quality, simhash
 
 
 def queries():
     return {
         "op2_line_spread": line_dedup.query,
         "op3_pii_crf": pii.query,
+        "op4_multiprobe_neighbours": ann.query,
         "op5_mixed_sources": mixing.query,
         "op6_simhash_components": simhash.query,
         "op7_quality_ftrl": quality.query,
