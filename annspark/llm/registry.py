@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import ann, decontaminate, language_id, line_dedup, mixing, pii, quality, simhash
+from . import ann, decontaminate, language_id, line_dedup, mixing, pii, quality, simhash, url_filter
 
 
 def queries():
@@ -13,10 +13,11 @@ def queries():
         "op5_mixed_sources": mixing.query,
         "op6_simhash_components": simhash.query,
         "op7_quality_ftrl": quality.query,
+        "op8_url_ratio": url_filter.query,
         "op9_language_families": language_id.query,
         "op10_benchmark_matches": decontaminate.query,
     }
 
 
 def oracle_sql():
-    return {"op2_line_spread": line_dedup.SQL}
+    return {"op2_line_spread": line_dedup.SQL, "op8_url_ratio": url_filter.SQL}
