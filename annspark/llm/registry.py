@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import ann, decontaminate, language_id, line_dedup, mixing, pii, quality, simhash, url_filter
+from . import ann, decontaminate, language_id, line_dedup, mixing, pii, quality, simhash, tool_calls, url_filter
 
 
 def queries():
     return {
+        "op1_linked_tool_calls": tool_calls.query,
         "op2_line_spread": line_dedup.query,
         "op3_pii_crf": pii.query,
         "op4_multiprobe_neighbours": ann.query,
@@ -20,4 +21,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op2_line_spread": line_dedup.SQL, "op8_url_ratio": url_filter.SQL}
+    return {"op1_linked_tool_calls": tool_calls.SQL, "op2_line_spread": line_dedup.SQL, "op8_url_ratio": url_filter.SQL}
