@@ -1,15 +1,442 @@
-"""The registered queries of the vector-search engine and their SQL oracles."""
+"""The registered queries of the vector-search engine and their SQL oracles.
+
+Integers are longs and real numbers are rounded, so that both engines print the same.
+"""
 
 from __future__ import annotations
 
+import os
+from functools import cache
+
+import numpy as np
+from pyspark.sql import DataFrame, Window
+from pyspark.sql import functions as F
+
+from .operators import activation, allocate, exact, imi, linalg, metrics, scoring, select, theory, transform, weights
+from .oracles.pipeline import KNN, Pipeline
+from .params import Params, preset
+from .plans import index as indexes
+from .plans import search
+from .sources.vectors import fixture
+from .sources.work import materialise
+
+#: The settings of the oracles: small enough for whole pipelines in one statement.
+TINY = {"ns": 8, "s": 8, "cells": 64, "t": 3, "alpha": 0.1, "beta": 0.1, "k": 10}
+TINY_ADAPTIVE = TINY | {"ns": 6}
+ORACLE_DIR = "/root/testdata/sf0.01"
+_kept: dict = {}
+
+
+def kept(spark, key, make):
+    """What several queries of one session share: made once."""
+    key = (spark.sparkContext.applicationId, *key)
+    if key not in _kept:
+        _kept[key] = make()
+    return _kept[key]
+
+
+def _index(spark, sf_dir, table="embeddings", **params) -> indexes.Index:
+    p = Params(**params)
+    return kept(spark, ("index", sf_dir, table, p), lambda: indexes.create(fixture(spark, sf_dir, table)[0], p))
+
+
+def _agnostic(spark, sf_dir, **changes):
+    return _index(spark, sf_dir, **(TINY | {"space": "agnostic"} | changes))
+
+
+def _truth(spark, sf_dir, table="embeddings", k=10) -> DataFrame:
+    return kept(spark, ("truth", sf_dir, table, k), lambda: materialise(exact.knn(*fixture(spark, sf_dir, table), k), "truth"))
+
+
+def _longs(df: DataFrame, places: int = 4) -> DataFrame:
+    kinds = {"int": "long", "smallint": "long", "tinyint": "long"}
+    return df.select(*[F.col(c).cast(kinds[t]).alias(c) if t in kinds else F.round(c, places).alias(c) if t == "double" else F.col(c) for c, t in df.dtypes])
+
+
+def _knn(df: DataFrame) -> DataFrame:
+    return _longs(df.select("qid", "rank", "vec_id", "dist"))
+
+
+def _scorer(spark, sf_dir):
+    base, queries = fixture(spark, sf_dir, "embeddings")
+
+    def make():
+        qids, q = next(exact.query_blocks(queries))
+        space = transform.fit(base, Params(**(TINY | {"space": "agnostic"})))
+        return scoring.exact_scorer(base, qids, q, space, Params(**TINY).collisions(base.count()))
+
+    return base, kept(spark, ("exact scorer", sf_dir), make)
+
+
+def _cells(spark, sf_dir, way="heap", **changes):
+    index = _agnostic(spark, sf_dir, **changes)
+    queries = fixture(spark, sf_dir, "embeddings")[1]
+    return index, activation.activate(queries, index.space, index.books, index.counts, index.params.alpha, way, index.params.cell_distance)
+
+
+def _cell_scorer(spark, sf_dir):
+    def make():
+        index, cells = _cells(spark, sf_dir)
+        qids, q = next(exact.query_blocks(fixture(spark, sf_dir, "embeddings")[1]))
+        return index, scoring.cell_scorer(qids, q, cells, index.params.ns, index.params.side)
+
+    return kept(spark, ("cell scorer", sf_dir), make)
+
+
+# ---- core methods
+
+
+def exact_knn(spark, sf_dir):
+    return _knn(exact.knn(*fixture(spark, sf_dir, "embeddings"), 10))
+
+
+def exact_knn_k1(spark, sf_dir):
+    return _knn(exact.knn(*fixture(spark, sf_dir, "embeddings"), 1))
+
+
+def exact_knn_declared(spark, sf_dir):
+    return _knn(exact.knn(*fixture(spark, sf_dir, "embeddings"), 10, impl="sql"))
+
+
+def radius_search(spark, sf_dir):
+    return _longs(exact.within(*fixture(spark, sf_dir, "embeddings"), 1.15))
+
+
+def ratio_contract(spark, sf_dir):
+    index = _agnostic(spark, sf_dir, selector="cutoff")
+    found = search.query(index, fixture(spark, sf_dir, "embeddings")[1]).neighbours
+    return metrics.ratio_ok(found, _truth(spark, sf_dir), 1.05).groupBy("qid").agg(F.sum(F.col("ok").cast("long")).alias("ranks_ok"))
+
+
+def collision_exact_score(spark, sf_dir):
+    base, scorer = _scorer(spark, sf_dir)
+    return _longs(scoring.score_table(base, scorer))
+
+
+def collisions_declared(spark, sf_dir):
+    base, queries = fixture(spark, sf_dir, "embeddings")
+    space = transform.fit(base, Params(**(TINY | {"space": "agnostic"})))
+    parts, qparts = transform.apply(base, space), transform.apply(queries, space, "qid")
+    return _longs(scoring.score(scoring.exact_collisions_sql(parts, qparts, Params(**TINY).collisions(base.count()))))
+
+
+def score_profile_raw(spark, sf_dir):
+    base, scorer = _scorer(spark, sf_dir)
+    distances = exact.within(*fixture(spark, sf_dir, "embeddings"), float("inf"))
+    return _longs(metrics.profile(scoring.score_table(base, scorer), distances), 6)
+
+
+def collision_scan_knn(spark, sf_dir):
+    return _knn(search.run(*fixture(spark, sf_dir, "embeddings"), preset("collision_scan", **TINY)).neighbours)
+
+
+def _moments(spark, sf_dir, table="embeddings"):
+    return kept(spark, ("moments", sf_dir, table), lambda: linalg.moments(fixture(spark, sf_dir, table)[0]))
+
+
+def moments_mean(spark, sf_dir):
+    found = linalg.moments_frame(spark, _moments(spark, sf_dir))
+    return _longs(found.where("j < 0").select("i", F.col("value").alias("mean")), 6)
+
+
+def moments_cov(spark, sf_dir):
+    found = linalg.moments_frame(spark, _moments(spark, sf_dir))
+    return _longs(found.where("j >= 0").select("i", "j", F.col("value").alias("cov")), 6)
+
+
+def moments_declared(spark, sf_dir):
+    return _longs(linalg.moments_sql(fixture(spark, sf_dir, "embeddings")[0], 64), 6)
+
+
+def eigenvalue_moments(spark, sf_dir):
+    values = linalg.eigensystem(_moments(spark, sf_dir).cov).values
+    return _longs(spark.createDataFrame([(float(values.sum()), float((values**2).sum()))], "eigen_sum double, eigen_squares double"), 6)
+
+
+def kmeans_codebooks_agnostic(spark, sf_dir):
+    books = _agnostic(spark, sf_dir).books
+    rows = [(b // 2, b % 2, c, i, float(v)) for b, book in enumerate(books) for c, row in enumerate(book) for i, v in enumerate(row)]
+    return _longs(spark.createDataFrame(rows, "subspace long, half long, cid long, slot long, value double"))
+
+
+def imi_cells_agnostic(spark, sf_dir):
+    return _longs(imi.cell_counts(_agnostic(spark, sf_dir).points, 8))
+
+
+def imi_postings(spark, sf_dir):
+    return _longs(_agnostic(spark, sf_dir).postings())
+
+
+def ranked_lists(spark, sf_dir):
+    index = _agnostic(spark, sf_dir)
+    return _longs(activation.ranked_lists(fixture(spark, sf_dir, "embeddings")[1], index.space, index.books))
+
+
+def _activated(way):
+    def run(spark, sf_dir):
+        return _longs(_cells(spark, sf_dir, way)[1].select("qid", "subspace", "c1", "c2", "cnt", "cum_cnt"))
+
+    return run
+
+
+def activated_cells_declared(spark, sf_dir):
+    index = _agnostic(spark, sf_dir)
+    lists = activation.ranked_lists(fixture(spark, sf_dir, "embeddings")[1], index.space, index.books)
+    cells = activation.activate_sql(lists, imi.cell_counts(index.points, 8), index.n, index.params.alpha)
+    return _longs(cells.select("qid", "subspace", "c1", "c2", "cnt", "cum_cnt"))
+
+
+def activation_work(spark, sf_dir):
+    ways = [_cells(spark, sf_dir, w)[1].groupBy("qid", "subspace").agg(F.sum("popped").alias("popped"), F.sum("empty").alias("empty")).withColumn("way", F.lit(w)) for w in ("heap", "linear", "windowed")]
+    return _longs(ways[0].union(ways[1]).union(ways[2]))
+
+
+def score_from_codes(spark, sf_dir):
+    index, scorer = _cell_scorer(spark, sf_dir)
+    return _longs(scoring.score_table(index.points, scorer))
+
+
+def score_from_postings(spark, sf_dir):
+    index, cells = _cells(spark, sf_dir)
+    return _longs(scoring.from_postings(index.postings(), cells))
+
+
+def score_histogram(spark, sf_dir):
+    index, scorer = _cell_scorer(spark, sf_dir)
+    return _longs(select.histogram(index.points, scorer, 8))
+
+
+def _cutoff(rule):
+    def run(spark, sf_dir):
+        index, scorer = _cell_scorer(spark, sf_dir)
+        return _longs(select.cutoffs(select.histogram(index.points, scorer, 8), 0.1, index.n, rule))
+
+    return run
+
+
+def candidates_fixed(spark, sf_dir):
+    index, scorer = _cell_scorer(spark, sf_dir)
+    choice = select.by_number(select.histogram(index.points, scorer, 8), index.points, scorer, index.params.budget(index.n), 8)
+    return _longs(select.candidates(index.points, scorer, choice))
+
+
+def _method(name, table="embeddings", **changes):
+    def run(spark, sf_dir):
+        p = preset(name, **((TINY if "adaptive" not in preset(name).space else TINY_ADAPTIVE) | changes))
+        index = _index(spark, sf_dir, table, **(p.as_dict() | {"activation": "heap", "selector": "cutoff", "rule": "lookahead", "probe": "codes"}))
+        return _knn(search.query(index, fixture(spark, sf_dir, table)[1], p).neighbours)
+
+    return run
+
+
+def result_overlap(spark, sf_dir):
+    a, b = _method("agnostic+cutoff")(spark, sf_dir), _method("agnostic+query")(spark, sf_dir)
+    return a.select("qid", "vec_id").intersect(b.select("qid", "vec_id")).groupBy("qid").agg(F.count(F.lit(1)).alias("shared"))
+
+
+def _weighted(measure):
+    def run(spark, sf_dir):
+        base, scorer = _scorer(spark, sf_dir)
+        return _longs(scoring.weighted(scoring.collision_table(base, scorer), measure(base, scorer.space)))
+
+    return run
+
+
+def gap_by_query(spark, sf_dir):
+    base, scorer = _scorer(spark, sf_dir)
+    return _longs(theory.gap(scoring.score_table(base, scorer), _truth(spark, sf_dir), base.count(), 8), 6)
+
+
+def error_bound(spark, sf_dir):
+    base, scorer = _scorer(spark, sf_dir)
+    return _longs(theory.error_bound(theory.gap(scoring.score_table(base, scorer), _truth(spark, sf_dir), base.count(), 8), 8), 6)
+
+
+def type_errors(spark, sf_dir):
+    base, scorer = _scorer(spark, sf_dir)
+    return _longs(theory.separation(scoring.score_table(base, scorer), _truth(spark, sf_dir), base.count(), 8), 6)
+
+
+def _truth_pairs(spark, sf_dir, table):
+    """Pairs of base ids: each of the first 20 with the 30 after it."""
+    base = fixture(spark, sf_dir, table)[0]
+    ids = [r[0] for r in base.select("vec_id").orderBy("vec_id").limit(50).collect()]
+    return base, spark.createDataFrame([(a, b) for i, a in enumerate(ids[:20]) for b in ids[i + 1 : i + 31]], "i long, j long")
+
+
+def _adaptive_space(spark, sf_dir, table="skewed"):
+    return kept(spark, ("space", sf_dir, table), lambda: transform.fit(fixture(spark, sf_dir, table)[0], preset("adaptive", **TINY_ADAPTIVE)))
+
+
+def distance_bounds(spark, sf_dir):
+    base, pairs = _truth_pairs(spark, sf_dir, "skewed")
+    return _longs(theory.distance_bounds(base, pairs, _adaptive_space(spark, sf_dir)), 6)
+
+
+def order_violations(spark, sf_dir):
+    base, pairs = _truth_pairs(spark, sf_dir, "skewed")
+    found = theory.order_violations(materialise(theory.distance_bounds(base, pairs, _adaptive_space(spark, sf_dir)), "bounds"))
+    return found.agg(F.count(F.lit(1)).alias("violations"))
+
+
+def allocation(spark, sf_dir):
+    space = _adaptive_space(spark, sf_dir)
+    return _longs(allocate.allocation_frame(spark, space.values, space.blocks), 6)
+
+
+def block_entropy(spark, sf_dir):
+    space = _adaptive_space(spark, sf_dir)
+    rows = [(j, float(v)) for j, v in enumerate(allocate.block_entropy(space.values, space.blocks))]
+    return _longs(spark.createDataFrame(rows, "subspace long, logdet double"))
+
+
+def transformed_norms(spark, sf_dir):
+    """Squared length of every projected vector in every subspace: free of the eigenvectors' signs."""
+    parts = transform.apply(fixture(spark, sf_dir, "skewed")[0], _adaptive_space(spark, sf_dir))
+    long = parts.select("vec_id", F.posexplode("parts").alias("subspace", "p"))
+    return _longs(long.select("vec_id", "subspace", F.aggregate("p", F.lit(0.0), lambda t, x: t + x * x).alias("length2")))
+
+
+def score_profile_transformed(spark, sf_dir):
+    base, queries = fixture(spark, sf_dir, "skewed")
+    qids, q = next(exact.query_blocks(queries))
+    scorer = scoring.exact_scorer(base, qids, q, _adaptive_space(spark, sf_dir), Params(**TINY).collisions(base.count()))
+    return _longs(metrics.profile(scoring.score_table(base, scorer), exact.within(base, queries, float("inf"))), 6)
+
+
+def dim_reduction(spark, sf_dir):
+    """Chosen (d, N_s, s) of the five published datasets."""
+    rows = [(256, 6, 8), (960, 4, 10), (128, 6, 6), (96, 6, 8), (100, 6, 10)]
+    return spark.createDataFrame(rows, "d long, ns long, s long").withColumn("reduction", F.round(1 - F.col("ns") * F.col("s") / F.col("d"), 4))
+
+
+METHODS = ("agnostic", "agnostic+cutoff", "agnostic+query")
+
+
+def recall_by_method(spark, sf_dir):
+    out = None
+    for name in METHODS:
+        part = metrics.accuracy(_method(name)(spark, sf_dir), _knn(_truth(spark, sf_dir)), 10).withColumn("method", F.lit(name))
+        out = part if out is None else out.union(part)
+    return _longs(out)
+
+
+CORE = {
+    f.__name__: f
+    for f in (
+        exact_knn, exact_knn_k1, exact_knn_declared, radius_search, ratio_contract, collision_exact_score, collisions_declared, score_profile_raw, collision_scan_knn, moments_mean, moments_cov,
+        moments_declared, eigenvalue_moments, kmeans_codebooks_agnostic, imi_cells_agnostic, imi_postings, ranked_lists, activated_cells_declared, activation_work, score_from_codes, score_from_postings,
+        score_histogram, candidates_fixed, result_overlap, gap_by_query, error_bound, type_errors, distance_bounds, order_violations, allocation, block_entropy, transformed_norms, score_profile_transformed, dim_reduction, recall_by_method,
+    )
+} | {
+    **{f"activated_cells_{w}": _activated(w) for w in ("heap", "linear", "windowed")}, "cutoff_lookahead": _cutoff("lookahead"), "cutoff_accumulate": _cutoff("accumulate"),
+    "knn_agnostic": _method("agnostic"), "knn_agnostic_cutoff": _method("agnostic+cutoff"), "knn_agnostic_query": _method("agnostic+query"), "knn_agnostic_postings": _method("agnostic+query", probe="postings"),
+    "knn_adaptive": _method("adaptive", "skewed"), "knn_agnostic_transform": _method("agnostic+transform", "skewed"), "weighted_score_variance": _weighted(weights.variance),
+    "weighted_score_mean_distance": _weighted(weights.mean_distance), "weighted_score_lid": _weighted(weights.lid),
+}
+
+
+def _core_sql() -> dict[str, str]:
+    p = Pipeline(**{k: v for k, v in TINY.items() if k != "cells"}, l=8)
+    one = Pipeline(**{k: v for k, v in TINY.items() if k not in ("cells", "k")}, l=8, k=1)
+    cells = p.sql("SELECT qid, j AS subspace, c1, c2, cnt, cum_cnt::BIGINT AS cum_cnt FROM activated")
+    cut = p.sql(KNN.format(name="scores_cut_knn"))
+    cov = "SELECT (i - 1)::BIGINT AS i, (k - 1)::BIGINT AS j, round(covar_samp(e[i], e[k]), 6) AS cov FROM base, range(1, 65) a(i), range(1, 65) b(k) GROUP BY i, k"
+    profile = "SELECT percentile, round(avg(coalesce(score, 0)), 6) AS mean_score FROM (SELECT *, ntile(100) OVER (PARTITION BY qid ORDER BY dist, vec_id) AS percentile FROM distances) LEFT JOIN exact_scores USING (qid, vec_id) GROUP BY percentile"
+    gap = "SELECT qid, s_star / (10.0::DOUBLE * 8) AS p_star, (s - s_star) / ((n - 10.0::DOUBLE) * 8) AS p FROM (SELECT qid, sum(score) FILTER (near) AS s_star, sum(score) AS s FROM (SELECT a.*, t.vec_id IS NOT NULL AS near FROM exact_scores_all a LEFT JOIN truth t USING (qid, vec_id)) GROUP BY qid), size"
+    errors = "SELECT qid, h.s AS threshold, sum((NOT near AND score >= h.s)::INT) / (n - 10.0::DOUBLE) AS type1, sum((near AND score < h.s)::INT) / 10.0::DOUBLE AS type2 FROM (SELECT a.*, t.vec_id IS NOT NULL AS near FROM exact_scores_all a LEFT JOIN truth t USING (qid, vec_id)), range(0, 10) h(s), size GROUP BY qid, h.s, n"
+    weigh = "SELECT qid, vec_id, round(sum(w / mean), 4) AS score FROM exact JOIN weights USING (j), (SELECT avg(w) AS mean FROM weights) GROUP BY qid, vec_id"
+    centres = "SELECT j, list(m ORDER BY pos) AS c FROM (SELECT j, pos, avg(p[pos]) AS m FROM base_parts, range(1, 9) r(pos) GROUP BY ALL) GROUP BY j"
+    lid = """SELECT j, avg(v) AS w FROM (SELECT a_id, j, -1 / avg(ln(dist / far)) FILTER (rk < 20) AS v, min(dist) AS nearest FROM (
+        SELECT *, max(dist) OVER (PARTITION BY a_id, j) AS far FROM (SELECT a.vec_id AS a_id, a.j, list_distance(a.p, b.p) AS dist, row_number() OVER (PARTITION BY a.vec_id, a.j ORDER BY list_distance(a.p, b.p), b.vec_id <> a.vec_id) - 1 AS rk
+        FROM base_parts a JOIN base_parts b ON a.j = b.j) WHERE rk BETWEEN 1 AND 20) GROUP BY a_id, j) WHERE nearest > 0 GROUP BY j"""
+    acc = "SELECT '{name}' AS method, (SELECT round(avg(hits / 10.0::DOUBLE), 4) FROM (SELECT t.qid, count(r.vec_id) AS hits FROM truth t LEFT JOIN {knn} r USING (qid, vec_id) GROUP BY t.qid)) AS recall, round(avg((round(r.dist, 4) - round(t.dist, 4)) / round(t.dist, 4)), 4) AS mre, count(r.dist) AS mre_terms, sum((r.dist IS NULL)::INT)::BIGINT AS short_results FROM truth t LEFT JOIN {knn} r USING (qid, rank)"
+    work = " UNION ALL ".join(f"SELECT qid, j AS subspace, count(*) AS popped, sum((cnt = 0)::INT)::BIGINT AS empty, '{w}' AS way FROM activated GROUP BY qid, j" for w in ("heap", "linear", "windowed"))
+    out = {
+        "exact_knn": p.sql(KNN.format(name="truth")), "exact_knn_declared": p.sql(KNN.format(name="truth")), "exact_knn_k1": one.sql(KNN.format(name="truth")),
+        "radius_search": p.sql("SELECT qid, vec_id, round(dist, 4) AS dist FROM distances WHERE dist <= 1.15"),
+        "ratio_contract": p.sql("SELECT qid, sum((r.dist <= 1.05 * t.dist + 1e-12)::INT)::BIGINT AS ranks_ok FROM scores_cut_knn r JOIN truth t USING (qid, rank) GROUP BY qid"),
+        "collision_exact_score": p.sql("SELECT qid, vec_id, score FROM exact_scores"), "collisions_declared": p.sql("SELECT qid, vec_id, score FROM exact_scores"),
+        "score_profile_raw": p.sql(profile), "collision_scan_knn": p.sql(KNN.format(name="exact_scores_fixed_knn")),
+        "moments_mean": p.sql("SELECT (i - 1)::BIGINT AS i, round(avg(e[i]), 6) AS mean FROM base, range(1, 65) r(i) GROUP BY i"), "moments_cov": p.sql(cov), "moments_declared": p.sql(cov),
+        "eigenvalue_moments": p.sql("SELECT round(sum(c) FILTER (i = k), 6) AS eigen_sum, round(sum(c * c), 6) AS eigen_squares FROM (SELECT i, k, covar_samp(e[i], e[k]) AS c FROM base, range(1, 65) a(i), range(1, 65) b(k) GROUP BY i, k)"),
+        "kmeans_codebooks_agnostic": p.sql("SELECT j AS subspace, h AS half, cid, (pos - 1)::BIGINT AS slot, round(c[pos], 4) AS value FROM book, range(1, 5) r(pos)"),
+        "imi_cells_agnostic": p.sql("SELECT j AS subspace, c1, c2, cnt FROM cells"), "imi_postings": p.sql("SELECT j AS subspace, c1, c2, vec_id FROM codes"),
+        "ranked_lists": p.sql("SELECT qid, j AS subspace, h AS half, pos, cid, round(dist, 4) AS dist FROM lists"),
+        **{f"activated_cells_{w}": cells for w in ("heap", "linear", "windowed", "declared")}, "activation_work": p.sql(work),
+        "score_from_codes": p.sql("SELECT qid, vec_id, score FROM scores"), "score_from_postings": p.sql("SELECT qid, vec_id, score FROM scores"),
+        "score_histogram": p.sql("SELECT qid, score, cnt::BIGINT AS cnt FROM scores_hist"),
+        **{f"cutoff_{r}": p.sql(f"SELECT qid, cutoff, candidate_num::BIGINT AS candidate_num FROM scores_{r}") for r in ("lookahead", "accumulate")},
+        "candidates_fixed": p.sql("SELECT qid, vec_id, score FROM scores_fixed"), "knn_agnostic": p.sql(KNN.format(name="scores_fixed_knn")),
+        "knn_agnostic_cutoff": cut, "knn_agnostic_query": cut, "knn_agnostic_postings": cut, "result_overlap": p.sql("SELECT qid, count(*) AS shared FROM scores_cut_knn GROUP BY qid"),
+        "gap_by_query": p.sql("SELECT qid, round(p_star, 6) AS p_star, round(p, 6) AS p, round(p_star - p, 6) AS gap FROM gaps", gaps=gap),
+        "error_bound": p.sql("SELECT qid, round(exp(-8 * (p_star - p) * (p_star - p) / (8 * p * (1 - p))), 6) AS bound FROM gaps", gaps=gap),
+        "type_errors": p.sql("SELECT qid, threshold, round(type1, 6) AS type1, round(type2, 6) AS type2 FROM errors QUALIFY row_number() OVER (PARTITION BY qid ORDER BY type1 + type2, threshold) = 1", errors=errors),
+        "weighted_score_variance": p.sql(weigh, centres=centres, weights="SELECT j, sum(pow(list_distance(p, c), 2)) / (count(*) - 1) AS w FROM base_parts JOIN centres USING (j) GROUP BY j"),
+        "weighted_score_mean_distance": p.sql(weigh, centres=centres, weights="SELECT j, avg(list_distance(p, c)) AS w FROM base_parts JOIN centres USING (j) GROUP BY j"),
+        "weighted_score_lid": p.sql(weigh, weights=lid), "order_violations": "SELECT 0::BIGINT AS violations",
+        "dim_reduction": "SELECT d::BIGINT AS d, ns::BIGINT AS ns, s::BIGINT AS s, round(1 - ns * s / d::DOUBLE, 4) AS reduction FROM (VALUES (256, 6, 8), (960, 4, 10), (128, 6, 6), (96, 6, 8), (100, 6, 10)) v(d, ns, s)",
+        "recall_by_method": p.sql(" UNION ALL ".join(acc.format(name=m, knn=k) for m, k in zip(METHODS, ("scores_fixed_knn", "scores_cut_knn", "scores_cut_knn")))),
+    }
+    return out | _spectral_sql()
+
+
+@cache
+def _spectrum(path: str):
+    """Mean, falling eigenvalues and eigenvectors of the skewed table, by numpy from the file alone; None without the file."""
+    file = f"{path}/embeddings.parquet"
+    if not os.path.exists(file):
+        return None
+    import pyarrow.parquet as pq
+
+    rows = pq.read_table(file)
+    x = np.array(rows.column("embedding").to_pylist(), float) * np.arange(1, 65) ** -0.7
+    x = x[np.array(rows.column("vec_id").to_pylist()) % 25 != 0]
+    values, vectors = np.linalg.eigh(np.cov(x, rowvar=False))
+    vectors = vectors[:, ::-1]
+    # signs are free; distances to centroids do not depend on them
+    return x.mean(axis=0), values[::-1], vectors
+
+
+def _dealt(values: np.ndarray, ns: int, s: int) -> list[list[int]]:
+    """The deal, by sums of logarithms and a plain search for the smallest."""
+    logs, blocks = np.log(values / values[-1]), [[] for _ in range(ns)]
+    for r in range(ns * s):
+        blocks[min((b for b in range(ns) if len(blocks[b]) < s), key=lambda b: (sum(logs[i] for i in blocks[b]), b))].append(r)
+    return blocks
+
+
+def _spectral_sql() -> dict[str, str]:
+    """Oracles of the adaptive space: directions come from numpy, all else from SQL."""
+    found = _spectrum(ORACLE_DIR)
+    if found is None:
+        return {}
+    mean, values, vectors = found
+    blocks = _dealt(values, 6, 8)
+    p = Pipeline(table="skewed", ns=6, s=8, l=8, t=3, directions=[vectors[:, b] for b in blocks], mean=mean)
+    pairs = """SELECT a.vec_id AS i, b.vec_id AS j, pow(list_distance(a.e, b.e), 2) AS full, (SELECT sum(pow(list_distance(x.p, y.p), 2)) FROM base_parts x JOIN base_parts y ON x.j = y.j WHERE x.vec_id = a.vec_id AND y.vec_id = b.vec_id) AS kept
+      FROM (SELECT *, row_number() OVER (ORDER BY vec_id) AS r FROM base) a JOIN (SELECT *, row_number() OVER (ORDER BY vec_id) AS r FROM base) b ON a.r <= 20 AND b.r > a.r AND b.r <= a.r + 30"""
+    profile = "SELECT percentile, round(avg(coalesce(score, 0)), 6) AS mean_score FROM (SELECT *, ntile(100) OVER (PARTITION BY qid ORDER BY dist, vec_id) AS percentile FROM distances) LEFT JOIN exact_scores USING (qid, vec_id) GROUP BY percentile"
+    dealt = ", ".join(f"({j}, {i}, {r}, {float(values[r])!r}::DOUBLE)" for j, b in enumerate(blocks) for i, r in enumerate(b))
+    return {
+        "knn_adaptive": p.sql(KNN.format(name="scores_cut_knn")), "knn_agnostic_transform": p.sql(KNN.format(name="scores_fixed_knn")), "score_profile_transformed": p.sql(profile),
+        "transformed_norms": p.sql("SELECT vec_id, j::BIGINT AS subspace, round(list_dot_product(p, p), 4) AS length2 FROM base_parts"),
+        "distance_bounds": p.sql("SELECT i, j, round(\"full\", 6) AS \"full\", round(kept, 6) AS kept, round(1 - kept / \"full\", 6) AS eps FROM pairs", pairs=pairs.replace("AS full", 'AS "full"')),
+        "allocation": f"SELECT j::BIGINT AS subspace, i::BIGINT AS slot, r::BIGINT AS rank, round(v, 6) AS eigenvalue FROM (VALUES {dealt}) t(j, i, r, v)",
+        "block_entropy": f"SELECT j::BIGINT AS subspace, round(sum(ln(v)), 4) AS logdet FROM (VALUES {dealt}) t(j, i, r, v) GROUP BY j",
+    }
+
 
 def queries():
-    return {}
+    return dict(CORE)
 
 
 def oracle_sql():
-    return {}
+    return _core_sql()
 
 
 def flagship(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/embeddings.parquet")
+    return collision_scan_knn(spark, sf_dir)
+
+
+__all__ = ["Window", "flagship", "oracle_sql", "queries"]
