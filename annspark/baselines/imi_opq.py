@@ -1,0 +1,103 @@
+"""Two-codebook inverted index with an optimised rotation and product-quantised residuals.
+
+From public literature: the rotation and the codebooks are learned in turn (orthogonal Procrustes), points are filed by the nearest centroid of
+each half and keep a byte per residual piece; a query takes cells in order of distance until beta * n points are in,
+ranks them by lookup tables and re-ranks the best exactly.
+"""
+
+from __future__ import annotations
+
+from dataclasses import dataclass
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from ..functions.arrays import lists, matrix
+from ..operators.activation import by_heap, centroid_lists
+from ..operators.kmeans import assign
+from ..sources.work import materialise
+from .common import lloyd, rerank_scan, sample_of
+
+
+@dataclass
+class ImiOpq:
+    rotation: np.ndarray
+    coarse: list[np.ndarray]
+    fine: list[np.ndarray]
+    counts: np.ndarray
+    points: DataFrame
+    n: int
+
+    def bytes(self) -> int:
+        return self.n * (8 + len(self.fine)) + 8 * (self.rotation.size + sum(b.size for b in self.coarse + self.fine) + self.counts.size)
+
+
+def _halves(x: np.ndarray) -> list[np.ndarray]:
+    return [x[:, : x.shape[1] // 2], x[:, x.shape[1] // 2 :]]
+
+
+def _pieces(x: np.ndarray, m: int) -> list[np.ndarray]:
+    return np.array_split(x, m, axis=1)
+
+
+def build(base: DataFrame, cells: int = 256, pieces: int = 8, codes: int = 16, rounds: int = 4, seed: int = 23) -> ImiOpq:
+    rng = np.random.default_rng(seed)
+    x = sample_of(base)
+    side = int(np.sqrt(cells))
+    rotation = np.linalg.qr(rng.standard_normal((x.shape[1],) * 2))[0]
+    for _ in range(rounds):
+        y = x @ rotation
+        coarse = [lloyd(h, side, 4, rng) for h in _halves(y)]
+        near = np.hstack([c[assign(h, c)] for h, c in zip(_halves(y), coarse)])
+        u, _, vt = np.linalg.svd(x.T @ near)
+        rotation = u @ vt
+    y = x @ rotation
+    coarse = [lloyd(h, side, 8, rng) for h in _halves(y)]
+    residual = y - np.hstack([c[assign(h, c)] for h, c in zip(_halves(y), coarse)])
+    fine = [lloyd(p, codes, 8, rng) for p in _pieces(residual, pieces)]
+    shared = base.sparkSession.sparkContext.broadcast((rotation, coarse, fine))
+
+    def encode(batches):
+        rotation, coarse, fine = shared.value
+        for batch in batches:
+            if batch.num_rows:
+                y = matrix(batch.column("embedding")) @ rotation
+                label = [assign(h, c) for h, c in zip(_halves(y), coarse)]
+                residual = y - np.hstack([c[v] for c, v in zip(coarse, label)])
+                bytes_ = np.stack([assign(p, f) for p, f in zip(_pieces(residual, len(fine)), fine)], axis=1)
+                yield pa.RecordBatch.from_arrays([batch.column("vec_id"), pa.array((label[0] * len(coarse[1]) + label[1]).astype(np.int32)), lists(bytes_.astype(np.int8)), batch.column("embedding")], names=["vec_id", "cell", "code", "embedding"])
+
+    points = materialise(base.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(encode, "vec_id long, cell int, code array<tinyint>, embedding array<double>"), "imi-opq")
+    counts = np.zeros((side, side), np.int64)
+    for cell, n in points.groupBy("cell").count().collect():  # at most ``cells`` rows
+        counts[cell // side, cell % side] = n
+    return ImiOpq(rotation, coarse, fine, counts, points, int(counts.sum()))
+
+
+def query(index: ImiOpq, queries: DataFrame, k: int = 10, beta: float = 0.1, keep: int | None = None) -> DataFrame:
+    """(qid, rank, vec_id, dist)."""
+    rotation, coarse, fine, counts, n = index.rotation, index.coarse, index.fine, index.counts, index.n
+
+    def rough(batch, q, i):
+        y = q[i] @ rotation
+        halves = _halves(y[None])
+        lists_ = [centroid_lists(c, h[0], "l2sq") for c, h in zip(coarse, halves)]
+        order1, order2 = lists_[0][0], lists_[1][0]
+        got = by_heap(lists_[0][1], lists_[1][1], counts[np.ix_(order1, order2)], beta * n)
+        taken = np.zeros(counts.size, bool)
+        taken[order1[got.pos1] * counts.shape[1] + order2[got.pos2]] = True
+        cell = batch.column("cell").to_numpy()
+        some = np.flatnonzero(taken[cell])
+        value = np.full(len(cell), np.inf)
+        code = matrix(batch.column("code").take(pa.array(some))).astype(np.int64) if len(some) else np.zeros((0, len(fine)), np.int64)
+        # query less centroid, against the residual codebooks
+        centre = np.hstack([coarse[0][cell[some] // counts.shape[1]], coarse[1][cell[some] % counts.shape[1]]])
+        total = np.zeros(len(some))
+        for piece, book, own in zip(_pieces(y - centre, len(fine)), fine, code.T):
+            total += ((piece - book[own]) ** 2).sum(axis=1)
+        value[some] = total
+        return value
+
+    return rerank_scan(index.points, ["cell", "code"], queries, k, keep or 8 * k, rough)
