@@ -16,7 +16,7 @@ from .operators import activation, allocate, exact, imi, linalg, metrics, scorin
 from .oracles.pipeline import KNN, Pipeline
 from .params import Params, preset
 from .plans import index as indexes
-from .plans import search
+from .plans import search, surround
 from .sources.vectors import fixture
 from .sources.work import materialise
 
@@ -428,11 +428,11 @@ def _spectral_sql() -> dict[str, str]:
 
 
 def queries():
-    return dict(CORE)
+    return CORE | surround.QUERIES
 
 
 def oracle_sql():
-    return _core_sql()
+    return _core_sql() | surround.SQL
 
 
 def flagship(spark, sf_dir):
