@@ -16,7 +16,7 @@ from .operators import activation, allocate, exact, imi, linalg, metrics, scorin
 from .oracles.pipeline import KNN, Pipeline
 from .params import Params, preset
 from .plans import index as indexes
-from .plans import search, surround
+from .plans import search, surround, workloads
 from .sources.vectors import fixture
 from .sources.work import materialise
 
@@ -336,6 +336,28 @@ CORE = {
 }
 
 
+def _baseline(name):
+    def run(spark, sf_dir):
+        build, ask = workloads.COMPETITORS[name]
+        base, queries = fixture(spark, sf_dir, "skewed")
+        return _knn(ask(kept(spark, ("baseline", name, sf_dir), lambda: build(base)), queries, 10))
+
+    return run
+
+
+BASELINES = {f"{n}_knn": _baseline(n) for n in workloads.COMPETITORS}
+
+
+def filtered_knn(spark, sf_dir):
+    """Search among the points of even labels only, before scoring."""
+    index = _agnostic(spark, sf_dir, selector="cutoff", beta=1.0, alpha=1.0)
+    labels = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "label")
+    return _knn(search.filtered(index, fixture(spark, sf_dir, "embeddings")[1], labels, "label % 2 = 0"))
+
+
+CORE["filtered_knn"] = filtered_knn
+
+
 def _core_sql() -> dict[str, str]:
     p = Pipeline(**{k: v for k, v in TINY.items() if k != "cells"}, l=8)
     one = Pipeline(**{k: v for k, v in TINY.items() if k not in ("cells", "k")}, l=8, k=1)
@@ -378,7 +400,8 @@ def _core_sql() -> dict[str, str]:
         "dim_reduction": "SELECT d::BIGINT AS d, ns::BIGINT AS ns, s::BIGINT AS s, round(1 - ns * s / d::DOUBLE, 4) AS reduction FROM (VALUES (256, 6, 8), (960, 4, 10), (128, 6, 6), (96, 6, 8), (100, 6, 10)) v(d, ns, s)",
         "recall_by_method": p.sql(" UNION ALL ".join(acc.format(name=m, knn=k) for m, k in zip(METHODS, ("scores_fixed_knn", "scores_cut_knn", "scores_cut_knn")))),
     }
-    return out | _spectral_sql()
+    even = p.sql("SELECT qid, rank::BIGINT AS rank, vec_id, round(dist, 4) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, vec_id) AS rank FROM distances JOIN (SELECT vec_id, label FROM embeddings) USING (vec_id) WHERE label % 2 = 0) WHERE rank <= 10")
+    return out | {"filtered_knn": even} | _spectral_sql()
 
 
 @cache
@@ -428,7 +451,7 @@ def _spectral_sql() -> dict[str, str]:
 
 
 def queries():
-    return CORE | surround.QUERIES
+    return CORE | BASELINES | surround.QUERIES | workloads.QUERIES
 
 
 def oracle_sql():
