@@ -7,17 +7,17 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def l2_distance(a: pd.Series, b: pd.Series) -> pd.Series:
     """Euclidean distance of two vectors of equal length; null for a null."""
     return pd.Series([None if x is None or y is None else float(np.sqrt(((np.asarray(x, float) - np.asarray(y, float)) ** 2).sum())) for x, y in zip(a, b)])
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def cosine_similarity(a: pd.Series, b: pd.Series) -> pd.Series:
     out = []
     for x, y in zip(a, b):
@@ -27,13 +27,13 @@ def cosine_similarity(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series(out)
 
 
-@pandas_udf("int")
+@pandas_udf(T.IntegerType())
 def collision_score(cells: pd.Series, activated: pd.Series) -> pd.Series:
     """How many of a point's cells (one for each subspace) are in the lists of activated cells."""
     return pd.Series([sum(c in set(a) for c, a in zip(own, lists)) for own, lists in zip(cells, activated)])
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def vector_mean(v: pd.Series) -> list:
     """Mean of a group's vectors."""
     return np.mean(np.stack([np.asarray(x, float) for x in v]), axis=0).tolist()
@@ -87,4 +87,4 @@ def register(spark: SparkSession, base: DataFrame | None = None, k: int = 10, in
         spark.udtf.register("activate", activate_table(index))
 
 
-__all__ = ["F", "activate_table", "collision_score", "cosine_similarity", "knn_table", "l2_distance", "register", "vector_mean"]
+__all__ = ["activate_table", "collision_score", "cosine_similarity", "knn_table", "l2_distance", "register", "vector_mean"]
