@@ -3,8 +3,8 @@
 Only DataFrame and SQL functions. Messages are rows (conv_id, turn, role, text). A call message (role ``assistant``) is JSON with
 ``tool_calls``, an array of {id, name, arguments, depends_on}; a result message (role ``tool``) is JSON with ``tool_call_id`` and ``content``.
 Calls and results are hash-joined by (conv_id, id). A call's level is the longest chain of
-calls of its conversation that it depends on; levels are found by peeling: each round all calls whose dependencies are done get
-the next level, on tables keyed by (conv_id, id), so no conversation is ever gathered in one place. Sorting by (level, turn, id) is a topological order; calls on or behind
+calls of its conversation that it depends on; levels are found in rounds that halve chains, on tables keyed by (conv_id, id), so no
+conversation is ever gathered in one place. Sorting by (level, turn, id) is a topological order; calls on or behind
 a cycle have a null level. Dependencies on identifiers that no call has are ignored and listed as ``dangling``.
 Arguments are checked against the tool's schema: ``malformed`` (no JSON object), ``unknown-tool``, ``missing:field``, ``type:field``, ``extra:field``.
 Canonical JSON has sorted keys, no spaces and no null fields.
@@ -68,21 +68,37 @@ def _results(messages: DataFrame) -> DataFrame:
 
 
 def levels(calls: DataFrame) -> DataFrame:
-    """(conv_id, id, level) of every call that stands on no cycle; calls is a cut table with unique (conv_id, id)."""
-    key = F.coalesce("conv_id", F.lit(-1)).alias("conv"), F.col("conv_id").isNull().alias("no_conv")
-    known = calls.select(*key, "id")
-    edges = calls.select(*key, "id", F.explode("depends_on").alias("needs")).distinct().join(known.withColumnRenamed("id", "needs"), ["conv", "no_conv", "needs"], "left_semi")
-    waiting = cut(edges, "call-edges")
-    done = cut(known.join(waiting.select("conv", "no_conv", "id").distinct(), ["conv", "no_conv", "id"], "left_anti").withColumn("level", F.lit(0)), "call-level")
-    out, level, first = done, 0, waiting
+    """(conv_id, id, level) of every call that stands neither on nor behind a cycle; calls is a cut table with unique (conv_id, id).
+
+    A call's level is the largest of ``low`` and, over its open dependencies, their level plus the dependency's weight. A round
+    takes in the dependencies that are done, closes the calls that have none left, and then moves every dependency on a call with a single one
+    of its own on to that one, the weights added. Chains so halve in each round; a round that closes no call has only cycles before it.
+    """
+    key = ["conv", "no_conv"]
+    known = calls.select(F.coalesce("conv_id", F.lit(-1)).alias("conv"), F.col("conv_id").isNull().alias("no_conv"), "id", "depends_on")
+    needs = known.select(*key, "id", F.explode("depends_on").alias("needs")).distinct()
+    real = needs.join(known.select(*key, F.col("id").alias("needs")), [*key, "needs"], "left_semi")
+    edges = cut(real.withColumns({"weight": F.lit(1), "owed": F.lit(0)}), "call-edges")
+    waiting = cut(edges.select(*key, "id").distinct().withColumn("low", F.lit(0)), "call-waiting")
+    done = cut(known.select(*key, "id").join(waiting.select(*key, "id"), [*key, "id"], "left_anti").withColumn("level", F.lit(0)), "call-level")
+    out = done
     while not done.isEmpty():
-        level += 1
-        left = cut(waiting.join(done.select("conv", "no_conv", F.col("id").alias("needs")), ["conv", "no_conv", "needs"], "left_anti"), "call-edges")
-        held = left.select("conv", "no_conv", "id").distinct()
-        done = cut(waiting.select("conv", "no_conv", "id").distinct().join(held, ["conv", "no_conv", "id"], "left_anti").withColumn("level", F.lit(level)), "call-level")
-        if waiting is not first:
-            forget(waiting)
-        out, waiting = out.unionByName(done), left
+        met = cut(edges.join(done.select(*key, F.col("id").alias("needs"), "level"), [*key, "needs"], "left"), "call-met")
+        told = met.groupBy(*key, "id").agg(F.max(F.greatest("owed", F.col("level") + F.col("weight"))).alias("told"), F.sum(F.col("level").isNull().cast("int")).alias("open"))
+        state = cut(waiting.join(told, [*key, "id"]).select(*key, "id", F.greatest("low", "told").alias("low"), "open"), "call-state")
+        done = cut(state.where("open = 0").select(*key, "id", F.col("low").alias("level")), "call-level")
+        left = met.where("level IS NULL").select(*key, "id", "needs", "weight", "owed")
+        single = state.where("open = 1").join(left.select(*key, "id", "needs", "weight"), [*key, "id"])
+        onward = single.select(*key, F.col("id").alias("needs"), F.col("needs").alias("next"), F.col("weight").alias("more"), F.col("low").alias("at_least"))
+        moved = left.join(onward, [*key, "needs"], "left").select(
+            *key, "id", F.coalesce("next", "needs").alias("needs"), (F.col("weight") + F.coalesce("more", F.lit(0))).alias("weight"), F.greatest("owed", F.col("weight") + F.col("at_least")).alias("owed")
+        )
+        fewer = cut(moved.groupBy(*key, "id", "needs").agg(F.max("weight").alias("weight"), F.max("owed").alias("owed")), "call-edges")
+        for old in (edges, waiting, met):
+            forget(old)
+        edges, waiting = fewer, cut(state.where("open > 0").select(*key, "id", "low"), "call-waiting")
+        forget(state)
+        out = out.unionByName(done)
     return out.select(F.when(~F.col("no_conv"), F.col("conv")).alias("conv_id"), "id", "level")
 
 
@@ -140,7 +156,7 @@ WITH RECURSIVE calls AS (
   SELECT conv_id, turn, 0 FROM calls UNION SELECT e.conv_id, e.turn, c.level + 1 FROM chains c JOIN edges e ON e.conv_id = c.conv_id AND e.needs = c.turn
 ), levels AS (SELECT conv_id, turn, max(level) AS level FROM chains GROUP BY ALL),
 results AS (SELECT conv_id, turn - 1 AS turn, count(*) AS n_results, min(text) AS result FROM conversations WHERE role = 'assistant' GROUP BY ALL)
-SELECT c.conv_id, c.turn, c.id AS call_id, c.name, l.level, 'ok' AS status, coalesce(n_results, 0) AS n_results,
+SELECT c.conv_id, c.turn, c.id AS call_id, c.name, l.level::BIGINT AS level, 'ok' AS status, coalesce(n_results, 0) AS n_results,
   '{{"arguments":' || CASE WHEN name = 'configure' THEN json_object('instructions', text) ELSE json_object('prompt', text, 'turn', c.turn, 'words', words) END
   || ',"id":"' || c.id || '","level":' || l.level || ',"name":"' || name || '"' || CASE WHEN result IS NULL THEN '' ELSE ',"result":' || to_json(result) END || '}}' AS canonical
 FROM calls c JOIN levels l USING (conv_id, turn) LEFT JOIN results r USING (conv_id, turn)
