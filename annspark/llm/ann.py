@@ -5,7 +5,7 @@ each projection into ``CELLS`` cells (inner edges ``width`` apart and shifted at
 a table has at most CELLS ** PROJECTIONS buckets, whatever the data. A query visits, table by table,
 perturbed buckets in the order of their estimated success: the probability that a neighbour at the typical distance ``r`` of a k-th neighbour falls in
 the bucket, a product of normal probabilities over the projections. It stops when the
-estimated success of all tables together reaches ``TARGET``.
+estimated success of all tables together reaches ``TARGET`` and more than k rows were met in each table, or all.
 
 ``r`` is measured on a bounded sample (``SAMPLE`` rows by hash of the id; neighbours in a sample are further than in
 all rows, so the estimate errs to more probes). Every row is indexed.
@@ -89,8 +89,11 @@ class Hashes:
         powers = base ** np.arange(self.edges.shape[1])
         return np.stack([self._cells(unit, t).sum(axis=2) @ powers + t * base ** len(powers) for t in range(len(self.edges))], axis=1)
 
-    def probes(self, unit: np.ndarray, target: float) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-        """For each table: (table, rows, buckets) to visit, the likeliest first until the table's share of the target is met."""
+    def probes(self, unit: np.ndarray, target: float, held: np.ndarray | None = None, least: int = 0) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """For each table: (table, rows, buckets) to visit, the likeliest first until the table's share of the target is met.
+
+        ``held``: rows in every bucket; a table is visited further until ``least`` rows were met, or all.
+        """
         share = 1 - (1 - target) ** (1 / len(self.edges))
         cosine = 1 - self.r**2 / 2
         phi = np.vectorize(lambda x: 0.5 * (1 + erf(x / sqrt(2))))
@@ -106,7 +109,10 @@ class Hashes:
                 success = (each[:, j][:, :, None] * success[:, None, :]).reshape(len(unit), -1)
             order = np.argsort(-success, axis=1, kind="stable")
             total = np.cumsum(np.take_along_axis(success, order, 1), axis=1)
-            taken = np.concatenate([np.ones((len(unit), 1), bool), total[:, :-1] < share], axis=1)
+            open_ = total[:, :-1] < share
+            if held is not None:
+                open_ |= np.cumsum(held[order + t * order.shape[1]], axis=1)[:, :-1] < least
+            taken = np.concatenate([np.ones((len(unit), 1), bool), open_], axis=1)
             row, rank = np.nonzero(taken)
             yield t, row, order[row, rank] + t * base ** each.shape[1]
 
@@ -199,6 +205,8 @@ def search(base: DataFrame, queries: DataFrame, k: int = 5, target: float = TARG
     # at most tables * cells ** projections rows
     counts = {r[0]: r[1] for r in indexed.groupBy("bucket").count().collect()}
     placed = spark.sparkContext.broadcast(_chunks(counts, chunk, cells**projections))
+    held = np.zeros(tables * cells**projections, np.int64)
+    held[list(counts)] = list(counts.values())
 
     def dealt(batches):
         for batch in batches:
@@ -216,7 +224,7 @@ def search(base: DataFrame, queries: DataFrame, k: int = 5, target: float = TARG
                 part = batch.slice(lo, QUERY_BLOCK)
                 q = _matrix(part.column("v"))
                 row, chunk_no, bucket = [], [], []
-                for _, at, visited in shared.value.probes(q / np.linalg.norm(q, axis=1, keepdims=True), target):
+                for _, at, visited in shared.value.probes(q / np.linalg.norm(q, axis=1, keepdims=True), target, held, k + 1):
                     for i, b in zip(at.tolist(), visited.tolist()):
                         first, parts = placed.value.get(b, (0, 0))
                         for c in range(first, first + parts):
