@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 #: Bytes of text that a Python worker handles at once; a longer text is a batch of its own.
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 19
 #: The word separators of every contract: space and \t\n\v\f\r.
 SPACES = np.zeros(256, bool)
 SPACES[[9, 10, 11, 12, 13, 32]] = True
