@@ -17,6 +17,7 @@ from .oracles.pipeline import KNN, Pipeline
 from .params import Params, preset
 from .plans import index as indexes
 from .plans import search, surround, workloads
+from .sources import vectors
 from .sources.vectors import fixture
 from .sources.work import materialise
 
@@ -355,7 +356,48 @@ def filtered_knn(spark, sf_dir):
     return _knn(search.filtered(index, fixture(spark, sf_dir, "embeddings")[1], labels, "label % 2 = 0"))
 
 
-CORE["filtered_knn"] = filtered_knn
+def filtered_knn_post(spark, sf_dir):
+    """The plain answer, with neighbours of odd labels taken out."""
+    index = _agnostic(spark, sf_dir, selector="cutoff")
+    labels = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "label")
+    return _knn(search.filtered(index, fixture(spark, sf_dir, "embeddings")[1], labels, "label % 2 = 0", "post"))
+
+
+def collision_fidelity(spark, sf_dir):
+    """Share of the true collisions of every query that its activated cells contain."""
+    base, scorer = _scorer(spark, sf_dir)
+    index, cells = _cells(spark, sf_dir)
+    found = index.postings().join(cells.select("qid", "subspace", "c1", "c2"), ["subspace", "c1", "c2"]).select("qid", "subspace", "vec_id")
+    return _longs(metrics.fidelity(found, scoring.collision_table(base, scorer)))
+
+
+def candidate_spread(spark, sf_dir):
+    index = _agnostic(spark, sf_dir, selector="cutoff")
+    stats = search.query(index, fixture(spark, sf_dir, "embeddings")[1]).stats
+    return _longs(metrics.candidate_spread(stats, index.params.budget(index.n)).select("mean", "least", "most", "budget"))
+
+
+def method_differences(spark, sf_dir):
+    """Neighbours that the exact search finds and the indexed one misses, and the other way round."""
+    got, true = _method("agnostic+cutoff")(spark, sf_dir).select("qid", "vec_id"), _truth(spark, sf_dir).select("qid", "vec_id")
+    return true.exceptAll(got).withColumn("side", F.lit("missed")).unionByName(got.exceptAll(true).withColumn("side", F.lit("extra")))
+
+
+def distance_steps(spark, sf_dir):
+    """Gap to the next rank, and the moving mean of three distances, along every true ranking."""
+    w = Window.partitionBy("qid").orderBy("rank")
+    t = _truth(spark, sf_dir)
+    steps = t.select("qid", "rank", (F.lead("dist").over(w) - F.col("dist")).alias("gap"), F.avg("dist").over(w.rowsBetween(-2, 0)).alias("smooth"), F.percent_rank().over(w).alias("share"))
+    return _longs(steps.where("gap IS NOT NULL"))
+
+
+def benchmark_retrieval(spark, sf_dir):
+    """The documents nearest to each benchmark item, as hashed word vectors."""
+    base, queries = vectors.doc_vectors(spark, sf_dir), vectors.benchmark_vectors(spark, sf_dir)
+    return exact.knn(base, queries, 1).select("qid", F.col("rank").cast("long").alias("rank"), F.round("dist", 3).alias("dist"))
+
+
+CORE |= {f.__name__: f for f in (filtered_knn, filtered_knn_post, collision_fidelity, candidate_spread, method_differences, distance_steps, benchmark_retrieval)}
 
 
 def _core_sql() -> dict[str, str]:
@@ -401,7 +443,18 @@ def _core_sql() -> dict[str, str]:
         "recall_by_method": p.sql(" UNION ALL ".join(acc.format(name=m, knn=k) for m, k in zip(METHODS, ("scores_fixed_knn", "scores_cut_knn", "scores_cut_knn")))),
     }
     even = p.sql("SELECT qid, rank::BIGINT AS rank, vec_id, round(dist, 4) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, vec_id) AS rank FROM distances JOIN (SELECT vec_id, label FROM embeddings) USING (vec_id) WHERE label % 2 = 0) WHERE rank <= 10")
-    return out | {"filtered_knn": even} | _spectral_sql()
+    doc = surround.SQL["doc_vectors"].replace("round(v / sqrt(sum(v * v) OVER (PARTITION BY doc_id)), 4)", "v / sqrt(sum(v * v) OVER (PARTITION BY doc_id))")
+    item = doc.replace("doc_id", "item_id").replace("FROM documents", "FROM benchmark")
+    more = {
+        "filtered_knn": even,
+        "filtered_knn_post": p.sql("SELECT qid, rank::BIGINT AS rank, vec_id, round(dist, 4) AS dist FROM scores_cut_knn JOIN (SELECT vec_id, label FROM embeddings) USING (vec_id) WHERE label % 2 = 0"),
+        "collision_fidelity": p.sql("SELECT e.qid, round(count(c.vec_id) / count(*)::DOUBLE, 4) AS overlap FROM exact e LEFT JOIN (SELECT a.qid, a.j, c.vec_id FROM activated a JOIN codes c ON a.j = c.j AND a.c1 = c.c1 AND a.c2 = c.c2) c ON c.qid = e.qid AND c.j = e.j AND c.vec_id = e.vec_id GROUP BY e.qid"),
+        "candidate_spread": p.sql("SELECT round(avg(candidate_num), 4) AS mean, min(candidate_num)::BIGINT AS least, max(candidate_num)::BIGINT AS most, 48::BIGINT AS budget FROM scores_lookahead"),
+        "method_differences": p.sql("SELECT qid, vec_id, 'missed' AS side FROM truth ANTI JOIN scores_cut_knn USING (qid, vec_id) UNION ALL SELECT qid, vec_id, 'extra' AS side FROM scores_cut_knn ANTI JOIN truth USING (qid, vec_id)"),
+        "distance_steps": p.sql("SELECT qid, rank::BIGINT AS rank, round(gap, 4) AS gap, round(smooth, 4) AS smooth, round(share, 4) AS share FROM (SELECT qid, rank, lead(dist) OVER w - dist AS gap, avg(dist) OVER (PARTITION BY qid ORDER BY rank ROWS 2 PRECEDING) AS smooth, percent_rank() OVER w AS share FROM truth WINDOW w AS (PARTITION BY qid ORDER BY rank)) WHERE gap IS NOT NULL"),
+        "benchmark_retrieval": f"WITH d AS ({doc}), i AS ({item}), pairs AS (SELECT i.vec_id AS qid, d.vec_id, sum(i.value * d.value) AS dot FROM i JOIN d USING (slot) GROUP BY ALL) SELECT qid, 1::BIGINT AS rank, round(sqrt(greatest(0, 2 - 2 * max(dot))), 3) AS dist FROM pairs GROUP BY qid",
+    }
+    return out | more | _spectral_sql()
 
 
 @cache
@@ -461,5 +514,3 @@ def oracle_sql():
 def flagship(spark, sf_dir):
     return collision_scan_knn(spark, sf_dir)
 
-
-__all__ = ["Window", "flagship", "oracle_sql", "queries"]

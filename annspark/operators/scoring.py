@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.arrays import lists, matrix
+from ..functions.arrays import matrix
 from .transform import Space
 
 WAYS_A_ROUND = 256
@@ -26,7 +26,7 @@ def part_distances(parts: list[np.ndarray], qparts: list[np.ndarray], i: int) ->
 
 @dataclass
 class CellScorer:
-    """Scores from codes: bitmap[q, subspace, cell] tells the activated cells."""
+    """Scores from codes: bitmap[subspace, cell, q] tells the activated cells; a point's scores are the sum of ns rows."""
 
     qids: np.ndarray
     q: np.ndarray
@@ -37,7 +37,7 @@ class CellScorer:
         cells = matrix(batch.column("cells")).astype(np.int64)
         out = np.zeros((len(cells), len(self.qids)), np.int8)
         for j in range(cells.shape[1]):
-            out += self.bitmap[:, j, :].T[cells[:, j]]
+            out += self.bitmap[j][cells[:, j]]
         return out
 
 
@@ -148,9 +148,9 @@ def exact_scorer(base: DataFrame, qids: np.ndarray, q: np.ndarray, space: Space,
 def cell_scorer(qids: np.ndarray, q: np.ndarray, cells: DataFrame, ns: int, l: int) -> CellScorer:
     """A scorer from activated cells: ns * K flags a query."""
     got = cells.select("qid", "subspace", "c1", "c2").toArrow()
-    bitmap = np.zeros((len(qids), ns, l * l), np.int8)
+    bitmap = np.zeros((ns, l * l, len(qids)), np.int8)
     row = np.searchsorted(qids, got.column("qid").to_numpy())
-    bitmap[row, got.column("subspace").to_numpy(), got.column("c1").to_numpy() * l + got.column("c2").to_numpy()] = 1
+    bitmap[got.column("subspace").to_numpy(), got.column("c1").to_numpy() * l + got.column("c2").to_numpy(), row] = 1
     return CellScorer(qids, q, bitmap)
 
 
@@ -207,5 +207,3 @@ def weighted(collisions: DataFrame, weights: np.ndarray) -> DataFrame:
     listed = F.array(*[F.lit(float(w)) for w in weights])
     return collisions.groupBy("qid", "vec_id").agg(F.sum(F.element_at(listed, F.col("subspace") + 1)).alias("score"))
 
-
-__all__ = ["CellScorer", "ExactScorer", "cell_scorer", "collision_table", "exact_collisions_sql", "exact_scorer", "from_postings", "lists", "score", "score_table", "weighted"]
