@@ -19,8 +19,8 @@ NEIGHBOURS = "qid long, vec_id long, dist double"
 
 def query_blocks(queries: DataFrame, width: int | None = None, vector: str = "embedding") -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """(qids, matrix) in id order, block by block: each fits one broadcast by its checked size."""
-    first = queries.select(F.size(vector).alias("d"), F.count(F.lit(1)).over(Window.partitionBy()).alias("n")).first() if width is None else None
-    d, n = (first.d, first.n) if first else (width or 1, queries.count())
+    counted = queries.agg(F.count(F.lit(1)).alias("n"), F.max(F.size(vector)).alias("d")).first()
+    n, d = counted.n, width or counted.d
     if not n:
         return
     blocks = max(1, -(-n * max(1, d) * 8 // QUERY_BYTES))
