@@ -29,7 +29,7 @@ from .common import mix, span_hashes, table, text_slices, word_spans
 
 NGRAM = 3
 MIN_WORDS = 6
-MIN_SCORE = 0.5
+MIN_SCORE = 0.45
 RARE = 1e-3
 BLOCK_ITEMS = 5_000
 #: Rows of the alignment that are worked on at once.
