@@ -6,8 +6,8 @@ is over is shared again among the rest by weight until none is above.
 
 A source's documents are cut into blocks by a hash of the id (``BLOCKS`` blocks in all, dealt to the sources by
 their numbers of documents, at least one each). A source of target r times its size gives each block floor(r) times,
-and of one permutation of its blocks once more as many as fit the rest of the target; the block in which the rest
-ends gives only its first documents, in a permutation of its own. All draws of blocks of a source are its exact
+and of one permutation of its blocks once more as many as fit the rest of the target. Where the next block does not fit, the largest of those left that fit
+follow, and the smallest block left gives only its first documents, in a permutation of its own. All draws of blocks of a source are its exact
 quota. A binary tree over the output shards splits the vector of quotas in two by a multivariate hypergeometric draw
 at every node, down to one vector per shard; the shards then take their quotas from each source's
 permuted draws, disjoint and complete. In a shard documents are shuffled locally by a seeded hash.
@@ -22,6 +22,7 @@ columns pass through.
 
 from __future__ import annotations
 
+from bisect import bisect_right
 from dataclasses import dataclass
 
 import numpy as np
@@ -89,8 +90,8 @@ def plan_sources(sized: DataFrame, weights=WEIGHTS, cap: float = CAP, blocks: in
     rows.sort(key=lambda r: (r[0] is None, (r[0] or "").encode()))
     total = sum(r.docs for r in rows)
     wanted = targets([r.size for r in rows], [weights[i % len(weights)] for i in range(len(rows))], cap)
-    # a block has four documents or more on average
-    whole = min(blocks, max(1, total // 4))
+    # in small corpora a block has one document on average
+    whole = min(blocks, max(1, total))
     return [Source(i, r[0], r.docs, r.size, t, max(1, whole * r.docs // max(1, total))) for i, (r, t) in enumerate(zip(rows, wanted))]
 
 
@@ -124,14 +125,22 @@ def mix(docs: DataFrame, weights=WEIGHTS, cap: float = CAP, shards: int = SHARDS
         rest = s.target - full * s.size
         own = [by_source[s.number][i] for i in rng.permutation(len(by_source[s.number]))]
         drawn = [(b, t) for t in range(full) for b, _ in own]
-        for b, size in own:
-            if rest < 0.5 or not s.size:
-                break
+        # whole blocks in the permutation's order while they fit, then the largest of the others that fit, then a part of the smallest
+        left = []
+        for b, size in own if s.size else ():
+            if not left and size <= rest:
+                drawn.append((b, full))
+                rest -= size
+            else:
+                left.append((size, b))
+        left.sort()
+        while left and left[0][0] <= rest:
+            size, b = left.pop(bisect_right(left, rest, key=lambda x: x[0]) - 1)
             drawn.append((b, full))
-            if size > rest:
-                cut_rows.append((s.number, b, float(rest), full))
-                break
             rest -= size
+        if left and rest >= 0.5:
+            drawn.append((left[0][1], full))
+            cut_rows.append((s.number, left[0][1], float(rest), full))
         order_of.append([drawn[i] for i in rng.permutation(len(drawn))])
     quotas = split_tree(np.array([len(d) for d in order_of], np.int64), shards, rng)
     at = [0] * len(sources)
