@@ -94,3 +94,20 @@ def fit_all(base: DataFrame, space: Space, l: int, t: int, init: str = "spread",
         books = [np.where(total[:, -1:] > 0, total[:, :-1] / np.maximum(total[:, -1:], 1), b) for b, total in zip(books, totals)]
         shared.destroy()
     return books
+
+
+def fit_mllib(base: DataFrame, space: Space, l: int, t: int, seed: int = 17) -> list[np.ndarray]:
+    """The same codebooks by pyspark.ml, one job after another for each half: a cross-check, not the way to build an index."""
+    from pyspark.ml.clustering import KMeans
+    from pyspark.ml.functions import array_to_vector
+
+    from .transform import apply
+
+    parts, books = apply(base, space).cache(), []
+    for j, width in enumerate(space.widths):
+        for half in halves(width):
+            start, count = half.start or 0, (half.stop or width) - (half.start or 0)
+            points = parts.select(array_to_vector(F.slice(F.element_at("parts", j + 1), start + 1, count)).alias("features"))
+            books.append(np.array(KMeans(k=l, maxIter=t, seed=seed).fit(points).clusterCenters()))
+    parts.unpersist()
+    return books

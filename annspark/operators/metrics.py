@@ -84,3 +84,18 @@ def crossover(a: tuple[float, float], b: tuple[float, float]) -> float:
     if b[0] <= a[0]:
         return 0.0
     return float("inf") if b[1] >= a[1] else float(np.ceil((b[0] - a[0]) / (a[1] - b[1])))
+
+
+def spark_cost(spark, run: Callable[[], object]) -> dict[str, int]:
+    """What an action cost the executors: tasks, and bytes read, shuffled in and shuffled out."""
+
+    def totals() -> dict[str, int]:
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+        executors = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+        all_ = [executors.apply(i) for i in range(executors.size())]
+        return {"tasks": sum(e.totalTasks() for e in all_), "input_bytes": sum(e.totalInputBytes() for e in all_), "shuffle_read_bytes": sum(e.totalShuffleRead() for e in all_), "shuffle_write_bytes": sum(e.totalShuffleWrite() for e in all_)}
+
+    before = totals()
+    run()
+    after = totals()
+    return {k: after[k] - before[k] for k in after}
