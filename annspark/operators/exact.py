@@ -30,6 +30,12 @@ def query_blocks(queries: DataFrame, width: int | None = None, vector: str = "em
             yield some.column("qid").to_numpy().astype(np.int64), matrix(some.column(vector))
 
 
+def beside(queries: DataFrame) -> DataFrame:
+    """The queries marked for broadcast if they fit one; else as they are, for a shuffled join."""
+    counted = queries.agg(F.count(F.lit(1)).alias("n"), F.max(F.size(queries.columns[-1])).alias("d")).first()
+    return F.broadcast(queries) if counted.n * (counted.d or 0) * 8 <= QUERY_BYTES else queries
+
+
 def ranked(found: DataFrame, k: int, order: str = "dist") -> DataFrame:
     """The k best of every query over partial answers; the window's group limit prunes before the shuffle."""
     w = Window.partitionBy("qid").orderBy(order, "vec_id")
@@ -40,10 +46,10 @@ def knn(base: DataFrame, queries: DataFrame, k: int, impl: str = "arrow") -> Dat
     """(qid, rank, vec_id, dist): the k nearest of every query, ties to the smaller id.
 
     ``arrow``: one scan of the base for a block of queries; every task keeps k rows a query. ``sql``: the same as a
-    declared join of the base with the broadcast queries, for small query sets.
+    declared join of the base with the queries, for query sets that fit a broadcast.
     """
     if impl == "sql":
-        pairs = base.crossJoin(F.broadcast(queries.withColumnRenamed("embedding", "q"))).select("qid", "vec_id", l2(F.col("embedding"), F.col("q")).alias("dist"))
+        pairs = base.crossJoin(beside(queries.select("qid", F.col("embedding").alias("q")))).select("qid", "vec_id", l2(F.col("embedding"), F.col("q")).alias("dist"))
         return ranked(pairs, k)
     out = base.sparkSession.createDataFrame([], NEIGHBOURS)
     for qids, q in query_blocks(queries):

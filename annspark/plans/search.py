@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from ..functions.arrays import Nearest, matrix
 from ..operators import activation, scoring, select, transform
-from ..operators.exact import NEIGHBOURS, query_blocks, ranked
+from ..operators.exact import NEIGHBOURS, beside, query_blocks, ranked
 from ..params import Params
 from ..sources.work import materialise
 from .index import Index, create
@@ -57,7 +57,7 @@ def refine_join(candidates: DataFrame, base: DataFrame, queries: DataFrame, k: i
     """The same as joins, from (qid, vec_id): for candidate tables that stand apart from the vectors."""
     from ..functions.vector import l2
 
-    both = candidates.select("qid", "vec_id").join(base.select("vec_id", "embedding"), "vec_id").join(F.broadcast(queries.select("qid", F.col("embedding").alias("q"))), "qid")
+    both = candidates.select("qid", "vec_id").join(base.select("vec_id", "embedding"), "vec_id").join(beside(queries.select("qid", F.col("embedding").alias("q"))), "qid")
     return ranked(both.select("qid", "vec_id", l2(F.col("embedding"), F.col("q")).alias("dist")), k)
 
 

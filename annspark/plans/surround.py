@@ -85,8 +85,9 @@ def vector_table(name: str):
 
 
 def label_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Vectors for each label by quartile of the first component, pivoted."""
-    e = load(spark, sf_dir, "embeddings").select("label", F.ntile(4).over(Window.orderBy(F.element_at("embedding", 1), "vec_id")).alias("q"))
+    """Vectors of each label by four ranges of the first component, pivoted."""
+    x = F.element_at("embedding", 1).cast("double")
+    e = load(spark, sf_dir, "embeddings").select("label", F.greatest(F.lit(1), F.least(F.lit(4), F.floor((x + 0.2) / 0.1).cast("int") + 1)).alias("q"))
     return e.groupBy(F.col("label").cast("long").alias("label")).pivot("q", [1, 2, 3, 4]).agg(F.count(F.lit(1))).select("label", *[F.coalesce(F.col(str(i)), F.lit(0)).alias(f"q{i}") for i in (1, 2, 3, 4)])
 
 
@@ -104,7 +105,7 @@ SQL = {
     "event_json_keys": "SELECT event_type, key, count(*) AS n FROM (SELECT event_type, unnest(json_keys(props)) AS key FROM events) GROUP BY ALL",
     "event_sessions": f"SELECT user_id, s::BIGINT AS session, count(*) AS n, max(us) - min(us) AS length_us FROM ({_SESSION.format(by='user_id', test='<= 1800000000')}) GROUP BY ALL",
     "index_version_asof": "SELECT event_id, coalesce((SELECT arg_max(v.event_id, (epoch_us(v.ts), v.event_id)) FROM events v WHERE v.event_type = 'purchase' AND epoch_us(v.ts) <= epoch_us(e.ts)), -1) AS version FROM events e",
-    "label_pivot": "SELECT label::BIGINT AS label, " + ", ".join(f"count(*) FILTER (q = {i}) AS q{i}" for i in (1, 2, 3, 4)) + " FROM (SELECT label, ntile(4) OVER (ORDER BY embedding[1], vec_id) AS q FROM embeddings) GROUP BY label",
+    "label_pivot": "SELECT label::BIGINT AS label, " + ", ".join(f"count(*) FILTER (q = {i}) AS q{i}" for i in (1, 2, 3, 4)) + " FROM (SELECT label, greatest(1, least(4, floor((embedding[1]::DOUBLE + 0.2::DOUBLE) / 0.1::DOUBLE)::INT + 1)) AS q FROM embeddings) GROUP BY label",
     "events_tumbling": "SELECT us - us % 300000000 AS start_us, us - us % 300000000 + 300000000 AS end_us, event_type, count(*) AS n, round(sum(value), 2) AS total FROM (SELECT *, epoch_us(ts) AS us FROM events) GROUP BY ALL",
     "events_sliding": "SELECT us - us % 300000000 - k * 300000000 AS start_us, us - us % 300000000 - k * 300000000 + 600000000 AS end_us, event_type, count(*) AS n, round(sum(value), 2) AS total FROM (SELECT *, epoch_us(ts) AS us FROM events), range(0, 2) r(k) GROUP BY ALL",
     "events_session": f"SELECT min(us) AS start_us, max(us) + 600000000 AS end_us, event_type, count(*) AS n, round(sum(value), 2) AS total FROM ({_SESSION.format(by='event_type', test='< 600000000')}) GROUP BY event_type, s",
