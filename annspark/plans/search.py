@@ -9,10 +9,11 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.arrays import Nearest, matrix
+from ..functions.arrays import Nearest, lists, matrix
 from ..operators import activation, scoring, select, transform
 from ..operators.exact import NEIGHBOURS, beside, query_blocks, ranked
 from ..params import Params
@@ -82,7 +83,7 @@ def query(index: Index, queries: DataFrame, params: Params | None = None) -> Ans
     found, stats = spark.createDataFrame([], NEIGHBOURS), spark.createDataFrame([], STATS)
     all_cells = None
     for qids, q in query_blocks(queries):
-        block = spark.createDataFrame([(int(i), v.tolist()) for i, v in zip(qids, q)], "qid long, embedding array<double>").repartition(min(len(qids), spark.sparkContext.defaultParallelism))
+        block = spark.createDataFrame(pa.table({"qid": qids, "embedding": lists(q)})).repartition(min(len(qids), spark.sparkContext.defaultParallelism))
         cells = activation.activate(block, index.space, index.books, index.counts, params.alpha, params.activation, params.cell_distance)
         if probe_of(index, len(qids), params) == "postings":
             scores = materialise(scoring.from_postings(index.postings(), cells), "scores")
