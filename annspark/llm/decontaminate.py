@@ -1,10 +1,11 @@
 """Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment of words.
 
 Words are runs of ASCII letters and digits and of non-ASCII characters, lower-cased. Every n-gram of a
-benchmark item is counted over all documents (documents that hold it). An item's seeds are its
-n-grams held by at most ``rare`` of the documents, and the rarest half of its n-grams in any case, so that
-an item that very many documents copy is still searched. Each document that holds a seed is
-aligned with the item around the seed: local alignment, +2 for an equal word, -1 for another word or a
+benchmark item is counted over all documents (documents that hold it), and every one that a document holds is a
+seed. Around a rare seed, held by at most ``rare`` of the documents, document and item are
+aligned at once. Around hot seeds only, the words that the item shares with the place (repeats counted) are
+counted first: an alignment has no more equal words than that, so places that cannot reach ``min_score`` are
+passed over without loss. ``rare`` decides how much is aligned and never what is found. Local alignment, +2 for an equal word, -1 for another word or a
 gap. The score is the alignment's points over twice the item's words: 1 for a verbatim copy. Copies that
 were edited or paraphrased word by word keep most of it. A pair is reported from ``min_score`` up.
 
@@ -12,13 +13,13 @@ The benchmark is read in blocks of at most about ``block_items`` items, each a b
 and one pass over the documents; the documents are never shuffled. Equal items are searched once and reported by their smallest id.
 
 Edge cases: null and empty texts hold nothing; items of fewer than ``min_words`` words are too short to
-be evidence and match nothing; repeated documents are reported alike; empty tables give no rows; further columns
+be evidence and match nothing; a copy with no n-gram intact has no seed and is not found; repeated documents are reported alike; empty tables give no rows; further columns
 of the documents pass through ``clean``.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -59,7 +60,7 @@ def _ngrams(words: np.ndarray, first: np.ndarray, n: int) -> tuple[np.ndarray, n
 
 @dataclass
 class Items:
-    """A block of benchmark items: words, and the index from n-grams to (item, position)."""
+    """A block of benchmark items: words, the index from n-grams to (item, position), and each item's bag of words."""
 
     ids: np.ndarray
     words: list[np.ndarray]
@@ -68,6 +69,10 @@ class Items:
     places: np.ndarray
     bounds: np.ndarray
     n: int
+    hot: np.ndarray  # for each of grams: whether more documents hold it than is rare
+    vocabulary: np.ndarray  # sorted distinct words
+    bag: np.ndarray  # sorted item * len(vocabulary) + word, and how often the item has it
+    bag_counts: np.ndarray
 
     @classmethod
     def of(cls, rows, n: int, min_words: int) -> Items | None:
@@ -89,7 +94,9 @@ class Items:
         new[1:] = (gram[1:] != gram[:-1]) | (item[1:] != item[:-1])
         gram, item, place = gram[new], item[new], place[new]
         grams, at = np.unique(gram, return_index=True)
-        return cls(ids, words, grams, item, place, np.append(at, len(gram)), n)
+        vocabulary, word = np.unique(np.concatenate(words), return_inverse=True)
+        bag, counts = np.unique(np.repeat(np.arange(len(words)), [len(w) for w in words]) * len(vocabulary) + word, return_counts=True)
+        return cls(ids, words, grams, item, place, np.append(at, len(gram)), n, np.zeros(len(grams), bool), vocabulary, bag, counts)
 
     def hits(self, words: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(index of the n-gram, word position) wherever the texts hold an n-gram of an item."""
@@ -103,15 +110,56 @@ class Items:
         return index[same], at[same]
 
     def seeds(self, held_by: np.ndarray, limit: float) -> Items:
-        """Only the rare n-grams: held by at most ``limit`` documents, or among the rarer half of their item's."""
-        rank = np.repeat(np.arange(len(self.grams)), np.diff(self.bounds))
-        keep = held_by[rank] <= limit
-        order = np.lexsort((rank, held_by[rank], self.items))
-        sizes = np.bincount(self.items, minlength=len(self.ids))
-        nth = np.arange(len(order)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-        keep[order[nth < (sizes[self.items[order]] + 1) // 2]] = True
-        grams, at = np.unique(self.grams[rank[keep]], return_index=True)
-        return Items(self.ids, self.words, grams, self.items[keep], self.places[keep], np.append(at, keep.sum()), self.n)
+        """Only the n-grams that documents hold; those that more than ``limit`` documents hold are hot."""
+        held = held_by > 0
+        sizes = np.diff(self.bounds)
+        entry = np.repeat(held, sizes)
+        bounds = np.append(0, np.cumsum(sizes[held]))
+        return replace(self, grams=self.grams[held], items=self.items[entry], places=self.places[entry], bounds=bounds, hot=held_by[held] > limit)
+
+    def shared(self, words: np.ndarray, item: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
+        """How many words, repeats counted, each item shares with its stretch of the texts' words."""
+        size = len(self.vocabulary)
+        at = np.minimum(np.searchsorted(self.vocabulary, words), size - 1)
+        known = np.flatnonzero(self.vocabulary[at] == words)
+        at = at[known]
+        start, stop = np.searchsorted(known, start), np.searchsorted(known, stop)
+        out, upto = np.zeros(len(item), np.int64), np.cumsum(stop - start)
+        lo = 0
+        while lo < len(item):
+            hi = max(lo + 1, int(np.searchsorted(upto, (upto[lo - 1] if lo else 0) + CELLS, "right")))
+            n = (stop - start)[lo:hi]
+            word = at[np.repeat(start[lo:hi], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)]
+            key, times = np.unique(np.repeat(np.arange(hi - lo), n) * size + word, return_counts=True)
+            row = key // size
+            wanted = item[lo:hi][row] * size + key % size
+            found = np.minimum(np.searchsorted(self.bag, wanted), len(self.bag) - 1)
+            both = np.where(self.bag[found] == wanted, np.minimum(times, self.bag_counts[found]), 0)
+            out[lo:hi] = np.bincount(row, both, hi - lo)
+            lo = hi
+        return out
+
+    def windows(self, gram: np.ndarray, at: np.ndarray, first: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Distinct (text, item, block, whether a rare seed lies there) around the hits; blocks are one item length apart."""
+        reps = self.bounds[gram + 1] - self.bounds[gram]
+        upto = np.cumsum(reps)
+        span = int(np.diff(first).max()) // int(lengths.min()) + 2
+        keys, lo = [], 0
+        while lo < len(gram):
+            # a hot n-gram of many items is spread over its items piece by piece
+            hi = max(lo + 1, int(np.searchsorted(upto, (upto[lo - 1] if lo else 0) + CELLS, "right")))
+            n = reps[lo:hi]
+            entry = np.repeat(self.bounds[gram[lo:hi]], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            place, item = np.repeat(at[lo:hi], n), self.items[entry]
+            text = np.searchsorted(first, place, "right") - 1
+            block = (place - self.places[entry] - first[text]) // lengths[item]
+            keys.append(np.unique((((text * len(self.ids) + item) * span) + block + 1) * 2 + np.repeat(self.hot[gram[lo:hi]], n)))
+            lo = hi
+        key = np.unique(np.concatenate(keys))
+        new = np.append(True, key[1:] // 2 != key[:-1] // 2)  # rare sorts before hot
+        key = key[new]
+        where = key // 2
+        return where // span // len(self.ids), where // span % len(self.ids), where % span - 1, key % 2 == 0
 
 
 def align(items: np.ndarray, texts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -139,19 +187,15 @@ def _matches(index: Items, words, first, min_score):
     gram, at = index.hits(words, first)
     if not len(gram):
         return [np.zeros(0, t) for t in (np.int64, np.int64, float, np.int64)]
-    reps = index.bounds[gram + 1] - index.bounds[gram]
-    entry = np.repeat(index.bounds[gram], reps) + np.arange(reps.sum()) - np.repeat(np.cumsum(reps) - reps, reps)
-    at = np.repeat(at, reps)
-    text = np.searchsorted(first, at, "right") - 1
     lengths = np.array([len(w) for w in index.words])
-    item = index.items[entry]
     # windows of three item lengths, whose starts are one item length apart
-    m = lengths[item]
-    block = (at - index.places[entry] - first[text]) // m
-    windows = np.unique(np.stack([text, item, block]), axis=1)
-    text, item, block = windows
+    text, item, block, rare = index.windows(gram, at, first, lengths)
     start = np.clip(first[text] + (block - 1) * lengths[item], first[text], first[text + 1])
     stop = np.minimum(first[text] + (block + 3) * lengths[item], first[text + 1])
+    may = rare.copy()
+    hot = np.flatnonzero(~rare)
+    may[hot] = 2 * index.shared(words, item[hot], start[hot], stop[hot]) / (2 * lengths[item[hot]]) >= min_score
+    text, item, start, stop = text[may], item[may], start[may], stop[may]
     score, end = np.zeros(len(text)), np.zeros(len(text), np.int64)
     order = np.argsort(lengths[item], kind="stable")
     lo = 0

@@ -323,6 +323,24 @@ def test_decontamination(spark, odd, none):
     assert decontaminate.matches(none, bench).isEmpty() and decontaminate.matches(docs, bench.limit(0)).isEmpty() and decontaminate.clean(docs, bench.limit(0)).count() == 300
 
 
+def test_decontamination_finds_edited_copies_however_many(spark):
+    rng = random.Random(12)
+    item = [f"q{i}" for i in range(40)]
+    edited = " ".join("other" if i % 5 == 4 else w for i, w in enumerate(item))
+    common = " ".join(item[:3])  # a hot n-gram alone is no copy
+    bench = spark.createDataFrame([(7, " ".join(item)), (8, " ".join(item[:3] + [f"z{i}" for i in range(30)]))], "item_id long, text string")
+    stock = [f"w{i}" for i in range(300)]
+    for n, copies in ((200, 1), (900, 1), (1500, 40)):
+        rows = [(i, words(rng, 30, stock) + " " + (edited if i < copies else common if i % 3 == 0 else "") + " " + words(rng, 30, stock), "en", "a") for i in range(n)]
+        docs = table(spark, rows)
+        got = decontaminate.matches(docs, bench).collect()
+        assert {(r.doc_id, r.item_id) for r in got} == {(i, 7) for i in range(copies)} and all(0.68 < r.score < 0.72 for r in got)
+        assert decontaminate.clean(docs, bench).count() == n - copies
+        # how rare is rare changes what is aligned at once, not what is found
+        for rare in (0.0, 1.0):
+            assert sorted(decontaminate.matches(docs, bench, rare=rare, min_score=0.05).collect()) == sorted(decontaminate.matches(docs, bench, min_score=0.05).collect())
+
+
 # ---- urls
 
 
