@@ -9,9 +9,11 @@ import os
 from functools import cache
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .functions.arrays import lists
 from .operators import activation, allocate, exact, imi, linalg, metrics, scoring, select, theory, transform, weights
 from .oracles.pipeline import KNN, Pipeline
 from .params import Params, preset
@@ -58,15 +60,25 @@ def _knn(df: DataFrame) -> DataFrame:
     return _longs(df.select("qid", "rank", "vec_id", "dist"))
 
 
-def _scorer(spark, sf_dir):
+def _scorers(spark, sf_dir):
+    """(base, its space, an exact scorer for each block of queries)."""
     base, queries = fixture(spark, sf_dir, "embeddings")
 
     def make():
-        qids, q = next(exact.query_blocks(queries))
         space = transform.fit(base, Params(**(TINY | {"space": "agnostic"})))
-        return scoring.exact_scorer(base, qids, q, space, Params(**TINY).collisions(base.count()))
+        return space, scoring.exact_scorers(base, queries, space, Params(**TINY).collisions(base.count()))
 
-    return base, kept(spark, ("exact scorer", sf_dir), make)
+    return base, *kept(spark, ("exact scorers", sf_dir), make)
+
+
+def _exact_scores(spark, sf_dir):
+    base, _, scorers = _scorers(spark, sf_dir)
+    return base, scoring.over_blocks(lambda s: scoring.score_table(base, s), scorers)
+
+
+def _exact_collisions(spark, sf_dir):
+    base, space, scorers = _scorers(spark, sf_dir)
+    return base, space, scoring.over_blocks(lambda s: scoring.collision_table(base, s), scorers)
 
 
 def _cells(spark, sf_dir, way="heap", **changes):
@@ -75,13 +87,23 @@ def _cells(spark, sf_dir, way="heap", **changes):
     return index, activation.activate(queries, index.space, index.books, index.counts, index.params.alpha, way, index.params.cell_distance)
 
 
-def _cell_scorer(spark, sf_dir):
+def _cell_scorers(spark, sf_dir):
+    """(index, a scorer for each block of queries from the block's own cells)."""
+
     def make():
-        index, cells = _cells(spark, sf_dir)
-        qids, q = next(exact.query_blocks(fixture(spark, sf_dir, "embeddings")[1]))
-        return index, scoring.cell_scorer(qids, q, cells, index.params.ns, index.params.side)
+        index, scorers = _agnostic(spark, sf_dir), []
+        for qids, q in exact.query_blocks(fixture(spark, sf_dir, "embeddings")[1]):
+            block = spark.createDataFrame(pa.table({"qid": qids, "embedding": lists(q)}))
+            cells = activation.activate(block, index.space, index.books, index.counts, index.params.alpha, "heap", index.params.cell_distance)
+            scorers.append(scoring.cell_scorer(qids, q, cells, index.params.ns, index.params.side))
+        return index, scorers
 
-    return kept(spark, ("cell scorer", sf_dir), make)
+    return kept(spark, ("cell scorers", sf_dir), make)
+
+
+def _histogram(spark, sf_dir):
+    index, scorers = _cell_scorers(spark, sf_dir)
+    return index, scoring.over_blocks(lambda s: select.histogram(index.points, s, 8), scorers)
 
 
 # ---- core methods
@@ -110,8 +132,7 @@ def ratio_contract(spark, sf_dir):
 
 
 def collision_exact_score(spark, sf_dir):
-    base, scorer = _scorer(spark, sf_dir)
-    return _longs(scoring.score_table(base, scorer))
+    return _longs(_exact_scores(spark, sf_dir)[1])
 
 
 def collisions_declared(spark, sf_dir):
@@ -122,9 +143,8 @@ def collisions_declared(spark, sf_dir):
 
 
 def score_profile_raw(spark, sf_dir):
-    base, scorer = _scorer(spark, sf_dir)
     distances = exact.within(*fixture(spark, sf_dir, "embeddings"), float("inf"))
-    return _longs(metrics.profile(scoring.score_table(base, scorer), distances), 6)
+    return _longs(metrics.profile(_exact_scores(spark, sf_dir)[1], distances), 6)
 
 
 def collision_scan_knn(spark, sf_dir):
@@ -193,8 +213,8 @@ def activation_work(spark, sf_dir):
 
 
 def score_from_codes(spark, sf_dir):
-    index, scorer = _cell_scorer(spark, sf_dir)
-    return _longs(scoring.score_table(index.points, scorer))
+    index, scorers = _cell_scorers(spark, sf_dir)
+    return _longs(scoring.over_blocks(lambda s: scoring.score_table(index.points, s), scorers))
 
 
 def score_from_postings(spark, sf_dir):
@@ -203,22 +223,25 @@ def score_from_postings(spark, sf_dir):
 
 
 def score_histogram(spark, sf_dir):
-    index, scorer = _cell_scorer(spark, sf_dir)
-    return _longs(select.histogram(index.points, scorer, 8))
+    return _longs(_histogram(spark, sf_dir)[1])
 
 
 def _cutoff(rule):
     def run(spark, sf_dir):
-        index, scorer = _cell_scorer(spark, sf_dir)
-        return _longs(select.cutoffs(select.histogram(index.points, scorer, 8), 0.1, index.n, rule))
+        index, hist = _histogram(spark, sf_dir)
+        return _longs(select.cutoffs(hist, 0.1, index.n, rule))
 
     return run
 
 
 def candidates_fixed(spark, sf_dir):
-    index, scorer = _cell_scorer(spark, sf_dir)
-    choice = select.by_number(select.histogram(index.points, scorer, 8), index.points, scorer, index.params.budget(index.n), 8)
-    return _longs(select.candidates(index.points, scorer, choice))
+    index, scorers = _cell_scorers(spark, sf_dir)
+
+    def chosen(scorer):
+        choice = select.by_number(select.histogram(index.points, scorer, 8), index.points, scorer, index.params.budget(index.n), 8)
+        return select.candidates(index.points, scorer, choice)
+
+    return _longs(scoring.over_blocks(chosen, scorers))
 
 
 def _method(name, table="embeddings", **changes):
@@ -237,25 +260,25 @@ def result_overlap(spark, sf_dir):
 
 def _weighted(measure):
     def run(spark, sf_dir):
-        base, scorer = _scorer(spark, sf_dir)
-        return _longs(scoring.weighted(scoring.collision_table(base, scorer), measure(base, scorer.space)))
+        base, space, collisions = _exact_collisions(spark, sf_dir)
+        return _longs(scoring.weighted(collisions, measure(base, space)))
 
     return run
 
 
 def gap_by_query(spark, sf_dir):
-    base, scorer = _scorer(spark, sf_dir)
-    return _longs(theory.gap(scoring.score_table(base, scorer), _truth(spark, sf_dir), base.count(), 8), 6)
+    base, scores = _exact_scores(spark, sf_dir)
+    return _longs(theory.gap(scores, _truth(spark, sf_dir), base.count(), 8), 6)
 
 
 def error_bound(spark, sf_dir):
-    base, scorer = _scorer(spark, sf_dir)
-    return _longs(theory.error_bound(theory.gap(scoring.score_table(base, scorer), _truth(spark, sf_dir), base.count(), 8), 8), 6)
+    base, scores = _exact_scores(spark, sf_dir)
+    return _longs(theory.error_bound(theory.gap(scores, _truth(spark, sf_dir), base.count(), 8), 8), 6)
 
 
 def type_errors(spark, sf_dir):
-    base, scorer = _scorer(spark, sf_dir)
-    return _longs(theory.separation(scoring.score_table(base, scorer), _truth(spark, sf_dir), base.count(), 8), 6)
+    base, scores = _exact_scores(spark, sf_dir)
+    return _longs(theory.separation(scores, _truth(spark, sf_dir), base.count(), 8), 6)
 
 
 def _truth_pairs(spark, sf_dir, table):
@@ -300,9 +323,9 @@ def transformed_norms(spark, sf_dir):
 
 def score_profile_transformed(spark, sf_dir):
     base, queries = fixture(spark, sf_dir, "skewed")
-    qids, q = next(exact.query_blocks(queries))
-    scorer = scoring.exact_scorer(base, qids, q, _adaptive_space(spark, sf_dir), Params(**TINY).collisions(base.count()))
-    return _longs(metrics.profile(scoring.score_table(base, scorer), exact.within(base, queries, float("inf"))), 6)
+    scorers = scoring.exact_scorers(base, queries, _adaptive_space(spark, sf_dir), Params(**TINY).collisions(base.count()))
+    scores = scoring.over_blocks(lambda s: scoring.score_table(base, s), scorers)
+    return _longs(metrics.profile(scores, exact.within(base, queries, float("inf"))), 6)
 
 
 def dim_reduction(spark, sf_dir):
@@ -365,10 +388,10 @@ def filtered_knn_post(spark, sf_dir):
 
 def collision_fidelity(spark, sf_dir):
     """Share of the true collisions of every query that its activated cells contain."""
-    base, scorer = _scorer(spark, sf_dir)
+    true = _exact_collisions(spark, sf_dir)[2]
     index, cells = _cells(spark, sf_dir)
     found = index.postings().join(cells.select("qid", "subspace", "c1", "c2"), ["subspace", "c1", "c2"]).select("qid", "subspace", "vec_id")
-    return _longs(metrics.fidelity(found, scoring.collision_table(base, scorer)))
+    return _longs(metrics.fidelity(found, true))
 
 
 def candidate_spread(spark, sf_dir):

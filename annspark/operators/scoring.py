@@ -7,6 +7,7 @@ what crosses the network is what the callers make of the scores.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -14,6 +15,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.arrays import matrix
+from .exact import query_blocks
 from .transform import Space
 
 WAYS_A_ROUND = 256
@@ -145,6 +147,11 @@ def exact_scorer(base: DataFrame, qids: np.ndarray, q: np.ndarray, space: Space,
     return ExactScorer(qids, q, space, limit.reshape(len(q), ns), last_id.reshape(len(q), ns))
 
 
+def exact_scorers(base: DataFrame, queries: DataFrame, space: Space, take: int) -> list[ExactScorer]:
+    """An exact scorer for each block of queries."""
+    return [exact_scorer(base, qids, q, space, take) for qids, q in query_blocks(queries)]
+
+
 def cell_scorer(qids: np.ndarray, q: np.ndarray, cells: DataFrame, ns: int, l: int) -> CellScorer:
     """A scorer from activated cells: ns * K flags a query."""
     got = cells.select("qid", "subspace", "c1", "c2").toArrow()
@@ -154,6 +161,11 @@ def cell_scorer(qids: np.ndarray, q: np.ndarray, cells: DataFrame, ns: int, l: i
     return CellScorer(qids, q, bitmap)
 
 
+def over_blocks(part, scorers: list) -> DataFrame:
+    """The union of ``part(scorer)`` over the scorers of all blocks of queries."""
+    return reduce(DataFrame.unionByName, map(part, scorers))
+
+
 def score_table(points: DataFrame, scorer, keep_zero: bool = False) -> DataFrame:
     """(qid, vec_id, score) of the points that collide at all (or of all)."""
     shared = points.sparkSession.sparkContext.broadcast(scorer)

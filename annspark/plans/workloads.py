@@ -48,10 +48,8 @@ def _report(spark: SparkSession, rows: list[dict]) -> DataFrame:
 def _profile(spark, sf_dir, table, params: Params) -> DataFrame:
     base, queries = fixture(spark, sf_dir, table)
     base = materialise(base, "base")
-    qids, q = next(exact.query_blocks(queries))
-    space = transform.fit(base, params)
-    scorer = scoring.exact_scorer(base, qids, q, space, params.collisions(base.count()))
-    shown = metrics.profile(scoring.score_table(base, scorer), exact.within(base, queries, float("inf")))
+    scorers = scoring.exact_scorers(base, queries, transform.fit(base, params), params.collisions(base.count()))
+    shown = metrics.profile(scoring.over_blocks(lambda s: scoring.score_table(base, s), scorers), exact.within(base, queries, float("inf")))
     return shown.select(F.lit(table).alias("table"), F.lit(params.ns).alias("ns"), F.lit(params.alpha).alias("alpha"), "percentile", "mean_score")
 
 
@@ -202,10 +200,10 @@ def weighting(spark: SparkSession, sf_dir: str, table: str = "skewed") -> DataFr
     """Recall of the scan with weighted collisions, against plain ones."""
     base, queries, truth = _case(spark, sf_dir, table)
     p = Params(**(BASE | {"space": "agnostic"}))
-    qids, q = next(exact.query_blocks(queries))
-    scorer = scoring.exact_scorer(base, qids, q, transform.fit(base, p), p.collisions(base.count()))
-    collisions = materialise(scoring.collision_table(base, scorer), "collisions")
-    given = {"none": np.ones(p.ns)} | {f"{n}{'_inverse' * i}": f(base, scorer.space, inverse=i) for n, f in (("variance", weights.variance), ("mean_distance", weights.mean_distance), ("lid", weights.lid)) for i in (False, True)}
+    space = transform.fit(base, p)
+    scorers = scoring.exact_scorers(base, queries, space, p.collisions(base.count()))
+    collisions = materialise(scoring.over_blocks(lambda s: scoring.collision_table(base, s), scorers), "collisions")
+    given = {"none": np.ones(p.ns)} | {f"{n}{'_inverse' * i}": f(base, space, inverse=i) for n, f in (("variance", weights.variance), ("mean_distance", weights.mean_distance), ("lid", weights.lid)) for i in (False, True)}
     rows = []
     for name, w in given.items():
         chosen = select.fixed(scoring.weighted(collisions, w), p.budget(base.count()))
@@ -223,8 +221,8 @@ def theory_checks(spark: SparkSession, sf_dir: str, tables=("embeddings", "skewe
         for kind in ("agnostic", "adaptive"):
             p = Params(**(BASE | {"space": kind}))
             space = transform.fit(base, p)
-            qids, q = next(exact.query_blocks(queries))
-            scores = materialise(scoring.score_table(base, scoring.exact_scorer(base, qids, q, space, p.collisions(n))), "scores")
+            scorers = scoring.exact_scorers(base, queries, space, p.collisions(n))
+            scores = materialise(scoring.over_blocks(lambda s, base=base: scoring.score_table(base, s), scorers), "scores")
             gaps = theory.gap(scores, truth, n, p.ns)
             mean = gaps.agg(F.avg("gap").alias("gap")).first().gap
             bound = theory.error_bound(gaps, p.ns).agg(F.avg("bound").alias("b")).first().b
