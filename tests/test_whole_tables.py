@@ -1,9 +1,11 @@
 """Registered queries look at all queries and all rows, whatever the limits of one pass."""
 
+import numpy as np
 import pytest
 
 from annspark import catalog
-from annspark.operators import exact
+from annspark.operators import exact, transform, weights
+from annspark.params import Params
 
 SF = "/root/testdata/sf0.001"
 BY_BLOCKS = ["collision_exact_score", "score_from_codes", "score_histogram", "cutoff_lookahead", "candidates_fixed", "collision_fidelity", "gap_by_query", "score_profile_transformed"]
@@ -26,3 +28,19 @@ def test_every_block_of_queries_is_answered(spark, fresh, monkeypatch):
     monkeypatch.setattr(exact, "QUERY_BYTES", 64 * 8 * 2)
     assert len(list(exact.query_blocks(catalog.fixture(spark, SF, "embeddings")[1]))) > 1
     assert {name: sorted(catalog.CORE[name](spark, SF).collect()) for name in BY_BLOCKS} == whole
+
+
+def test_dimensionality_weights_look_at_all_rows(spark):
+    rng = np.random.default_rng(3)
+    # the later ids are of lower dimension in the first subspace
+    x = rng.standard_normal((700, 4))
+    x[512:, 1] = x[512:, 0]
+    x[20] = x[19]
+    base = spark.createDataFrame([(i, [float(v) for v in row]) for i, row in enumerate(x)], "vec_id long, embedding array<double>").cache()
+    space = transform.fit(base, Params(space="agnostic", ns=2, s=2))
+    expected = []
+    for p in space.parts(x):
+        near = np.sort(np.sqrt(((p[:, None] - p[None]) ** 2).sum(axis=2)), axis=1)[:, 1:21]
+        near = near[near[:, 0] > 0]
+        expected.append(np.mean(-1 / np.mean(np.log(near[:, :-1] / near[:, -1:]), axis=1)))
+    assert np.allclose(weights.lid(base, space), np.array(expected) / np.mean(expected), rtol=1e-6)
