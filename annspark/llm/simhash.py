@@ -18,8 +18,8 @@ when they have such a neighbour in common, at most 65 fingerprints share one, an
 within two bits of each other, so a star to the smallest of them is made of true links and keeps the
 components. That is linear in the list and loses nothing.
 
-Edge cases: a null doc_id keeps its fingerprint and takes part in no component of its own (component_id
-is the smallest id reachable through its fingerprint, null if there is none); repeated rows give repeated rows; an
+Edge cases: a document with a null doc_id links like any other and lends no id (component_id
+is the smallest id reachable, null if there is none); ``keep_one`` keeps one row of each component, with or without ids; repeated rows give repeated rows; an
 empty table gives no rows; further columns of the input are ignored.
 """
 
@@ -79,12 +79,13 @@ def _fingerprint_batches(batches):
             if i + 1 == len(texts) or sum(map(len, held[-64:])) > 1 << 16 or len(held) >= 256:
                 out[at : i + 1] = majority(np.concatenate([np.frombuffer(h, np.uint64) for h in held]), np.array([len(h) for h in held]))
                 held, at = [], i + 1
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(out.view(np.int64))], names=["doc_id", "fp"])
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(out.view(np.int64)), *batch.columns[2:]], names=["doc_id", "fp", *batch.schema.names[2:]])
 
 
-def fingerprints(docs: DataFrame) -> DataFrame:
-    """(doc_id, fp): one row per document, the fingerprint as a signed 64-bit integer."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_fingerprint_batches, "doc_id long, fp long")
+def fingerprints(docs: DataFrame, hashed: bool = False) -> DataFrame:
+    """(doc_id, fp), and text_hash if ``hashed``: one row per document, the fingerprint as a signed 64-bit integer."""
+    more = [F.xxhash64("text").alias("text_hash")] * hashed
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *more).mapInArrow(_fingerprint_batches, "doc_id long, fp long" + ", text_hash long" * hashed)
 
 
 def _index(fps: DataFrame) -> DataFrame:
@@ -124,15 +125,20 @@ def links(fps: DataFrame, list_limit: int = 8) -> DataFrame:
 
 
 def components(links_: DataFrame, nodes: DataFrame) -> DataFrame:
-    """(node, label): the smallest ``own`` label reachable. links (a, b), nodes (node, own).
+    """(node, label): the smallest ``own`` label reachable. links (a, b), nodes (node, own)."""
+    return _roots(links_, nodes).select("node", F.col("label.own").alias("label"))
+
+
+def _roots(links_: DataFrame, nodes: DataFrame) -> DataFrame:
+    """(node, label): the smallest (own, node) reachable, as a struct; any ``own`` comes before null.
 
     Each round takes the smallest label among the neighbours and then the label of the label's node
     (so paths halve); rounds end when no label falls. Tables are cut to the shared folder each round.
     """
     both = cut(links_.select("a", "b").unionByName(links_.select(F.col("b").alias("a"), F.col("a").alias("b"))), "links")
     touched = both.select(F.col("a").alias("node")).distinct()
-    # a label is the node that stands for it: nodes are ordered by (own, node)
-    labels = cut(nodes.join(touched, "node").select("node", F.struct("own", "node").alias("label")), "labels")
+    # a label is the node that stands for it: nodes are ordered by (own, node), those without own last
+    labels = cut(nodes.join(touched, "node").select("node", _label("node").alias("label")), "labels")
     total = None
     while True:
         heard = both.join(labels.select(F.col("node").alias("b"), "label"), "b").select(F.col("a").alias("node"), "label")
@@ -143,27 +149,42 @@ def components(links_: DataFrame, nodes: DataFrame) -> DataFrame:
         labels = cut(jumped, "labels")
         forget(low)
         # labels only fall, so the exact sum of their nodes' ids and numbers stays only when all of them do
-        now = labels.agg(*[F.sum(F.col(f"label.{c}").cast("decimal(38,0)")) for c in ("own", "node")]).first()
+        now = labels.agg(*[F.sum(F.col(f"label.{c}").cast("decimal(38,0)")) for c in ("none", "own", "node")]).first()
         if total == now:
-            return labels.select("node", F.col("label.own").alias("label"))
+            return labels
         total = now
 
 
+def _label(node: str):
+    return F.struct(F.col("own").isNull().cast("int").alias("none"), "own", F.col(node).alias("node"))
+
+
+def _grouped(prints: DataFrame, list_limit: int) -> DataFrame:
+    """``prints`` (doc_id, fp, ...) with the label of each row's component."""
+    classes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("own")), "classes")
+    found = _roots(links(classes.select("fp"), list_limit), classes.withColumnRenamed("fp", "node"))
+    resolved = cut(classes.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("label", _label("fp")).alias("label")), "resolved")
+    return prints.join(resolved, "fp")
+
+
 def near_duplicates(docs: DataFrame, list_limit: int = 8) -> DataFrame:
     """(doc_id, fp, component_id) for every document."""
     prints = cut(fingerprints(docs), "fingerprints")
-    classes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("own")), "classes")
-    found = components(links(classes.select("fp"), list_limit), classes.where("own IS NOT NULL").withColumnRenamed("fp", "node"))
-    resolved = cut(classes.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("label", "own").alias("component_id")), "resolved")
-    return prints.join(resolved, "fp").select("doc_id", "fp", "component_id")
+    return _grouped(prints, list_limit).select("doc_id", "fp", F.col("label.own").alias("component_id"))
 
 
-def keep_one(docs: DataFrame) -> DataFrame:
-    """``docs`` with one document of each group: the one whose id is the group's smallest (repeats of that row: one)."""
-    firsts = near_duplicates(docs.select("doc_id", "text")).where("doc_id = component_id OR doc_id IS NULL").select("doc_id").distinct()
-    one = Window.partitionBy("doc_id").orderBy(*[c for c in docs.columns if c != "doc_id"])
-    kept = docs.join(firsts.where("doc_id IS NOT NULL"), "doc_id", "left_semi").withColumn("_copy", F.row_number().over(one)).where("_copy = 1")
-    return kept.select(docs.columns).unionByName(docs.where("doc_id IS NULL"))
+def keep_one(docs: DataFrame, list_limit: int = 8) -> DataFrame:
+    """``docs`` with one document of each group: the one of the group's smallest id, or without an id if none has one.
+
+    A row is known by its id and its text, so rows that share an id and hold texts of different groups stay apart.
+    """
+    prints = cut(fingerprints(docs, hashed=True), "fingerprints")
+    best = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "text_hash"))
+    firsts = _grouped(prints, list_limit).groupBy("label.node").agg(best.alias("m")).select(F.col("m.doc_id").alias("_id"), F.col("m.text_hash").alias("_hash"))
+    own, text = F.col("doc_id").cast("long"), F.xxhash64("text")
+    one = Window.partitionBy(own, text).orderBy(*[c for c in docs.columns if c != "doc_id"])
+    kept = docs.join(firsts, own.eqNullSafe(F.col("_id")) & (text == F.col("_hash")), "left_semi")
+    return kept.withColumn("_copy", F.row_number().over(one)).where("_copy = 1").select(docs.columns)
 
 
 def query(spark, sf_dir):

@@ -256,6 +256,21 @@ def test_keep_one(odd, none):
     assert sorted(r.doc_id or -1 for r in kept.collect()) == [-1, 1, 4, 5] and kept.columns == odd.columns and simhash.keep_one(none).isEmpty()
 
 
+def test_keep_one_of_irregular_ids(spark):
+    rng = random.Random(13)
+    a, b, c, d = ([f"{k}{rng.randrange(500)}" for _ in range(60)] for k in "abcd")
+    prints = lambda w: plain_fingerprint(" ".join(w))
+    apart = lambda x, y: bin(prints(x) ^ prints(y)).count("1")
+    # a chain whose ends are too far apart to link without the middle, which has no id
+    while True:
+        ends = [d[:i] + [f"e{rng.randrange(9**6)}"] + d[i + 1 :] for i in (rng.randrange(60), rng.randrange(60))]
+        if all(1 <= apart(d, e) <= 2 for e in ends) and apart(*ends) > 2:
+            break
+    rows = [(1, a), (2, a), (2, b), (None, c), (None, c), (None, a), (7, ends[0]), (None, d), (8, ends[1])]
+    got = simhash.keep_one(table(spark, [(i, " ".join(w), "en", "s") for i, w in rows])).collect()
+    assert sorted((r.doc_id or -1, r.text[0]) for r in got) == [(-1, "c"), (1, "a"), (2, "b"), (7, ends[0][0][0])]
+
+
 # ---- quality and language
 
 
