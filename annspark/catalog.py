@@ -298,8 +298,9 @@ def distance_bounds(spark, sf_dir):
 
 
 def order_violations(spark, sf_dir):
-    base, pairs = _truth_pairs(spark, sf_dir, "skewed")
-    found = theory.order_violations(materialise(theory.distance_bounds(base, pairs, _adaptive_space(spark, sf_dir)), "bounds"))
+    """Over every query and all rows."""
+    base, queries = fixture(spark, sf_dir, "skewed")
+    found = theory.query_order_violations(materialise(theory.query_bounds(base, queries, _adaptive_space(spark, sf_dir)), "bounds"))
     return found.agg(F.count(F.lit(1)).alias("violations"))
 
 

@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.vector import l2sq
+from .exact import beside
 from .transform import Space, apply
 
 
@@ -59,5 +60,25 @@ def order_violations(bounds: DataFrame) -> DataFrame:
     return kept.select(F.col("a.i").alias("i"), F.col("a.j").alias("j"), F.col("b.j").alias("z"))
 
 
+def query_bounds(base: DataFrame, queries: DataFrame, space: Space) -> DataFrame:
+    """(qid, vec_id, full, kept, eps) of every query with every row."""
+    parts = apply(base, space).select("vec_id", F.flatten("parts").alias("p")).join(base.select("vec_id", "embedding"), "vec_id")
+    asked = apply(queries, space, "qid").select("qid", F.flatten("parts").alias("pq")).join(queries.select("qid", F.col("embedding").alias("q")), "qid")
+    both = parts.crossJoin(beside(asked)).select("qid", "vec_id", l2sq(F.col("embedding"), F.col("q")).alias("full"), l2sq(F.col("p"), F.col("pq")).alias("kept"))
+    return both.withColumn("eps", F.when(F.col("full") > 0, 1 - F.col("kept") / F.col("full")).otherwise(0.0))
+
+
+def query_order_violations(bounds: DataFrame) -> DataFrame:
+    """(qid, j, z) as ``order_violations`` has it, over all rows of every query: by one sort a query, and a join of the violating rows alone."""
+    worst = F.lit(bounds.agg(F.max("eps")).first()[0])
+    low = bounds.select("qid", ((1 - worst) * F.col("full")).alias("key"), F.lit(1).alias("kind"), F.col("vec_id").alias("z"), F.col("kept").alias("kept_z"))
+    rows = bounds.select("qid", F.col("full").alias("key"), F.lit(0).alias("kind"), F.col("vec_id").alias("z"), F.col("kept").alias("kept_z"))
+    beyond = Window.partitionBy("qid").orderBy(F.desc("key"), "kind").rowsBetween(Window.unboundedPreceding, -1)
+    least = F.min(F.when(F.col("kind") == 1, F.col("kept_z"))).over(beyond)
+    bad = low.unionByName(rows).withColumn("least", least).where((F.col("kind") == 0) & (F.col("kept_z") > F.col("least") * (1 + 1e-9)))
+    bad = bad.select("qid", F.col("key").alias("full"), F.col("z").alias("j"), F.col("kept_z").alias("kept"))
+    return bad.join(low, "qid").where((F.col("full") < F.col("key")) & (F.col("kept") > F.col("kept_z") * (1 + 1e-9))).select("qid", "j", "z")
+
+
 def cov_trace(cov: np.ndarray) -> float:
     return float(np.trace(cov))

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from annspark import catalog
-from annspark.operators import exact, transform, weights
+from annspark.operators import exact, theory, transform, weights
 from annspark.params import Params
 
 SF = "/root/testdata/sf0.001"
@@ -44,3 +44,14 @@ def test_dimensionality_weights_look_at_all_rows(spark):
         near = near[near[:, 0] > 0]
         expected.append(np.mean(-1 / np.mean(np.log(near[:, :-1] / near[:, -1:]), axis=1)))
     assert np.allclose(weights.lid(base, space), np.array(expected) / np.mean(expected), rtol=1e-6)
+
+
+def test_order_is_checked_over_all_rows(spark, fresh):
+    base, queries = catalog.fixture(spark, SF, "skewed")
+    assert theory.query_bounds(base, queries, catalog._adaptive_space(spark, SF)).count() == base.count() * queries.count()
+    assert catalog.order_violations(spark, SF).first().violations == 0
+    rng = np.random.default_rng(4)
+    rows = [(q, i, float(f), float(k), 0.1) for q in range(2) for i, (f, k) in enumerate(rng.random((80, 2)))]
+    expected = sorted((a[0], a[1], b[1]) for a in rows for b in rows if a[0] == b[0] and a[2] < (1 - 0.1) * b[2] and a[3] > b[3] * (1 + 1e-9))
+    got = theory.query_order_violations(spark.createDataFrame(rows, "qid long, vec_id long, full double, kept double, eps double"))
+    assert expected and sorted(tuple(r) for r in got.collect()) == expected
