@@ -1,6 +1,12 @@
 """The driver's contract, and plans at scale: what is read and what is shuffled."""
 
+import shutil
+import subprocess
+import sys
+from pathlib import Path
+
 import numpy as np
+import pytest
 
 import __spark_entry__
 from pyspark.sql import functions as F
@@ -25,6 +31,17 @@ def test_contract(spark):
     assert __spark_entry__.entry(spark).columns == ["qid", "rank", "vec_id", "dist"]
 
 
+@pytest.mark.parametrize("gone", [("annspark/llm", "tests/llm"), ("annspark/llm", "tests/llm", "corpus_pipeline.py"), ("corpus_pipeline.py",)])
+def test_contract_without_the_training_data_operators(tmp_path, gone):
+    """The engine's queries import and are all there when the optional folders are deleted."""
+    root = Path(__spark_entry__.__file__).parent
+    shutil.copytree(root, tmp_path / "copy", ignore=shutil.ignore_patterns(".git", "__pycache__", *gone, *(Path(g).name for g in gone)))
+    code = "import __spark_entry__ as e; q = e.queries(); assert set(e.oracle_sql()) <= set(q); print(sum(not k.startswith('op') and k != 'pipeline' for k in q), 'pipeline' in q)"
+    done = subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "copy", capture_output=True, text=True, timeout=120, check=False)
+    own = sum(not k.startswith("op") and k != "pipeline" for k in __spark_entry__.queries())
+    assert done.stdout.split() == [str(own), "False"], done.stderr[-2000:]
+
+
 def test_plans(spark):
     base, queries = fixture(spark, SF, "embeddings")
     p = Params(ns=4, s=4, cells=16, t=1, space="agnostic")
