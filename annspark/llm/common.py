@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -10,6 +9,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
+from ..sources.work import work_dir as shared_dir
+
 #: Bytes of text that a Python worker handles at once; a longer text is a batch of its own.
 SLICE_BYTES = 1 << 19
 #: The word separators of every contract: space and \t\n\v\f\r.
@@ -22,15 +23,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of our own where that is unset."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not found:
-        found = spark.sparkContext.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="annspark-shared-")
-        spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
+def without(docs: DataFrame, *names: str) -> DataFrame:
+    """``docs`` less the columns that an operator gives anew: where a name clashes, the operator's column takes its place."""
+    gone = {n.lower() for n in names}
+    return docs.drop(*[c for c in docs.columns if c.lower() in gone])
+
+
+def free(docs: DataFrame, name: str) -> str:
+    """``name``, lengthened until no column of ``docs`` has it: for columns that an operator needs inside."""
+    held = {c.lower() for c in docs.columns}
+    while name.lower() in held:
+        name += "_"
+    return name
 
 
 def cut(df: DataFrame, name: str) -> DataFrame:
@@ -85,6 +89,18 @@ def word_spans(buf: np.ndarray, offsets: np.ndarray, breaks: np.ndarray = SPACES
     return starts, ends, np.searchsorted(starts, offsets)
 
 
+def word_runs(starts: np.ndarray, ends: np.ndarray, limit: int = SLICE_BYTES) -> Iterator[tuple[int, int, int, int]]:
+    """Runs ``i:j`` of words, and the bytes ``lo:hi`` that they lie in: about ``limit`` bytes, or one longer word.
+
+    A long text is worked through run by run, so that what is held for each byte is held for one run only.
+    """
+    i = 0
+    while i < len(starts):
+        j = max(i + 1, int(np.searchsorted(ends, starts[i] + limit, "right")))
+        yield i, j, int(starts[i]), int(ends[j - 1])
+        i = j
+
+
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _powers: list[np.ndarray] = []
 
@@ -112,5 +128,11 @@ def span_hashes(codes: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.n
     return mix((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64))
 
 
+def word_hashes(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """``span_hashes`` of words in order, run by run."""
+    runs = [span_hashes(buf[lo:hi], starts[i:j] - lo, ends[i:j] - lo) for i, j, lo, hi in word_runs(starts, ends)]
+    return np.concatenate(runs) if runs else np.zeros(0, np.uint64)
+
+
 def lower_ascii(buf: np.ndarray) -> np.ndarray:
     return np.where((buf >= 65) & (buf <= 90), buf + np.uint8(32), buf)

@@ -9,16 +9,20 @@ passed over without loss. ``rare`` decides how much is aligned and never what is
 gap. The score is the alignment's points over twice the item's words: 1 for a verbatim copy. Copies that
 were edited or paraphrased word by word keep most of it. A pair is reported from ``min_score`` up.
 
-The benchmark is read in blocks of at most about ``block_items`` items, each a broadcast of bounded size
-and one pass over the documents; the documents are never shuffled. Equal items are searched once and reported by their smallest id.
+Items of fewer than ``min_words`` words are too short for a score to be evidence: they match where a document holds all their words in a row, and only there.
 
-Edge cases: null and empty texts hold nothing; items of fewer than ``min_words`` words are too short to
-be evidence and match nothing; a copy with no n-gram intact has no seed and is not found; repeated documents are reported alike; empty tables give no rows; further columns
-of the documents pass through ``clean``.
+The benchmark is read in blocks of at most about ``block_items`` items and ``BLOCK_CHARS`` characters (one item may be longer), each a broadcast of bounded size
+and one pass over the documents; the documents are never shuffled. Equal items are searched once and reported by their smallest id. Words are
+hashed run by run of ``SLICE_BYTES``, so what a very long text holds is a few numbers a word. An item of m words is aligned with a window of 4 m words, row by row: memory is linear in m, time quadratic.
+
+Edge cases: null and empty texts and items without words hold and match nothing; a copy with no n-gram intact has no seed and is not found; repeated documents are reported alike;
+of tied alignments of one pair the one that ends first is reported; a document that holds several items is reported with each; empty tables give no rows; further columns
+of the documents pass through ``clean``, whatever their names.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, replace
 
 import numpy as np
@@ -26,13 +30,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix, span_hashes, table, text_slices, word_spans
+from .common import free, mix, table, text_slices, word_hashes, word_spans
 
 NGRAM = 3
 MIN_WORDS = 6
 MIN_SCORE = 0.45
 RARE = 1e-3
 BLOCK_ITEMS = 5_000
+BLOCK_CHARS = 8 << 20
 #: Rows of the alignment that are worked on at once.
 CELLS = 1 << 20
 BREAKS = np.array([not (chr(i).isascii() and chr(i).isalnum()) and i < 128 for i in range(256)])
@@ -40,7 +45,7 @@ BREAKS = np.array([not (chr(i).isascii() and chr(i).isalnum()) and i < 128 for i
 
 def _words(buf, offsets):
     starts, ends, first = word_spans(buf, offsets, BREAKS)
-    return span_hashes(buf, starts, ends), first
+    return word_hashes(buf, starts, ends), first
 
 
 def _ngrams(words: np.ndarray, first: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -73,17 +78,22 @@ class Items:
     vocabulary: np.ndarray  # sorted distinct words
     bag: np.ndarray  # sorted item * len(vocabulary) + word, and how often the item has it
     bag_counts: np.ndarray
+    short: dict[int, dict[int, int]]  # number of words -> hash of them all -> item id
 
     @classmethod
     def of(cls, rows, n: int, min_words: int) -> Items | None:
         by_words: dict[bytes, tuple[int, np.ndarray]] = {}
+        short: dict[int, dict[int, int]] = {}
         for item_id, text in sorted(rows, key=lambda r: r[0]):
             raw = np.frombuffer((text or "").lower().encode(), np.uint8)
-            words, _ = _words(raw, np.array([0, len(raw)]))
+            words, first = _words(raw, np.array([0, len(raw)]))
             if len(words) >= max(n, min_words):
                 by_words.setdefault(words.tobytes(), (item_id, words))
+            elif len(words):
+                short.setdefault(len(words), {}).setdefault(int(_ngrams(words, first, len(words))[0][0]), item_id)
         if not by_words:
-            return None
+            none = np.zeros(0, np.int64)
+            return cls(none, [], none.astype(np.uint64), none, none, np.zeros(1, np.int64), n, none.astype(bool), none.astype(np.uint64), none, none, short) if short else None
         ids = np.array([i for i, _ in by_words.values()], np.int64)
         words = [w for _, w in by_words.values()]
         entries = [(g, k, p) for k, w in enumerate(words) for g, p in zip(*_ngrams(w, np.array([0, len(w)]), n))]
@@ -96,11 +106,13 @@ class Items:
         grams, at = np.unique(gram, return_index=True)
         vocabulary, word = np.unique(np.concatenate(words), return_inverse=True)
         bag, counts = np.unique(np.repeat(np.arange(len(words)), [len(w) for w in words]) * len(vocabulary) + word, return_counts=True)
-        return cls(ids, words, grams, item, place, np.append(at, len(gram)), n, np.zeros(len(grams), bool), vocabulary, bag, counts)
+        return cls(ids, words, grams, item, place, np.append(at, len(gram)), n, np.zeros(len(grams), bool), vocabulary, bag, counts, short)
 
     def hits(self, words: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(index of the n-gram, word position) wherever the texts hold an n-gram of an item."""
         got, at = _ngrams(words, first, self.n)
+        if not len(self.grams):
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
         sieve = np.zeros(1 << 20, bool)
         sieve[self.grams & np.uint64((1 << 20) - 1)] = True
         may = np.flatnonzero(sieve[got & np.uint64((1 << 20) - 1)])
@@ -109,6 +121,18 @@ class Items:
         same = self.grams[index] == got
         return index[same], at[same]
 
+    def verbatim(self, words: np.ndarray, first: np.ndarray) -> Iterator[tuple[int, int, int]]:
+        """(text, item id, end word in the text) of the first place where a text holds a short item."""
+        for length, known in self.short.items():
+            got, at = _ngrams(words, first, length)
+            seen = set()
+            for k in np.flatnonzero(np.isin(got, np.array(list(known), np.uint64))):
+                text = int(np.searchsorted(first, at[k], "right")) - 1
+                item = known[int(got[k])]
+                if (text, item) not in seen:
+                    seen.add((text, item))
+                    yield text, item, int(at[k] + length - first[text])
+
     def seeds(self, held_by: np.ndarray, limit: float) -> Items:
         """Only the n-grams that documents hold; those that more than ``limit`` documents hold are hot."""
         held = held_by > 0
@@ -183,7 +207,16 @@ def align(items: np.ndarray, texts: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 
 
 def _matches(index: Items, words, first, min_score):
-    """(text, item, score, end word in the text) of the texts of one slice that hold an item."""
+    """(text, item id, score, end word in the text) of the texts of one slice that hold an item."""
+    found = _aligned(index, words, first, min_score)
+    short = list(index.verbatim(words, first)) if index.short else []
+    if short:
+        text, item, end = (np.array(x, np.int64) for x in zip(*short))
+        found = [np.concatenate(pair) for pair in zip(found, (text, item, np.ones(len(text)), end))]
+    return found
+
+
+def _aligned(index: Items, words, first, min_score):
     gram, at = index.hits(words, first)
     if not len(gram):
         return [np.zeros(0, t) for t in (np.int64, np.int64, float, np.int64)]
@@ -219,12 +252,12 @@ def _matches(index: Items, words, first, min_score):
         new = np.ones(len(keep), bool)
         new[1:] = (text[keep][1:] != text[keep][:-1]) | (item[keep][1:] != item[keep][:-1])
         keep = keep[new]
-    return text[keep], item[keep], score[keep], end[keep]
+    return text[keep], index.ids[item[keep]], score[keep], end[keep]
 
 
 def _blocks(benchmark: DataFrame, n: int, min_words: int, block_items: int):
-    count = benchmark.count()
-    parts = max(1, -(-count // block_items))
+    size = benchmark.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.length("text")), F.lit(0)).alias("chars")).first()
+    parts = max(1, -(-size.n // block_items), -(-size.chars // BLOCK_CHARS))
     for k in range(parts):
         rows = benchmark.where(F.pmod(F.xxhash64("item_id"), F.lit(parts)) == k).select(F.col("item_id").cast("long"), "text").where("item_id IS NOT NULL")
         if (found := Items.of([(r[0], r[1]) for r in rows.collect()], n, min_words)) is not None:
@@ -260,7 +293,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, n: int = NGRAM, min_score: fl
                 ids = batch.column("doc_id")
                 for lo, _, buf, offsets in text_slices(batch.column("text")):
                     text, item, score, end = _matches(index.value, *_words(buf, offsets), min_score)
-                    yield pa.RecordBatch.from_arrays([ids.take(pa.array(text + lo)), pa.array(index.value.ids[item]), pa.array(score), pa.array(end)], names=["doc_id", "item_id", "score", "end_word"])
+                    yield pa.RecordBatch.from_arrays([ids.take(pa.array(text + lo)), pa.array(item), pa.array(score), pa.array(end)], names=["doc_id", "item_id", "score", "end_word"])
 
         found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lower("text").alias("text")).mapInArrow(find, out.schema)
         out = out.unionByName(found)
@@ -275,11 +308,11 @@ def clean(docs: DataFrame, benchmark: DataFrame, n: int = NGRAM, min_score: floa
         def passing(batches, index=index):
             for batch in batches:
                 keep = np.ones(batch.num_rows, bool)
-                for lo, _, buf, offsets in text_slices(batch.column("_lower")):
+                for lo, _, buf, offsets in text_slices(batch.column(batch.num_columns - 1)):
                     keep[_matches(index.value, *_words(buf, offsets), min_score)[0] + lo] = False
-                yield batch.drop_columns("_lower").filter(pa.array(keep))
+                yield pa.RecordBatch.from_arrays(batch.columns[:-1], names=batch.schema.names[:-1]).filter(pa.array(keep))
 
-        docs = docs.withColumn("_lower", F.lower("text")).mapInArrow(passing, docs.schema)
+        docs = docs.withColumn(free(docs, "_lower"), F.lower("text")).mapInArrow(passing, docs.schema)
     return docs
 
 

@@ -1,17 +1,18 @@
 """Language identification in two steps: the family, then one-versus-one linear SVMs within it.
 
-Features: the lower-cased text with everything but letters (ASCII letters and non-ASCII bytes) made a
+Features: the text with ASCII letters lower-cased and everything but letters (ASCII letters and non-ASCII bytes) made a
 space, its byte n-grams of the ``ORDERS`` hashed into ``BINS`` counts, square roots taken and scaled to length 1. Whole texts
 count. Both steps are linear support vector machines (hinge loss, primal sub-gradient steps with averaging): one family
 against the rest, then one per pair of languages of a family, whose votes decide (ties: the larger sum
 of margins). Families are those of ``FAMILIES``; a language that stands in none is a family of its own.
 
-Training: about ``each`` documents of every language (a documented bound), chosen by a hash of the id,
+Training: about ``each`` documents of every language, of at most ``LONGEST`` characters (documented bounds), chosen by a hash of the id,
 fitted in one task. Scoring is a narrow map.
 
 Edge cases: a text that is null or has no letter is ``und`` with score 0; with one learned language
-every other text is that language; with none (an empty table) all are ``und``; repeated rows
-get the same answer; ids and languages may be null (such rows are scored and not learned from).
+every other text is that language; with none (an empty table) all are ``und``; ties of families go to the first by name, ties of votes and margins to the first language by code; repeated rows
+get the same answer, and of a repeated id one row is learned from; ids and languages may be null (such rows are scored and not learned from); very long texts count whole, worked through
+in pieces of ``SLICE_BYTES``; further columns pass through ``predict``, and columns named lang_pred or lang_score are replaced.
 """
 
 from __future__ import annotations
@@ -24,8 +25,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import table, text_slices
-from .learning import bounded_ids, fit_in_one_task, fold
+from .common import SLICE_BYTES, free, table, text_slices, without
+from .learning import bounded_ids, bounded_texts, fit_in_one_task, fold
 
 BINS = 1 << 13
 ORDERS = (2, 3)
@@ -42,7 +43,7 @@ FAMILIES = {
     "indic": ("bn", "gu", "hi", "mr", "ne", "pa", "ur"),
 }
 UNDECIDED = "und"
-_FOLD = np.array([c if chr(c).isalpha() or c >= 128 else 32 for c in range(256)], np.uint8)
+_FOLD = np.array([c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256)], np.uint8)
 
 
 def family(lang: str) -> str:
@@ -52,20 +53,19 @@ def family(lang: str) -> str:
 def features(buf: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     """A row of ``BINS`` values of length 1 (or 0) for each text."""
     count = len(offsets) - 1
-    folded = _FOLD[buf].astype(np.uint32)
-    owner = np.repeat(np.arange(count, dtype=np.int64), np.diff(offsets))
     out = np.zeros(count * BINS)
     for order in ORDERS:
-        if len(folded) < order:
-            continue
-        m = len(folded) - order + 1
-        code = np.zeros(m, np.uint32)
-        for k in range(order):
-            code = code * np.uint32(0x01000193) + folded[k : k + m] + np.uint32(order)
-        code = (code ^ (code >> np.uint32(15))) * np.uint32(0x2C1B3C6D)
-        bins = (code >> np.uint32(19)).astype(np.int64)
-        inside = owner[:m] == owner[order - 1 :]
-        out += np.bincount((owner[:m] * BINS + bins)[inside], minlength=len(out))
+        # pieces of n-gram starts; each piece sees the bytes that its last n-grams reach
+        for lo in range(0, max(0, len(buf) - order + 1), SLICE_BYTES):
+            hi = min(len(buf) - order + 1, lo + SLICE_BYTES)
+            folded = _FOLD[buf[lo : hi + order - 1]].astype(np.uint32)
+            code = np.zeros(hi - lo, np.uint32)
+            for k in range(order):
+                code = code * np.uint32(0x01000193) + folded[k : k + hi - lo] + np.uint32(order)
+            code = (code ^ (code >> np.uint32(15))) * np.uint32(0x2C1B3C6D)
+            owner = np.repeat(np.arange(count), np.diff(np.clip(offsets, lo, hi + order - 1)))
+            inside = owner[: hi - lo] == owner[order - 1 :]
+            out += np.bincount((owner[: hi - lo] * BINS + (code >> np.uint32(19)).astype(np.int64))[inside], minlength=len(out))
     out = np.sqrt(out.reshape(count, BINS))
     return (out / np.maximum(np.linalg.norm(out, axis=1, keepdims=True), 1e-9)).astype(np.float32)
 
@@ -145,30 +145,29 @@ def _feature_blocks(column):
 def train(docs: DataFrame, each: int = EACH) -> Model | None:
     """A model of the rows of (doc_id, text, lang) given: about ``each`` documents of each language are looked at."""
     ids = bounded_ids(docs.where("doc_id IS NOT NULL AND lang IS NOT NULL").select("doc_id", "lang"), "doc_id", "lang", each)
-    # at most 2 * each ids for a language
-    chosen = docs.where("lang IS NOT NULL").join(F.broadcast(ids.select("doc_id")), "doc_id", "left_semi")
-    return fit_in_one_task(chosen.where(F.col("text").rlike(r"\p{L}")).select(F.lower("text").alias("text"), "lang"), Model.fit)
+    # at most 2 * each ids for a language, and as many rows
+    return fit_in_one_task(bounded_texts(docs.where(F.col("text").rlike(r"\p{L}")), ids, "lang").withColumnRenamed("label", "lang"), lambda rows: Model.fit(rows.sort_by([("lang", "ascending"), ("text", "ascending")])))
 
 
 def predict(docs: DataFrame, model: Model | None) -> DataFrame:
     """``docs`` with lang_pred and lang_score."""
+    docs = without(docs, "lang_pred", "lang_score")
     if model is None:
         return docs.withColumns({"lang_pred": F.lit(UNDECIDED), "lang_score": F.lit(0.0)})
     shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = [c.lower() for c in docs.columns].index("text")
 
     def scored(batches):
         for batch in batches:
             langs, scores = np.full(batch.num_rows, UNDECIDED, object), np.zeros(batch.num_rows)
-            for lo, x in _feature_blocks(batch.column("_text")):
+            for lo, x in _feature_blocks(batch.column(at)):
                 langs[lo : lo + len(x)], scores[lo : lo + len(x)] = shared.value.predict(x)
-            blank = batch.column("_text").is_null().to_numpy(zero_copy_only=False)
+            blank = ~batch.column(batch.num_columns - 1).to_numpy(zero_copy_only=False).astype(bool)
             langs[blank], scores[blank] = UNDECIDED, 0.0
-            plain = batch.drop_columns("_text")
-            yield pa.RecordBatch.from_arrays([*plain.columns, pa.array(langs, pa.string()), pa.array(scores)], names=[*plain.schema.names, "lang_pred", "lang_score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(langs, pa.string()), pa.array(scores)], names=[*batch.schema.names[:-1], "lang_pred", "lang_score"])
 
-    lettered = docs.withColumn("_text", F.when(F.col("text").rlike(r"\p{L}"), F.lower("text")))
-    schema = f"{docs.schema.toDDL()}, lang_pred string, lang_score double" if docs.columns else "lang_pred string, lang_score double"
-    return lettered.mapInArrow(scored, schema)
+    lettered = docs.withColumn(free(docs, "_lettered"), F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False)))
+    return lettered.mapInArrow(scored, f"{docs.schema.toDDL()}, lang_pred string, lang_score double")
 
 
 def query(spark, sf_dir):

@@ -29,6 +29,19 @@ def bounded_ids(rows: DataFrame, key: str, klass: str, each: int) -> DataFrame:
     return rows.where(unit < share).select(key, klass).orderBy(F.xxhash64(F.lit(11), key), key).limit(2 * each * len(sizes))
 
 
+#: Characters of the longest text that is learned from; longer ones are left to scoring.
+LONGEST = 200_000
+
+
+def bounded_texts(docs: DataFrame, ids: DataFrame, klass: str, longest: int = LONGEST) -> DataFrame:
+    """(text, class): one row for each of the bounded ``ids`` (doc_id, class), of the texts of at most ``longest`` characters.
+
+    Of rows that repeat an id the text of the smallest hash counts, so the rows are no more than the ids, and their bytes no more than the rows by ``longest``.
+    """
+    short = docs.where(F.col("text").isNotNull() & (F.length("text") <= longest)).select("doc_id", "text").join(F.broadcast(ids.select("doc_id", F.col(klass).alias("label"))), "doc_id")
+    return short.groupBy("doc_id").agg(F.min_by(F.struct("text", "label"), F.struct(F.xxhash64("text"), "label")).alias("row")).select("row.text", "row.label")
+
+
 def fit_in_one_task(sample: DataFrame, fit: Callable[[pa.Table], object]) -> object | None:
     """``fit`` of the whole sample (bounded by its maker), run in an executor; only the model comes to the driver."""
     schema = pa.schema([("model", pa.binary())])

@@ -20,7 +20,8 @@ components. That is linear in the list and loses nothing.
 
 Edge cases: a document with a null doc_id links like any other and lends no id (component_id
 is the smallest id reachable, null if there is none); ``keep_one`` keeps one row of each component, with or without ids; repeated rows give repeated rows; an
-empty table gives no rows; further columns of the input are ignored.
+empty table gives no rows; of tied links every one counts; of a text only the hashes of its shingles are held, 8 bytes each, however long it is; further columns of the input are ignored by
+``near_duplicates`` and pass through ``keep_one``, whatever their names.
 """
 
 from __future__ import annotations
@@ -34,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, forget, table
+from .common import cut, forget, free, table
 
 SEED = 42
 MAX_BITS = 2
@@ -183,8 +184,9 @@ def keep_one(docs: DataFrame, list_limit: int = 8) -> DataFrame:
     firsts = _grouped(prints, list_limit).groupBy("label.node").agg(best.alias("m")).select(F.col("m.doc_id").alias("_id"), F.col("m.text_hash").alias("_hash"))
     own, text = F.col("doc_id").cast("long"), F.xxhash64("text")
     one = Window.partitionBy(own, text).orderBy(*[c for c in docs.columns if c != "doc_id"])
-    kept = docs.join(firsts, own.eqNullSafe(F.col("_id")) & (text == F.col("_hash")), "left_semi")
-    return kept.withColumn("_copy", F.row_number().over(one)).where("_copy = 1").select(docs.columns)
+    i, h, copy = (free(docs, c) for c in ("_id", "_hash", "_copy"))
+    kept = docs.join(firsts.toDF(i, h), own.eqNullSafe(F.col(i)) & (text == F.col(h)), "left_semi")
+    return kept.withColumn(copy, F.row_number().over(one)).where(F.col(copy) == 1).select(docs.columns)
 
 
 def query(spark, sf_dir):

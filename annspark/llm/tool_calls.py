@@ -12,7 +12,7 @@ Canonical JSON has sorted keys, no spaces and no null fields.
 Edge cases: text that is null, empty or no such JSON gives no call and no result; of calls that repeat an
 identifier in a conversation the first by (turn, name, arguments) counts; of several results the first by (turn, content) is linked
 and ``n_results`` counts them all; results whose identifier no call of the conversation has are left out, as in ``SQL``; null conv_ids belong together; a null identifier or a null turn is dropped from linking as no identifier can be given; an empty
-table gives no rows; further columns are ignored.
+table gives no rows; a very long text is parsed whole; further columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
