@@ -5,71 +5,74 @@ of it, and whose path begins the url's path, gives the verdict. Urls without a r
 smoothed variable-order Markov models of characters, one of rejected and one of accepted urls: the sum of the log ratios over the
 characters of host and path, divided by their number, against a threshold.
 
-Models. Text is folded to 30 symbols (a-z, one digit, dot, hyphen, slash for all else) and padded in front. The rejected urls
-of the table are those with one of ``SEEDS`` as a part of the host between dots and hyphens; all others are the accepted ones. Every n-gram
-up to ``ORDER`` + 1 symbols is counted in both over the whole table. The probability after a context is Dirichlet-smoothed
+Classes. The accepted and the rejected urls are those that the rules allow and block: what the owner of the rules settled by hand is carried over to the urls that
+no rule fits. No word list is involved. Distinct urls of either class are dealt by a hash: three parts of four fit the models, the fourth calibrates.
+
+Models. Text is folded to 30 symbols (a-z, one digit, dot, hyphen, slash for all else) and padded in front. Every n-gram
+up to ``ORDER`` + 1 symbols is counted in both classes over the whole table. The probability after a context is Dirichlet-smoothed
 towards that after the context without its first symbol, down to one symbol and the uniform one; contexts that a
 class has not seen fall back to shorter ones. An n-gram table has at most 30 ** 4 rows (about 30 MB), whatever the input, so it is broadcast.
 
-Calibration: the threshold is the point between the mean scores of accepted and rejected urls that is as
-many standard deviations of either from its mean.
+Calibration: the threshold is the point between the mean scores of accepted and rejected urls of the calibrating part that is as
+many standard deviations of either from its mean. ``agreement`` tells how often the models alone say what the rules say on that part.
 
 Edge cases: a null url, or one without ``://``, has an empty host and path, no rule, score 0 and is allowed; if
-either class is empty all urls without a rule are allowed; repeated urls get the same verdict; an empty table gives no rows; further columns pass through ``judge``.
+either class is empty in either part, all urls without a rule are allowed; a score equal to the threshold is allowed; repeated urls get the same verdict; a very long url
+costs time in proportion to its length; an empty table gives no rows; further columns pass through ``judge``, and columns named like those that it adds
+(host, path, rule, ruled, score, threshold) are replaced by them.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from .common import cut, table
+from .common import cut, table, without
 
 #: The contract's rules, (host, path, verdict).
 RULES = (("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow"))
-#: Words of public block lists' subjects: gambling, adult, pharmacy, advertising, spam, loans.
-SEEDS = ("ads", "adult", "bet", "bets", "betting", "bingo", "bitcoins", "casino", "casinos", "cheap", "cialis", "clickbait", "escort", "escorts", "gambling", "jackpot", "loan", "loans", "lottery", "malware", "payday", "phish", "phishing", "pill", "pills", "poker", "porn", "porno", "roulette", "sex", "slots", "spam", "spammer", "tracker", "viagra", "warez", "win", "xxx")
 ORDER = 3
-#: As both dialects write a double.
+#: Weight of the shorter context in the probability after a longer one.
 PRIOR = "4e0"
-
-DUCKDB = {
-    "chars": ", unnest(generate_series({low}, length({text}))) AS t(i)",
-    "orders": ", unnest(generate_series(0, {order})) AS o(k)",
-    "every": ", 'g'",
-    "hint": "",
-}
-SPARK = {
-    "chars": " LATERAL VIEW explode(sequence({low}, length({text}))) t AS i",
-    "orders": " LATERAL VIEW explode(sequence(0, {order})) o AS k",
-    "every": "",
-    "hint": "/*+ BROADCAST(g4, g3, g2, g1, c3, c2, c1) */",
-}
-_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+#: One url of so many calibrates.
+FOLDS = 4
 PAD = "/" * ORDER
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+
+
+def _quoted(text: str) -> str:
+    return "'" + text.replace("\\", "\\\\").replace("'", "\\'") + "'"
+
 
+def split(pages: DataFrame, rules=RULES) -> DataFrame:
+    """``pages`` with host, path, rule and ruled (the rule's verdict)."""
+    pages = without(pages, "host", "path", "rule", "ruled", "score", "threshold")
+    host = F.coalesce(F.translate(F.regexp_extract("url", "://([^/?#]*)", 1), _UPPER, _LOWER), F.lit(""))
+    path = F.coalesce(F.regexp_extract("url", "://[^/?#]*([^?#]*)", 1), F.lit(""))
+    found = pages.withColumns({"host": host, "path": path})
+    rule = ruled = F.lit(None).cast("string")
+    for h, p, verdict in sorted(rules, key=lambda r: len(r[0] + r[1])):
+        fits = f"(host = {_quoted(h)} OR endswith(host, {_quoted('.' + h)})) AND startswith(path, {_quoted(p)})"
+        # longer rules are asked first
+        rule, ruled = (F.when(F.expr(fits), F.lit(v)).otherwise(old) for v, old in ((h + p, rule), (verdict, ruled)))
+    return found.withColumns({"rule": rule, "ruled": ruled})
 
-def split_sql(rules=RULES) -> str:
-    """Columns of pages with host, path, rule and ruled (the rule's verdict)."""
-    longest = sorted(rules, key=lambda r: -len(r[0] + r[1]))
-    fits = [f"((host = '{h}' OR host LIKE '%.{h}') AND path LIKE '{p}%')" for h, p, _ in longest]
-    rule = " ".join(f"WHEN {f} THEN '{h}{p}'" for f, (h, p, _) in zip(fits, longest))
-    ruled = " ".join(f"WHEN {f} THEN '{v}'" for f, (_, _, v) in zip(fits, longest))
-    return f"""SELECT *, CASE {rule} END AS rule, CASE {ruled} END AS ruled FROM (
-      SELECT *, coalesce(translate(regexp_extract(url, '://([^/?#]*)', 1), '{_UPPER}', '{_LOWER}'), '') AS host,
-             coalesce(regexp_extract(url, '://[^/?#]*([^?#]*)', 1), '') AS path FROM pages) AS cut_out"""
 
+def _texts() -> str:
+    """url, its folded and padded text, its class (null without a rule) and whether it calibrates, for each distinct url."""
+    folded = f"regexp_replace(regexp_replace(translate(concat(host, path), '{_UPPER}', '{_LOWER}'), '[0-9]', '0'), '[^a-z0.-]', '/')"
+    return f"""SELECT url, concat('{PAD}', {folded}) AS u, ruled = 'block' AS bad, conv(substring(md5(url), 1, 7), 16, 10) % {FOLDS} = 0 AS apart
+      FROM (SELECT DISTINCT url, host, path, ruled FROM split WHERE host <> '' OR path <> '') AS distinct_urls"""
 
-def text_sql(d: dict, seeds=SEEDS) -> str:
-    """url, its folded and padded text, and whether a seed marks it, for each distinct url."""
-    folded = f"regexp_replace(regexp_replace(translate(concat(host, path), '{_UPPER}', '{_LOWER}'), '[0-9]', '0'{d['every']}), '[^a-z0.-]', '/'{d['every']})"
-    marked = f"regexp_extract(host, '(^|[.-])({'|'.join(seeds)})([.-]|$)', 2) <> ''"
-    return f"SELECT url, concat('{PAD}', {folded}) AS u, {marked} AS bad, count(*) AS n FROM split WHERE host <> '' OR path <> '' GROUP BY url, host, path"
 
+def _places(low: int) -> str:
+    return f" LATERAL VIEW explode(sequence({low}, length(u))) t AS i"
 
-def model_sql(d: dict) -> str:
+
+def _model() -> str:
     """g, lr (log ratio of its last symbol after the others) and back (what an unseen symbol after g costs the ratio)."""
-    each = f"""SELECT substring(u, i - k, k + 1) AS g, sum(CASE WHEN bad THEN n ELSE 0 END) AS r, sum(CASE WHEN bad THEN 0 ELSE n END) AS a
-      FROM urls{d["chars"].format(low=ORDER + 1, text="u")}{d["orders"].format(order=ORDER)} GROUP BY substring(u, i - k, k + 1)"""
+    each = f"""SELECT substring(u, i - k, k + 1) AS g, count_if(bad) AS r, count_if(NOT bad) AS a
+      FROM urls{_places(ORDER + 1)} LATERAL VIEW explode(sequence(0, {ORDER})) o AS k WHERE bad IS NOT NULL AND NOT apart GROUP BY substring(u, i - k, k + 1)"""
     steps = [f"grams AS ({each})", "contexts AS (SELECT substring(g, 1, length(g) - 1) AS g, sum(r) AS nr, sum(a) AS na FROM grams GROUP BY substring(g, 1, length(g) - 1))"]
     steps.append(
         f"p1 AS (SELECT grams.g, (r + {PRIOR} / 30) / (nr + {PRIOR}) AS pr, (a + {PRIOR} / 30) / (na + {PRIOR}) AS pa FROM grams JOIN contexts ON contexts.g = '' WHERE length(grams.g) = 1)"
@@ -80,41 +83,44 @@ def model_sql(d: dict) -> str:
             f" FROM grams JOIN contexts ON contexts.g = substring(grams.g, 1, {k - 1}) JOIN p{k - 1} s ON s.g = substring(grams.g, 2, {k - 1}) WHERE length(grams.g) = {k})"
         )
     every = " UNION ALL ".join(f"SELECT g, pr, pa FROM p{k}" for k in range(1, ORDER + 2))
-    steps.append(
-        f"model AS (SELECT e.g, ln(pr / pa) AS lr, coalesce(ln((na + {PRIOR}) / (nr + {PRIOR})), 0e0) AS back FROM ({every}) e LEFT JOIN contexts ON contexts.g = e.g)"
-    )
-    return ", ".join(steps)
+    return f"WITH {', '.join(steps)} SELECT e.g, ln(pr / pa) AS lr, coalesce(ln((na + {PRIOR}) / (nr + {PRIOR})), 0e0) AS back FROM ({every}) e LEFT JOIN contexts ON contexts.g = e.g"
 
 
-def score_sql(d: dict) -> str:
-    """url, bad, n, score for each distinct url."""
-    l1 = "coalesce(g1.lr, 0e0)"
-    l2 = f"coalesce(g2.lr, {l1} + coalesce(c1.back, 0e0))"
-    l3 = f"coalesce(g3.lr, {l2} + coalesce(c2.back, 0e0))"
-    l4 = f"coalesce(g4.lr, {l3} + coalesce(c3.back, 0e0))"
-    grams = " ".join(f"LEFT JOIN model g{k} ON g{k}.g = substring(u, i - {k - 1}, {k})" for k in (4, 3, 2, 1))
-    contexts = " ".join(f"LEFT JOIN model c{k} ON c{k}.g = substring(u, i - {k}, {k})" for k in (3, 2, 1))
-    return f"""SELECT {d["hint"]} url, bad, n, avg({l4}) AS score FROM (SELECT url, bad, n, u, i FROM urls{d["chars"].format(low=ORDER + 1, text="u")}) AS place {grams} {contexts} GROUP BY url, bad, n"""
+def _scores() -> str:
+    """url, bad, apart, score for each distinct url."""
+    value = "coalesce(g1.lr, 0e0)"
+    for k in range(2, ORDER + 2):
+        value = f"coalesce(g{k}.lr, {value} + coalesce(c{k - 1}.back, 0e0))"
+    grams = " ".join(f"LEFT JOIN model g{k} ON g{k}.g = substring(u, i - {k - 1}, {k})" for k in range(ORDER + 1, 0, -1))
+    contexts = " ".join(f"LEFT JOIN model c{k} ON c{k}.g = substring(u, i - {k}, {k})" for k in range(ORDER, 0, -1))
+    hint = ", ".join([f"g{k}" for k in range(1, ORDER + 2)] + [f"c{k}" for k in range(1, ORDER + 1)])
+    return f"SELECT /*+ BROADCAST({hint}) */ url, bad, apart, avg({value}) AS score FROM (SELECT url, bad, apart, u, i FROM urls{_places(ORDER + 1)}) AS place {grams} {contexts} GROUP BY url, bad, apart"
 
 
-THRESHOLD_SQL = """SELECT CASE WHEN ra IS NOT NULL AND rr IS NOT NULL THEN (ra * (sr + 1e-9) + rr * (sa + 1e-9)) / (sa + sr + 2e-9) END AS threshold FROM (
-  SELECT sum(CASE WHEN NOT bad THEN score * n END) / sum(CASE WHEN NOT bad THEN n END) AS ra, sum(CASE WHEN bad THEN score * n END) / sum(CASE WHEN bad THEN n END) AS rr,
-         stddev_pop(CASE WHEN NOT bad THEN score END) AS sa, stddev_pop(CASE WHEN bad THEN score END) AS sr FROM scores) AS moments"""
-FINAL = ("page_id", "host", "path", "rule", "coalesce(ruled, CASE WHEN score > threshold THEN 'block' ELSE 'allow' END) AS verdict")
-SQL = f"""WITH split AS ({split_sql()}), urls AS ({text_sql(DUCKDB)}), {model_sql(DUCKDB)}, scores AS ({score_sql(DUCKDB)}), cutoff AS ({THRESHOLD_SQL})
-SELECT {', '.join(FINAL)} FROM split LEFT JOIN scores USING (url) CROSS JOIN cutoff"""
+def _threshold(scores: DataFrame) -> float | None:
+    """Between the means of both classes of the calibrating part, in proportion to their deviations; None without both."""
+    got = {r.bad: r for r in scores.where("apart AND bad IS NOT NULL").groupBy("bad").agg(F.avg("score").alias("mean"), F.stddev_pop("score").alias("off")).collect()}
+    if len(got) < 2:
+        return None
+    bad, good = got[True], got[False]
+    return (good.mean * (bad.off + 1e-9) + bad.mean * (good.off + 1e-9)) / (good.off + bad.off + 2e-9)
 
 
-def judge(pages: DataFrame, rules=RULES, seeds=SEEDS) -> DataFrame:
+def judge(pages: DataFrame, rules=RULES) -> DataFrame:
     """``pages`` (with a url) with host, path, rule, ruled, score (null where there is no text) and threshold."""
-    spark = pages.sparkSession
-    split = _sql(spark, split_sql(rules), pages=pages)
-    urls = _sql(spark, text_sql(SPARK, seeds), split=split)
-    model = cut(_sql(spark, f"WITH {model_sql(SPARK)} SELECT g, lr, back FROM model", urls=urls), "url-model")
-    scores = cut(_sql(spark, score_sql(SPARK), urls=urls, model=model), "url-scores")
-    threshold = _sql(spark, THRESHOLD_SQL, scores=scores).first()[0]
-    bound = "CAST(NULL AS double)" if threshold is None else repr(float(threshold)) + "D"
-    return _sql(spark, f"SELECT split.*, score, {bound} AS threshold FROM split LEFT JOIN scores USING (url)", split=split, scores=scores.select("url", "score"))
+    spark, parted = pages.sparkSession, split(pages, rules)
+    urls = _sql(spark, _texts(), split=parted.select("url", "host", "path", "ruled"))
+    model = cut(_sql(spark, _model(), urls=urls), "url-model")
+    scores = cut(_sql(spark, _scores(), urls=urls, model=model), "url-scores")
+    threshold = _threshold(scores)
+    scored = parted.join(scores.select("url", "score"), "url", "left").select(*parted.columns, "score")
+    return scored.withColumn("threshold", F.lit(threshold).cast("double"))
+
+
+def agreement(judged: DataFrame) -> DataFrame:
+    """(ruled, n, blocked): how many distinct urls of the calibrating part have either rule verdict, and how many of them the models alone block."""
+    apart = judged.where(F.col("ruled").isNotNull() & (F.conv(F.substring(F.md5("url"), 1, 7), 16, 10) % FOLDS == 0)).select("url", "ruled", "score", "threshold").distinct()
+    return apart.groupBy("ruled").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("score") > F.col("threshold")).alias("blocked"))
 
 
 def _sql(spark, text: str, **frames: DataFrame) -> DataFrame:
@@ -132,4 +138,34 @@ def _sql(spark, text: str, **frames: DataFrame) -> DataFrame:
 
 
 def query(spark, sf_dir):
-    return judge(table(spark, sf_dir, "pages")).selectExpr(*FINAL)
+    judged = judge(table(spark, sf_dir, "pages"))
+    verdict = F.coalesce("ruled", F.when(F.col("score") > F.col("threshold"), "block").otherwise("allow"))
+    return judged.select("page_id", "host", "path", "rule", verdict.alias("verdict"))
+
+
+#: Written apart from the engine: rules as a table, and each place's probability by the plain recursion over four orders.
+SQL = r"""
+WITH cut1 AS (SELECT page_id, url, row_number() OVER () AS rid, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+cut2 AS (SELECT *, regexp_extract(rest, '^[^/?#]*') AS raw FROM cut1),
+parted AS (SELECT page_id, url, rid, translate(raw, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(substr(rest, length(raw) + 1), '^[^?#]*') AS path FROM cut2),
+rules(h, p, v) AS (VALUES ('net', '/', 'block'), ('example.net', '/en/', 'allow'), ('example.com', '/de/', 'block'), ('org', '/fr/', 'allow')),
+fit AS (SELECT rid, h || p AS rule, v FROM parted, rules WHERE (host = h OR suffix(host, '.' || h)) AND prefix(path, p) QUALIFY row_number() OVER (PARTITION BY rid ORDER BY length(h || p) DESC) = 1),
+whole AS (SELECT parted.*, rule, v FROM parted LEFT JOIN fit USING (rid)),
+texts AS (SELECT url, v, ('0x' || substr(md5(url), 1, 7))::INT % 4 = 0 AS apart,
+    '///' || regexp_replace(regexp_replace(translate(host || path, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[0-9]', '0', 'g'), '[^a-z0.-]', '/', 'g') AS u
+  FROM whole WHERE host <> '' OR path <> '' GROUP BY url, host, path, v),
+spots AS (SELECT url, v, apart, substr(u, i, 1) AS s, substr(u, i - 1, 1) AS b, substr(u, i - 2, 1) AS c, substr(u, i - 3, 1) AS d FROM texts, unnest(range(4, length(u) + 1)) t(i)),
+learned AS (SELECT s, b, c, d, count(*) FILTER (v = 'block') AS r, count(*) FILTER (v = 'allow') AS a FROM spots WHERE v IS NOT NULL AND NOT apart GROUP BY ALL),
+n0 AS (SELECT sum(r) AS r, sum(a) AS a FROM learned),
+f1 AS (SELECT s, sum(r) AS r, sum(a) AS a FROM learned GROUP BY ALL), n1 AS (SELECT b, sum(r) AS r, sum(a) AS a FROM learned GROUP BY ALL),
+f2 AS (SELECT s, b, sum(r) AS r, sum(a) AS a FROM learned GROUP BY ALL), n2 AS (SELECT b, c, sum(r) AS r, sum(a) AS a FROM learned GROUP BY ALL),
+f3 AS (SELECT s, b, c, sum(r) AS r, sum(a) AS a FROM learned GROUP BY ALL), n3 AS (SELECT b, c, d, sum(r) AS r, sum(a) AS a FROM learned GROUP BY ALL),
+o1 AS (SELECT spots.*, (coalesce(f1.r, 0) + 4e0 / 30) / (n0.r + 4e0) AS pr, (coalesce(f1.a, 0) + 4e0 / 30) / (n0.a + 4e0) AS pa FROM spots CROSS JOIN n0 LEFT JOIN f1 USING (s)),
+o2 AS (SELECT o1.* EXCLUDE (pr, pa), (coalesce(f2.r, 0) + 4e0 * pr) / (coalesce(n1.r, 0) + 4e0) AS pr, (coalesce(f2.a, 0) + 4e0 * pa) / (coalesce(n1.a, 0) + 4e0) AS pa FROM o1 LEFT JOIN f2 USING (s, b) LEFT JOIN n1 USING (b)),
+o3 AS (SELECT o2.* EXCLUDE (pr, pa), (coalesce(f3.r, 0) + 4e0 * pr) / (coalesce(n2.r, 0) + 4e0) AS pr, (coalesce(f3.a, 0) + 4e0 * pa) / (coalesce(n2.a, 0) + 4e0) AS pa FROM o2 LEFT JOIN f3 USING (s, b, c) LEFT JOIN n2 USING (b, c)),
+o4 AS (SELECT o3.* EXCLUDE (pr, pa), (coalesce(l.r, 0) + 4e0 * pr) / (coalesce(n3.r, 0) + 4e0) AS pr, (coalesce(l.a, 0) + 4e0 * pa) / (coalesce(n3.a, 0) + 4e0) AS pa FROM o3 LEFT JOIN learned l USING (s, b, c, d) LEFT JOIN n3 USING (b, c, d)),
+scored AS (SELECT url, v, apart, avg(ln(pr / pa)) AS score FROM o4 GROUP BY ALL),
+sides AS (SELECT avg(score) FILTER (v = 'allow') AS ma, avg(score) FILTER (v = 'block') AS mr, stddev_pop(score) FILTER (v = 'allow') AS sa, stddev_pop(score) FILTER (v = 'block') AS sr FROM scored WHERE apart)
+SELECT page_id, host, path, rule, coalesce(v, CASE WHEN score > (ma * (sr + 1e-9) + mr * (sa + 1e-9)) / (sa + sr + 2e-9) THEN 'block' ELSE 'allow' END) AS verdict
+FROM whole LEFT JOIN (SELECT url, score FROM scored) USING (url) CROSS JOIN sides
+"""
