@@ -1,15 +1,18 @@
 """Personal data: base patterns, and a linear-chain conditional random field that adds spans.
 
 Base spans, leftmost and non-overlapping within a kind, by the patterns of ``BASE``; a match that fails its check is
-dropped and not tried again. On top, a linear-chain CRF labels every word of every line (``none`` or
-a kind) from word-shape features; it is trained by full-batch gradient steps on the small labelled
-table that ``labelled_table`` builds, and decoded by Viterbi, all lines of a batch at once in numpy. Runs of
+dropped and not tried again. On top, a linear-chain CRF labels every word of every line (``none``, a kind, or ``secret``) from word-shape features; it is trained by full-batch gradient steps on a small labelled
+table, and decoded by Viterbi, all lines of a batch at once in numpy. Runs of
 words of one kind become spans (outer punctuation trimmed) if they pass the kind's check and touch no base
 span: the CRF finds what the patterns miss, such as spelled-out mail addresses, telephone numbers without a
-plus sign and version 6 addresses.
+plus sign, version 6 addresses, and secrets (tokens, keys and passwords that are assigned to a name).
 
-Edge cases: a null text is an empty one and has no spans; very long texts and lines are decoded whole;
-repeated rows get the same answer; an empty table gives no rows; further columns pass through ``find``.
+The labelled table has two sources (``labelled_rows``): lines of invented words, and lines of the words of a bounded sample of the documents (``context_words``);
+into either, invented personal data, secrets and harmless look-alikes are set.
+
+Edge cases: a null text is an empty one and has no spans; very long texts and lines are decoded whole, features run by run of ``SLICE_BYTES``;
+where two kinds match at one place both base spans stay, in the order of the kinds; of tied label paths the earlier label is taken;
+repeated rows get the same answer; an empty table gives no rows; further columns pass through ``find``, and columns named ``base`` or ``spans`` are replaced.
 """
 
 from __future__ import annotations
@@ -24,10 +27,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import lower_ascii, span_hashes, table, text_slices, word_spans
+from .common import lower_ascii, span_hashes, table, text_slices, without, word_runs, word_spans
 
 KINDS = ("email", "ip", "card", "phone")
-LABELS = ("none", *KINDS)
+#: What the CRF alone adds.
+SECRET = "secret"
+LABELS = ("none", *KINDS, SECRET)
 #: The base patterns.
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 DOMAIN = re.compile(r"[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
@@ -82,62 +87,81 @@ _ENDS = ("com", "org", "net", "de", "fr", "es")
 _PLAIN = "the of and to in is that it was for on with as by at or from this be an are dot mail call write see page line note der die und la le que el los de en".split()
 
 
-def _spoken(rng: random.Random) -> tuple[str, str]:
+_NAMES = ("token", "api_key", "apikey", "secret", "password", "passwd", "auth_token", "access_key", "client_secret", "private_key")
+_ALNUM = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+
+
+def _secret(rng: random.Random) -> tuple[str, int]:
+    """An assignment, and how many of its words come before the secret."""
+    kind = rng.randrange(3)
+    value = f"{rng.randrange(1 << 160):040x}" if kind == 0 else f"{rng.randrange(1 << 128):032x}" if kind == 1 else "".join(rng.choice(_ALNUM) for _ in range(rng.randint(20, 44)))
+    quote = rng.choice(('"', '"', "'", ""))
+    name, sign = rng.choice(_NAMES), rng.choice(("=", "=", ":"))
+    return (f"{name} {sign} {quote}{value}{quote}", 2) if rng.random() < 0.7 else (f"{name}{sign} {quote}{value}{quote}", 1)
+
+
+def _spoken(rng: random.Random) -> tuple[str, str, int]:
+    """(kind, text, words before the span)."""
     d = lambda n: "".join(rng.choice("0123456789") for _ in range(n))
-    kind = rng.choice(("spell", "bracket", "paren", "short", "phone", "phone2", "phone3", "phone4", "six", "card"))
+    kind = rng.choice(("spell", "bracket", "paren", "short", "phone", "phone2", "phone3", "phone4", "six", "card", "secret", "secret"))
     who = rng.choice(_GIVEN) + rng.choice(("", f".{rng.choice(_GIVEN)}", d(2)))
     host, end = rng.choice(_HOSTS) + rng.choice(("", d(1))), rng.choice(_ENDS)
-    if kind == "spell":
-        return "email", f"{who} at {host} dot {end}"
-    if kind == "bracket":
-        return "email", f"{who} [at] {host} [dot] {end}"
-    if kind == "paren":
-        return "email", f"{who}(at){host}.{end}"
-    if kind == "short":
-        return "email", f"{who}[at]{host}[dot]{end}"
-    if kind == "phone":
-        return "phone", f"({d(3)}) {d(3)}-{d(4)}"
-    if kind == "phone2":
-        return "phone", f"{d(3)}-{d(3)}-{d(4)}"
-    if kind == "phone3":
-        return "phone", f"0{d(3)}/{d(7)}"
-    if kind == "phone4":
-        return "phone", f"{d(3)}.{d(3)}.{d(4)}"
+    if kind == "secret":
+        return SECRET, *_secret(rng)
     if kind == "six":
-        return "ip", ":".join(f"{rng.randrange(1 << 16):x}" for _ in range(rng.choice((8, 6)))).replace(":0:", "::")
-    digits = "4" + d(14)
-    digits += next(c for c in "0123456789" if luhn(digits + c))
-    return "card", ".".join(digits[i : i + 4] for i in range(0, 16, 4))
+        return "ip", ":".join(f"{rng.randrange(1 << 16):x}" for _ in range(rng.choice((8, 6)))).replace(":0:", "::"), 0
+    if kind == "card":
+        digits = "4" + d(14)
+        digits += next(c for c in "0123456789" if luhn(digits + c))
+        return "card", ".".join(digits[i : i + 4] for i in range(0, 16, 4)), 0
+    mails = {"spell": f"{who} at {host} dot {end}", "bracket": f"{who} [at] {host} [dot] {end}", "paren": f"{who}(at){host}.{end}", "short": f"{who}[at]{host}[dot]{end}"}
+    phones = {"phone": f"({d(3)}) {d(3)}-{d(4)}", "phone2": f"{d(3)}-{d(3)}-{d(4)}", "phone3": f"0{d(3)}/{d(7)}", "phone4": f"{d(3)}.{d(3)}.{d(4)}"}
+    return ("email", mails[kind], 0) if kind in mails else ("phone", phones[kind], 0)
 
 
 def _harmless(rng: random.Random) -> str:
     d = lambda n: "".join(rng.choice("0123456789") for _ in range(n))
     return rng.choice((
         d(4), d(2), d(1), d(rng.randint(12, 19)), f"{d(1)}.{d(2)}", f"{d(4)}-{d(2)}-{d(2)}", f"{d(2)}:{d(2)}", f"${d(3)}.{d(2)}", f"{d(3)}%", f"v{d(1)}.{d(1)}.{d(2)}",
-        f'token = "{rng.randrange(1 << 160):040x}"', f"{rng.randrange(1 << 64):016x}", f"({d(4)})", f"{d(1)}-{d(1)}", "look at the shop dot", "at home (at) last", f"page {d(3)}", f"https://{rng.choice(_HOSTS)}.{rng.choice(_ENDS)}/{d(4)}",
-        f"{rng.choice(_PLAIN)}###", f"{rng.choice(_PLAIN).upper()}!!", "|", f"{d(3)},{d(3)}",
+        f"commit {rng.randrange(1 << 160):040x}", f"id {rng.randrange(1 << 64):016x}", f"md5 {rng.randrange(1 << 128):032x}", f"({d(4)})", f"{d(1)}-{d(1)}", "look at the shop dot", "at home (at) last", f"page {d(3)}", f"https://{rng.choice(_HOSTS)}.{rng.choice(_ENDS)}/{d(4)}",
+        f"{rng.choice(_PLAIN)}###", f"{rng.choice(_PLAIN).upper()}!!", "|", f"{d(3)},{d(3)}", f"{rng.choice(_NAMES)} = {rng.choice(_PLAIN)}", "the token is in the box", f"a password of {d(1)} words", f"{rng.choice(_PLAIN)} = {d(4)}",
     ))
 
 
-def labelled_rows(count: int = 800, seed: int = 7) -> list[tuple[str, list[str]]]:
-    """(text, label of each word): invented lines, of which about half hold personal data."""
+def labelled_rows(count: int = 1_000, seed: int = 7, contexts: list[str] | None = None) -> list[tuple[str, list[str]]]:
+    """(text, label of each word): lines of which about half hold personal data or secrets; every other line has its plain words from ``contexts``."""
     rng, rows = random.Random(seed), []
-    for _ in range(count):
+    for n in range(count):
         words, labels = [], []
         for _ in range(rng.randint(1, 4)):
             for _ in range(rng.randint(0, 6)):
-                w = rng.choice(_PLAIN) if rng.random() < 0.6 else "".join(rng.choice("abcdefghilmnoprstuv") for _ in range(rng.randint(2, 12)))
-                words.append((w.capitalize() if rng.random() < 0.2 else w.upper() if rng.random() < 0.05 else w) + rng.choice(("", "", "", "", ",", ".")))
+                if contexts and n % 2:
+                    words.append(rng.choice(contexts))
+                else:
+                    w = rng.choice(_PLAIN) if rng.random() < 0.6 else "".join(rng.choice("abcdefghilmnoprstuv") for _ in range(rng.randint(2, 12)))
+                    words.append((w.capitalize() if rng.random() < 0.2 else w.upper() if rng.random() < 0.05 else w) + rng.choice(("", "", "", "", ",", ".")))
                 labels.append("none")
-            kind, text = _spoken(rng) if rng.random() < 0.35 else ("none", _harmless(rng))
+            kind, text, before = _spoken(rng) if rng.random() < 0.4 else ("none", _harmless(rng), 0)
             words += (text + rng.choice(("", "", ".", ","))).split()
+            labels += ["none"] * before
             labels += [kind] * (len(words) - len(labels))
         rows.append((" ".join(words), labels))
     return rows
 
 
-def labelled_table(spark: SparkSession, count: int = 800, seed: int = 7) -> DataFrame:
-    return spark.createDataFrame(labelled_rows(count, seed), "text string, labels array<string>")
+#: Documents whose words are the context of half of the labelled lines, and the characters that are read of each: a bounded sample, for training only.
+CONTEXT_DOCS, CONTEXT_CHARS = 100, 2_000
+
+
+def context_words(docs: DataFrame) -> list[str]:
+    """Plain words (no digit, no mark of an address) of a bounded sample of the documents, chosen by a hash of the id."""
+    rows = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select("doc_id", F.substring("text", 1, CONTEXT_CHARS).alias("text"))
+    some = rows.orderBy(F.xxhash64(F.lit(3), "doc_id"), "doc_id", "text").limit(CONTEXT_DOCS).collect()
+    return sorted({w for r in some for w in r.text.split() if not re.search(r"[0-9@+=]", w) and len(w) < 30})
+
+
+def labelled_table(spark: SparkSession, count: int = 1_000, seed: int = 7, contexts: list[str] | None = None) -> DataFrame:
+    return spark.createDataFrame(labelled_rows(count, seed, contexts), "text string, labels array<string>")
 
 
 # ---- features
@@ -157,16 +181,20 @@ def _counts(flags: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarr
 
 def _looks(buf: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Of each word: hash of its shape, hash of its lower-cased spelling, coarse class, bucket of its digits."""
-    kinds = _CLASS[buf]
-    lead = np.ones(len(buf), bool)
-    lead[1:] = kinds[1:] != kinds[:-1]
-    lead[starts] = True
-    runs = np.flatnonzero(lead)
-    shape = span_hashes(kinds[runs], np.searchsorted(runs, starts), np.searchsorted(runs, ends))
-    spelling = span_hashes(lower_ascii(buf), starts, ends)
-    digits, letters, marks = (_counts(f[buf], starts, ends) for f in (_DIGIT, _ALPHA, _MARK))
-    coarse = (digits > 0) * 6 + (letters > 0) * 3 + np.minimum(marks, 2)
-    return shape, spelling, coarse, np.searchsorted(np.array([1, 2, 3, 4, 5, 7, 8, 10, 12, 20]), digits, "right")
+    found = []
+    for i, j, lo, hi in word_runs(starts, ends):
+        part, first, last = buf[lo:hi], starts[i:j] - lo, ends[i:j] - lo
+        kinds = _CLASS[part]
+        lead = np.ones(len(part), bool)
+        lead[1:] = kinds[1:] != kinds[:-1]
+        lead[first] = True
+        runs = np.flatnonzero(lead)
+        shape = span_hashes(kinds[runs], np.searchsorted(runs, first), np.searchsorted(runs, last))
+        digits, letters, marks = (_counts(f[part], first, last) for f in (_DIGIT, _ALPHA, _MARK))
+        coarse = (digits > 0) * 6 + (letters > 0) * 3 + np.minimum(marks, 2)
+        bucket = np.searchsorted(np.array([1, 2, 3, 4, 5, 7, 8, 10, 12, 20]), digits, "right")
+        found.append((shape, span_hashes(lower_ascii(part), first, last), coarse.astype(np.uint8), bucket.astype(np.uint8)))
+    return tuple(np.concatenate(column) for column in zip(*found))
 
 
 @dataclass
@@ -204,6 +232,16 @@ class Crf:
         near = (left(coarse + 1) * (_COARSE + 1) + coarse + 1) * (_COARSE + 1) + right(coarse + 1)
         return [shape, word, near, coarse * 11 + digits, left(shape), right(shape), left(word), right(word), left(coarse * 11 + digits) * 11 + digits]
 
+    def scores(self, looks, first_of_line: np.ndarray, chunk: int = 1 << 16) -> np.ndarray:
+        """The emissions of all words, chunk by chunk; a chunk sees the word before and the one after it."""
+        n = len(first_of_line)
+        out = np.empty((n, len(LABELS)), np.float32)
+        for lo in range(0, n, chunk):
+            a, b = max(0, lo - 1), min(n, lo + chunk + 1)
+            got = self.emissions(self.values([x[a:b] for x in looks], first_of_line[a:b]))
+            out[lo : lo + chunk] = got[lo - a : lo - a + chunk]
+        return out
+
     def emissions(self, values: list[np.ndarray]) -> np.ndarray:
         out = self.tables[0][values[0]]
         for weights, at in zip(self.tables[1:], values[1:]):
@@ -323,6 +361,8 @@ def _added_holds(kind: str, text: str) -> bool:
         return re.fullmatch(r"[0-9A-Fa-f:]{6,39}", text) is not None and text.count(":") >= 3 and len(digits) > 0
     if kind == "card":
         return 12 <= len(digits) <= 19 and luhn(digits)
+    if kind == SECRET:
+        return re.fullmatch(r"[A-Za-z0-9+/_=-]{16,}", text) is not None and 0 < len(digits) < len(text)
     return 7 <= len(digits) <= 15 and re.search(r"[A-Za-z]", text) is None
 
 
@@ -338,7 +378,7 @@ def _proposals(crf: Crf, buf: np.ndarray, offsets: np.ndarray) -> list[tuple[int
     opening[1:] |= breaks[starts[1:]] > breaks[starts[:-1]]
     lines = np.flatnonzero(opening)
     lengths = np.diff(np.append(lines, len(starts)))
-    labels = crf.decode(crf.emissions(crf.values(_looks(buf, starts, ends), opening)), lines, lengths)
+    labels = crf.decode(crf.scores(_looks(buf, starts, ends), opening), lines, lengths)
     if not labels.any():
         return []
     change = opening.copy()
@@ -351,6 +391,15 @@ def _proposals(crf: Crf, buf: np.ndarray, offsets: np.ndarray) -> list[tuple[int
     return list(zip(text.tolist(), starts[runs].tolist(), (labels[runs].astype(int) - 1).tolist(), ends[stops].tolist()))
 
 
+def _code_points(buf: np.ndarray, at: int, places: list[int]) -> dict[int, int]:
+    """How many code points lie between byte ``at`` and each of the places, which rise."""
+    out, count = {}, 0
+    for place in places:
+        count += int(np.count_nonzero((buf[at:place] & 0xC0) != 0x80))
+        at, out[place] = place, count
+    return out
+
+
 def spans_of(crf: Crf, column: pa.Array) -> list[tuple[list, list]]:
     """For each text its base spans and all spans, as sorted (start, kind number, end) in code points."""
     out: list[tuple[list, list]] = []
@@ -368,14 +417,16 @@ def spans_of(crf: Crf, column: pa.Array) -> list[tuple[list, list]]:
             raw = buf[offsets[i] : offsets[i + 1]].tobytes()
             text = raw.decode("utf-8", "replace")
             base = base_spans(text) if has[i] else []
+            own = proposed.get(i, ())
+            points = _code_points(buf, int(offsets[i]), sorted({x for start, _, end in own for x in (start, end)}))
             added = []
-            for start, kind, end in proposed.get(i, ()):
-                start, end = (len(raw[: x - offsets[i]].decode("utf-8", "replace")) for x in (start, end))
+            for start, kind, end in own:
+                start, end = points[start], points[end]
                 shown = text[start:end]
                 # outer punctuation is no part of the span; a bracket that opens a telephone number is
                 end -= len(shown) - len(shown.rstrip(_EDGE))
-                start += len(shown) - len(shown.lstrip(_EDGE if KINDS[kind] != "phone" else _EDGE.replace("(", "")))
-                if start < end and _added_holds(KINDS[kind], text[start:end]) and all(e <= start or end <= s for s, _, e in base):
+                start += len(shown) - len(shown.lstrip(_EDGE if LABELS[kind + 1] != "phone" else _EDGE.replace("(", "")))
+                if start < end and _added_holds(LABELS[kind + 1], text[start:end]) and all(e <= start or end <= s for s, _, e in base):
                     added.append((start, kind, end))
             out.append((base, sorted(base + added)))
     return out
@@ -383,15 +434,18 @@ def spans_of(crf: Crf, column: pa.Array) -> list[tuple[list, list]]:
 
 def find(docs: DataFrame, crf: Crf | None = None) -> DataFrame:
     """``docs`` with base and spans: arrays of (kind, start, end), code points, sorted by start and kind."""
+    docs = without(docs, "base", "spans")
     if crf is None:
-        crf = train([(r[0], r[1]) for r in labelled_table(docs.sparkSession).collect()])  # 800 invented lines
+        rows = labelled_table(docs.sparkSession, contexts=context_words(docs)).collect()  # 1,000 lines
+        crf = train([(r[0], r[1]) for r in rows])
     shared = docs.sparkSession.sparkContext.broadcast(crf)
     span = pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())])
+    at = [c.lower() for c in docs.columns].index("text")
 
     def found(batches):
         for batch in batches:
-            pairs = spans_of(shared.value, batch.column("text"))
-            named = [pa.array([[{"kind": KINDS[k], "start": s, "end": e} for s, k, e in pair[i]] for pair in pairs], pa.list_(span)) for i in (0, 1)]
+            pairs = spans_of(shared.value, batch.column(at))
+            named = [pa.array([[{"kind": LABELS[k + 1], "start": s, "end": e} for s, k, e in pair[i]] for pair in pairs], pa.list_(span)) for i in (0, 1)]
             yield pa.RecordBatch.from_arrays([*batch.columns, *named], names=[*batch.schema.names, "base", "spans"])
 
     kind = "array<struct<kind:string,start:long,end:long>>"
@@ -399,14 +453,15 @@ def find(docs: DataFrame, crf: Crf | None = None) -> DataFrame:
 
 
 def query(spark, sf_dir):
-    """Contract digest: counts and hash of the base spans, and all spans written out."""
+    """Contract digest: counts and hash of the base spans, all spans written out, and how many secrets and spans there are."""
     found = find(table(spark, sf_dir, "documents").select(F.col("doc_id").cast("long").alias("doc_id"), "text"))
 
     def written(column):
         return F.array_join(F.transform(column, lambda s: F.concat_ws(":", s["kind"], s["start"], s["end"])), ",")
 
-    def count(kind):
-        return F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+    def count(column, kind):
+        return F.size(F.filter(column, lambda s: s["kind"] == kind)).cast("long")
 
-    counts = [count(kind) for kind in KINDS]
-    return found.select("doc_id", *counts, F.sha2(written("base"), 256).alias("base_sha256"), written("spans").alias("spans"))
+    counts = [count("base", kind).alias(f"n_{kind}") for kind in KINDS]
+    more = [count("spans", SECRET).alias("n_secret"), F.size("spans").cast("long").alias("n_spans")]
+    return found.select("doc_id", *counts, F.sha2(written("base"), 256).alias("base_sha256"), written("spans").alias("spans"), *more)
