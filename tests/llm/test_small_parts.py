@@ -85,14 +85,14 @@ def crf():
 
 def test_viterbi_is_the_best_path(crf):
     rng = np.random.default_rng(0)
-    scores = rng.standard_normal((7, 5)).astype(np.float32)
+    scores = rng.standard_normal((7, 6)).astype(np.float32)
     got = crf.decode(scores, np.array([0, 3]), np.array([3, 4]))
 
     def value(path, at):
         return crf.opening[path[0]] + sum(scores[at + i, p] for i, p in enumerate(path)) + sum(crf.moves[a, b] for a, b in zip(path, path[1:]))
 
     for at, n in ((0, 3), (3, 4)):
-        paths = np.stack(np.meshgrid(*[range(5)] * n), -1).reshape(-1, n)
+        paths = np.stack(np.meshgrid(*[range(6)] * n), -1).reshape(-1, n)
         assert value(got[at : at + n], at) == pytest.approx(max(value(p, at) for p in paths), abs=1e-4)
 
 
@@ -102,7 +102,7 @@ def test_crf_held_out_words(crf):
         raw = np.frombuffer(text.encode(), np.uint8)
         starts, ends, _ = common.word_spans(raw, np.array([0, len(raw)]))
         opening = np.arange(len(starts)) == 0
-        got = crf.decode(crf.emissions(crf.values(pii._looks(raw, starts, ends), opening)), np.array([0]), np.array([len(starts)]))
+        got = crf.decode(crf.scores(pii._looks(raw, starts, ends), opening), np.array([0]), np.array([len(starts)]))
         good += sum(pii.LABELS[g] == w for g, w in zip(got, labels))
         total += len(labels)
     assert good / total > 0.98
@@ -112,7 +112,8 @@ def test_crf_adds_and_keeps(crf):
     texts = ["write to anna.ben at mail dot org now", "call (415) 555-0199 today", None, "", "the plain text of a page", "mail me: a.b@c.de", 'token = "2abc3ff2ca8fb1e4c565a0eb63815530a948bdde"', "x" * 50_000]
     found = pii.spans_of(crf, pa.array(texts))
     assert [pii.KINDS[k] for _, k, _ in found[0][1]] == ["email"] and [pii.KINDS[k] for _, k, _ in found[1][1]] == ["phone"]
-    assert found[0][0] == [] and found[2] == ([], []) and found[3] == ([], []) and found[4] == ([], []) and found[6] == ([], []) and found[7] == ([], [])
+    assert found[0][0] == [] and found[2] == ([], []) and found[3] == ([], []) and found[4] == ([], []) and found[7] == ([], [])
+    assert found[6][0] == [] and [(texts[6][a:b], pii.LABELS[k + 1]) for a, k, b in found[6][1]] == [(texts[6][9:-1], "secret")]
     assert found[5][0] == found[5][1] == [(9, 0, 17)]
 
 
@@ -155,23 +156,50 @@ def test_ngrams_stay_inside_their_text():
 
 
 def test_chunks():
-    got = ann._chunks({0: 5, 1: 5, 2: 25, 3: 4, 16: 3}, 10, 16)
-    assert got == {0: (0, 1), 1: (0, 1), 2: (1, 3), 3: (4, 1), 16: (5, 1)}
+    held = np.zeros(32, int)
+    held[[0, 1, 2, 3, 16]] = 5, 5, 25, 4, 3
+    first, parts = ann._chunks(held, 10, 16)
+    assert {b: (first[b], parts[b]) for b in np.flatnonzero(held)} == {0: (0, 1), 1: (0, 1), 2: (1, 3), 3: (4, 1), 16: (5, 1)}
+
+
+def test_layout_follows_the_rows():
+    sizes = [ann.layout(n, 64) for n in (1, 500, 10_000, 50_000, 10**7, 10**12)]
+    assert sizes == sorted(sizes) and sizes[0] == (1, 1) and sizes[-1] == (ann.MAX_TABLES, ann.MAX_PROJECTIONS) and ann.layout(10**6, 3) == (1, 3)
 
 
 def test_probe_probabilities():
     rng = np.random.default_rng(0)
     x = rng.standard_normal((2000, 16))
-    h = ann.Hashes.fit(x, 5, 2, 3, 4)
-    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
-    assert h.buckets(unit).max() < 2 * 64
-    for _, row, bucket in h.probes(unit[:5], 0.999999999):
-        assert (np.bincount(row) <= 64).all() and all(len(set(bucket[row == i])) == (row == i).sum() for i in range(5))
-    # the first bucket that a query visits is mostly its own
-    own = h.buckets(unit[:200])[:, 0]
-    t, row, bucket = next(h.probes(unit[:200], 0.5))
-    first = bucket[np.unique(row, return_index=True)[1]]
-    assert (first == own).mean() > 0.3
+    x = np.vstack([x, x + 0.3 * rng.standard_normal(x.shape)])
+    owner = np.arange(200)
+    h = ann.Hashes.fit(x[:200], owner, x[2000 + owner], 2, 5)
+    unit = ann._unit(x)
+    assert h.buckets(unit).max() < 2 * 32 and h.shape == (2, 32)
+    below = h.below(unit[:50])
+    for b in below:
+        p = h.success(b)
+        # plain product over the bits of a bucket's number
+        plain = [[np.prod([b[t, j] if not k >> j & 1 else 1 - b[t, j] for j in range(5)]) for k in range(32)] for t in range(2)]
+        assert np.allclose(p, plain) and np.allclose(p.sum(axis=1), 1)
+    # buckets are visited from the likeliest on, until the success of all tables together reaches the target
+    for b, visited in zip(below, h.probes(unit[:50], 0.9)):
+        p = h.success(b).ravel()
+        inside = np.zeros(64, bool)
+        inside[visited] = True
+        assert p[inside].min() >= p[~inside].max() * 2 ** (-1 / ann.STEPS) - 1e-12 and 1 - np.prod([1 - p[t * 32 : t * 32 + 32][inside[t * 32 : t * 32 + 32]].sum() for t in range(2)]) >= 0.9 - 1e-9
+    # what is estimated comes true for neighbours that were not measured
+    there = h.buckets(unit[2200:4000])
+    hit = [bool(set(v.tolist()) & set(row.tolist())) for v, row in zip(h.probes(unit[200:2000], 0.9), there)]
+    assert 0.87 < np.mean(hit) <= 1
+
+
+def test_probes_meet_enough_rows():
+    rng = np.random.default_rng(1)
+    h = ann.Hashes.fit(rng.standard_normal((50, 8)), np.zeros(0, int), np.zeros((0, 8)), 1, 4)
+    held = np.zeros(16, int)
+    held[[3, 9]] = 2, 2
+    got = next(h.probes(ann._unit(rng.standard_normal((1, 8))), 0.01, held, 4))
+    assert sorted(got) == [3, 9]
 
 
 def test_svm_and_families():
@@ -183,6 +211,38 @@ def test_svm_and_families():
     assert language_id.family("fr") == "romance" and language_id.family("xx") == "only xx"
 
 
+def plain_ftrl(examples, labels, alpha, beta, l1, l2, rounds, bins):
+    """One number at a time."""
+    z, n = {}, {}
+
+    def weight(i):
+        t = l1 if i < bins else 0.0
+        v = z.get(i, 0.0)
+        return 0.0 if abs(v) <= t else -(v - (t if v > 0 else -t)) / ((beta + n.get(i, 0.0) ** 0.5) / alpha + l2)
+
+    rng = np.random.default_rng(0)
+    for _ in range(rounds):
+        for k in rng.permutation(len(examples)):
+            at = [(int(i), float(x)) for i, x in zip(*examples[k])] + [(bins, quality.INTERCEPT)]
+            w = {i: weight(i) for i, _ in at}
+            p = 1 / (1 + np.exp(-sum(w[i] * x for i, x in at)))
+            for i, x in at:
+                g = (p - labels[k]) * x
+                z[i] = z.get(i, 0.0) + g - ((n.get(i, 0.0) + g * g) ** 0.5 - n.get(i, 0.0) ** 0.5) / alpha * w[i]
+                n[i] = n.get(i, 0.0) + g * g
+    return [weight(i) for i in range(bins)], weight(bins) * quality.INTERCEPT
+
+
+def test_ftrl_against_one_number_at_a_time():
+    rng = np.random.default_rng(2)
+    labels = rng.integers(0, 2, 80).astype(float)
+    examples = [(np.unique(rng.integers(0, 40, 6)), None) for _ in labels]
+    examples = [(b, rng.random(len(b))) for b, _ in examples]
+    w, bias = quality.ftrl(examples, labels, bins=40)
+    plain, plain_bias = plain_ftrl(examples, labels, 2.0, 0.1, 2e-3, 1e-3, 4, 40)
+    assert np.allclose(w, plain, atol=1e-5) and bias == pytest.approx(plain_bias, abs=1e-6)
+
+
 def test_ftrl_is_sparse_and_right():
     rng = np.random.default_rng(0)
     labels = rng.integers(0, 2, 300)
@@ -191,12 +251,105 @@ def test_ftrl_is_sparse_and_right():
     assert w[2] > 0 > w[1] and abs(w[2]) > 3 * np.abs(w[10:60]).max() and (w == 0).sum() >= quality.BINS - 60
 
 
-def test_shapes_and_repeats():
-    raw = np.frombuffer("Aa Bb ### 12 12".encode(), np.uint8)
-    bins, first = quality.features(raw, np.array([0, len(raw)]))
-    per = bins.reshape(-1, 5)
-    assert per[0, 2] == per[1, 2] and per[0, 0] != per[1, 0] and per[4, 4] != per[1, 4] and first.tolist() == [0, 25]
-    assert quality.features(np.zeros(0, np.uint8), np.array([0, 0]))[0].size == 0
+def bytes_of(texts):
+    raw = [t.encode() for t in texts]
+    return np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)])
+
+
+def test_quality_scores_against_a_plain_version():
+    """Every word hashed alone, the sums word by word."""
+    texts = ["Aa Bb ### 12 12", "", "one", "x  y\nx", "word " * 40]
+    rng = np.random.default_rng(3)
+    model = quality.Model(rng.standard_normal(quality.BINS).astype(np.float32), 0.25)
+    u = np.uint64
+
+    def one(word, classes):
+        codes = np.frombuffer(word, np.uint8)
+        if classes:
+            kinds = quality._CLASS[codes]
+            codes = kinds[np.append(True, kinds[1:] != kinds[:-1])]
+        return common.span_hashes(codes, np.array([0]), np.array([len(codes)]))
+
+    want = []
+    for t in texts:
+        total, count, before, shape_before = 0.0, 0, np.array([1], u), np.array([1], u)
+        for word in t.encode().split():
+            h, s = one(word, False), one(word, True)
+            for c in (h + u(11), h + before * u(3) + u(13), s + u(17), s + shape_before * u(5) + u(19), (h == before).astype(u) + u(23)):
+                total, count = total + float(model.weights[int(common.mix(c)[0] & u(quality.BINS - 1))]), count + 1
+            before, shape_before = h, s
+        want.append(1 / (1 + np.exp(-(0.25 + total / max(1, count)))))
+    assert np.allclose(model.score(*bytes_of(texts)), want, atol=1e-5)
+
+
+@pytest.mark.parametrize("limit", [1, 7, 64])
+def test_long_texts_are_worked_through_in_runs(limit, monkeypatch, crf):
+    rng = random.Random(limit)
+    texts = ["".join(rng.choice("ab1 #.\n") for _ in range(400)), "", "zz" * 50, "a b"]
+    buf, offsets = bytes_of(texts)
+    whole, parts = ([np.concatenate(x) for x in zip(*quality.feature_runs(buf, offsets, n))] for n in (10**6, limit))
+    assert all((a == b).all() for a, b in zip(whole, parts))
+    starts, ends, first = common.word_spans(buf, offsets)
+    hashes, looks, grams = common.word_hashes(buf, starts, ends), pii._looks(buf, starts, ends), language_id.features(buf, offsets)
+    opening = np.zeros(len(starts), bool)
+    opening[first[:-1][np.diff(first) > 0]] = True
+    scores = crf.scores(looks, opening)
+    monkeypatch.setattr(common.word_runs, "__defaults__", (limit,))
+    monkeypatch.setattr(language_id, "SLICE_BYTES", limit)
+    assert (common.word_hashes(buf, starts, ends) == hashes).all() and all((a == b).all() for a, b in zip(pii._looks(buf, starts, ends), looks))
+    assert np.allclose(language_id.features(buf, offsets), grams) and (crf.scores(looks, opening, limit) == scores).all()
+
+
+def test_language_features_against_a_plain_version():
+    texts = ["Der Bär, ab!", "x", "", "aa aa"]
+    want = np.zeros((len(texts), language_id.BINS))
+    for row, t in zip(want, texts):
+        codes = [c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in t.encode()]
+        for order in language_id.ORDERS:
+            for i in range(len(codes) - order + 1):
+                h = 0
+                for c in codes[i : i + order]:
+                    h = (h * 0x01000193 + c + order) % 2**32
+                h = (h ^ h >> 15) * 0x2C1B3C6D % 2**32
+                row[h >> 19] += 1
+    want = np.sqrt(want)
+    want /= np.maximum(np.linalg.norm(want, axis=1, keepdims=True), 1e-9)
+    assert np.allclose(language_id.features(*bytes_of(texts)), want, atol=1e-6)
+
+
+def test_language_votes_against_a_plain_version():
+    rng = np.random.default_rng(5)
+    members = {"f": ["a", "b", "c"], "g": ["d"], "h": ["e", "i"]}
+    model = language_id.Model(list(members), rng.standard_normal((9, 3)), members, {f: rng.standard_normal((9, len(m) * (len(m) - 1) // 2)) for f, m in members.items()})
+    x = rng.standard_normal((60, 8)).astype(np.float32)
+    x[0] = 0
+    langs, scores = model.predict(x)
+    for row, lang, score in zip(x, langs, scores):
+        margin = {f: float(row @ model.of_family[:-1, k] + model.of_family[-1, k]) for k, f in enumerate(members)}
+        f = max(margin, key=margin.get)
+        ranked = sorted(margin.values())
+        duels = {pair: float(row @ model.pairs[f][:-1, c] + model.pairs[f][-1, c]) for c, pair in enumerate((a, b) for i, a in enumerate(members[f]) for b in members[f][i + 1 :])}
+        votes = {m: (sum((v > 0) == (m == a) and v != 0 for (a, b), v in duels.items() if m in (a, b)), sum(v if m == a else -v for (a, b), v in duels.items() if m in (a, b))) for m in members[f]}
+        best = max(members[f], key=votes.get)
+        least = min([ranked[-1] - ranked[-2]] + [2 * (v if best == a else -v) for (a, b), v in duels.items() if best in (a, b)])
+        assert lang == best and score == pytest.approx(1 / (1 + np.exp(-2 * least)), abs=1e-6)
+
+
+#: Written by hand, in phrases that no generator of labelled lines uses.
+HAND = [
+    ("reach me: joe at corp dot com", ("email", "joe at corp dot com")), ('set api_key = "9f86d081884c7d659a2feaa0c55ad015" before the start', ("secret", "9f86d081884c7d659a2feaa0c55ad015")),
+    ("password: hunter2hunter2hunter2x9 and nothing else", ("secret", "hunter2hunter2hunter2x9")), ("Our office: (212) 555-0147, second floor", ("phone", "(212) 555-0147")), ("Card 4111.1111.1111.1111 was used", ("card", "4111.1111.1111.1111")),
+    ("see commit da39a3ee5e6b4b0d3255bfef95601890afd80709 for it", None), ("The token is gone and the key = none.", None), ("it rained on 12 days of 31, about 40% in all", None), ("the isbn 9783161484100 of a book", None),
+    ("a plain line of text", None),
+]
+#: Forms that the labelled lines do not have, and that are missed: a bracketed sign between spaces, a name and its value in one word.
+MISSED = ["Bitte schreibt an petra.maier (at) firma.de oder ruft an.", 'config: AUTH_TOKEN="q8ZtR4mN2vL7xK9wB3cD5fG1" # prod']
+
+
+def test_hand_written_lines(crf):
+    texts = [t for t, _ in HAND] + MISSED
+    found = [[(pii.LABELS[k + 1], t[a:b]) for a, k, b in spans] for t, (_, spans) in zip(texts, pii.spans_of(crf, pa.array(texts)))]
+    assert found == [[want] if want else [] for _, want in HAND] + [[]] * len(MISSED)
 
 
 def test_rng_is_seeded():
