@@ -5,10 +5,11 @@ from __future__ import annotations
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.arrays import Nearest, matrix
+from ..functions.arrays import matrix
 from ..operators.exact import NEIGHBOURS, query_blocks, ranked
 from ..operators.kmeans import assign
 
@@ -33,17 +34,18 @@ def lloyd(x: np.ndarray, l: int, t: int, rng: np.random.Generator) -> np.ndarray
 
 
 def rerank_scan(points: DataFrame, columns: list[str], queries: DataFrame, k: int, keep: int, rough: Callable) -> DataFrame:
-    """(qid, rank, vec_id, dist): of each batch the ``keep`` points that ``rough(batch, q, i)`` finds best are measured exactly.
+    """(qid, rank, vec_id, dist): of all points the ``keep`` that ``rough(batch, q, i)`` finds best (ties to the smaller id) are measured exactly.
 
-    ``rough`` gives a value for every row, infinite for rows that the method does not look at.
+    ``rough`` gives a value for every row, infinite for rows that the method does not look at. Every task keeps and measures ``keep`` rows a query; those that are among the ``keep`` best of all
+    tasks count, so the answer does not depend on how the points lie in partitions and batches.
     """
-    out = points.sparkSession.createDataFrame([], NEIGHBOURS)
-    for qids, q in query_blocks(queries):
+    out = points.sparkSession.createDataFrame([], f"{NEIGHBOURS}, value double")
+    for qids, q in query_blocks(queries, 24 * min(keep, SAMPLE)):
         shared = points.sparkSession.sparkContext.broadcast((qids, q))
 
         def run(batches, shared=shared):
             qids, q = shared.value
-            best = Nearest(q, k)
+            held = [[np.zeros(0), np.zeros(0, np.int64), np.zeros(0)] for _ in q]
             for batch in batches:
                 if not batch.num_rows:
                     continue
@@ -51,10 +53,12 @@ def rerank_scan(points: DataFrame, columns: list[str], queries: DataFrame, k: in
                 for i in range(len(q)):
                     value = rough(batch, q, i)
                     some = np.flatnonzero(np.isfinite(value))
-                    if len(some) > keep:
-                        some = some[np.argpartition(value[some], keep)[:keep]]
-                    best.offer(i, ids[some], x[some])
-            yield best.batch(qids)
+                    both = [np.concatenate(pair) for pair in zip(held[i], (value[some], ids[some], np.sqrt(((x[some] - q[i]) ** 2).sum(axis=1))))]
+                    best = np.lexsort((both[1], both[0]))[:keep] if len(both[0]) > keep else slice(None)
+                    held[i] = [column[best] for column in both]
+            value, ids, dist = (np.concatenate(column) for column in zip(*held))
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qids, [len(h[0]) for h in held])), pa.array(ids), pa.array(dist), pa.array(value)], names=["qid", "vec_id", "dist", "value"])
 
-        out = out.unionByName(points.select("vec_id", "embedding", *columns).mapInArrow(run, NEIGHBOURS))
-    return ranked(out, k)
+        out = out.unionByName(points.select("vec_id", "embedding", *columns).mapInArrow(run, out.schema))
+    first = Window.partitionBy("qid").orderBy("value", "vec_id")
+    return ranked(out.withColumn("r", F.row_number().over(first)).where(F.col("r") <= keep), k)

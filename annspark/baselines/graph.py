@@ -1,9 +1,10 @@
 """Proximity graphs, one for each shard of the points: layered, refined, and with shortcuts.
 
 From public literature, in the simplest form. Shards are hash buckets of at most about ``shard`` points, so a graph fits one task; a query walks every
-shard's graph and the k best of all shards are the answer. ``refined`` builds its neighbour lists by exchange
-among neighbours' neighbours as DataFrame joins; S and R are read as the length of the lists and the neighbours that
-each point offers a round. ``shortcut`` is the layered graph whose upper layers are skipped by a stored entry table; both readings are
+shard's graph and the k best of all shards are the answer. ``layered`` descends from its summit layer by layer. ``refined`` builds its neighbour lists by exchange
+among neighbours' neighbours as DataFrame joins and then puts layers over them; S and R are read as the length of the lists and the neighbours that
+each point offers a round. ``shortcut`` is the layered graph whose points of the upper layers record the points of the first layer nearest to them when it is built: a query walks the
+top layer, jumps along the recorded shortcuts past the layers between, and goes on in the base. Both readings are
 assumptions of ours, as published descriptions beyond the parameters were not at hand.
 """
 
@@ -17,12 +18,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.arrays import matrix
+from ..functions.arrays import matrix, squared_distances
 from ..functions.vector import l2sq
 from ..operators.exact import NEIGHBOURS, query_blocks, ranked
 from ..sources.work import materialise
 
-ROWS = "shard int, vec_id long, level int, neighbours array<array<long>>, embedding array<double>"
+ROWS = "shard int, vec_id long, level int, neighbours array<array<long>>, shortcuts array<long>, embedding array<double>"
 
 
 @dataclass
@@ -108,13 +109,20 @@ def _sharded(base: DataFrame, shard: int) -> DataFrame:
     return base.select(F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int").alias("shard"), F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
 
 
+def _rows(rows: pa.Table, ids: np.ndarray, levels: list[int], links: list[dict[int, list[int]]], jumps: dict[int, list[int]]) -> pa.Table:
+    named = [[[int(ids[v]) for v in links[level].get(i, ())] for level in range(levels[i] + 1)] for i in range(len(ids))]
+    jumped = [[int(ids[v]) for v in jumps.get(i, ())] for i in range(len(ids))]
+    return pa.table({"shard": rows.column("shard"), "vec_id": rows.column("vec_id"), "level": pa.array(levels, pa.int32()), "neighbours": pa.array(named, pa.list_(pa.list_(pa.int64()))), "shortcuts": pa.array(jumped, pa.list_(pa.int64())), "embedding": rows.column("embedding")})
+
+
 def build(base: DataFrame, m: int = 12, ef_build: int = 60, shard: int = 5_000, kind: str = "layered", seed: int = 23) -> Graph:
     def one(rows):
         rows = rows.sort_by("vec_id")
         x, ids = matrix(rows.column("embedding")), rows.column("vec_id").to_numpy()
         levels, links = layered(x, m, ef_build, np.random.default_rng(seed))
-        named = [[[int(ids[v]) for v in links[level][i]] for level in range(levels[i] + 1)] for i in range(len(x))]
-        return pa.table({"shard": rows.column("shard"), "vec_id": rows.column("vec_id"), "level": pa.array(levels, pa.int32()), "neighbours": pa.array(named, pa.list_(pa.list_(pa.int64()))), "embedding": rows.column("embedding")})
+        upper = [i for i, level in enumerate(levels) if level == len(links) - 1] if kind == "shortcut" and len(links) > 2 else []
+        jumps = {i: [v for _, v in _walk(x, links[1], x[i], [i], m)] for i in upper}
+        return _rows(rows, ids, levels, links, jumps)
 
     nodes = materialise(_sharded(base, shard).groupBy("shard").applyInArrow(one, ROWS), "graph")
     return Graph(nodes, kind, nodes.count(), 2 * m)
@@ -147,11 +155,34 @@ def build_refined(base: DataFrame, s: int = 12, r: int = 4, rounds: int = 4, sha
         lists_ = materialise(lists_.unionByName(fresh).distinct().withColumn("k", F.row_number().over(best)).where(F.col("k") <= s).select("shard", "u", "v", "d"), "refined-lists")
     both = lists_.select("shard", "u", "v").unionByName(lists_.select("shard", F.col("v").alias("u"), F.col("u").alias("v"))).distinct()
     held = both.groupBy("shard", "u").agg(F.sort_array(F.collect_list("v")).alias("near"))
-    nodes = points.join(held.withColumnRenamed("u", "vec_id"), ["shard", "vec_id"], "left").select("shard", "vec_id", F.lit(0).alias("level"), F.array(F.coalesce("near", F.array().cast("array<long>"))).alias("neighbours"), "embedding")
-    nodes = materialise(nodes, "refined")
+    flat = points.join(held.withColumnRenamed("u", "vec_id"), ["shard", "vec_id"], "left").select("shard", "vec_id", F.coalesce("near", F.array().cast("array<long>")).alias("near"), "embedding")
+    nodes = materialise(flat.groupBy("shard").applyInArrow(_layers_over(s, seed), ROWS), "refined")
     return Graph(nodes, "refined", nodes.count(), 2 * s)
 
 
+def _layers_over(s: int, seed: int):
+    """Puts layers over one shard's finished base lists: each has about one point in s of the one below, linked to its s nearest there, pruned, and back."""
+
+    def one(rows):
+        rows = rows.sort_by("vec_id")
+        x, ids = matrix(rows.column("embedding")), rows.column("vec_id").to_numpy()
+        levels = np.minimum((-np.log(np.random.default_rng(seed).uniform(1e-12, 1, len(x))) / np.log(max(2, s))).astype(int), 8)
+        links = [{i: np.searchsorted(ids, near).tolist() for i, near in enumerate(rows.column("near").to_pylist())}]
+        for level in range(1, int(levels.max(initial=0)) + 1):
+            own = np.flatnonzero(levels >= level)
+            far = squared_distances(x[own], x[own])
+            held: dict[int, list[int]] = {int(i): [] for i in own}
+            for k, i in enumerate(own.tolist()):
+                near = [(float(far[k, j]), int(own[j])) for j in np.argsort(far[k], kind="stable")[: 2 * s + 1]]
+                for v in _pruned(x, i, near, s):
+                    held[i].append(v)
+                    held[v].append(i)
+            links.append({i: sorted(set(v)) for i, v in held.items()})
+        return _rows(rows, ids, levels.tolist(), links, {})
+
+    return one
+
+
 def query(graph: Graph, queries: DataFrame, k: int = 10, ef: int = 100) -> DataFrame:
     """(qid, rank, vec_id, dist)."""
     out = graph.nodes.sparkSession.createDataFrame([], NEIGHBOURS)
@@ -173,17 +204,22 @@ def _answer(shared, kind: str, k: int, ef: int):
         top = int(level.max())
         links = [{i: np.searchsorted(ids, near[l]).tolist() for i, near in enumerate(named) if l < len(near)} for l in range(top + 1)]
         summit = int(np.flatnonzero(level == top)[0])
-        # a graph without layers, or one that skips them, is entered at several points of its own
-        table = np.flatnonzero(level >= max(1, top - 1)) if kind == "shortcut" and top else np.linspace(0, len(x) - 1, min(len(x), 16)).astype(int)
+        jumps = {i: np.searchsorted(ids, near).tolist() for i, near in enumerate(rows.column("shortcuts").to_pylist()) if near}
+        # lists that were refined apart from the layers may fall into parts: some points of the base help in
+        spread = np.linspace(0, len(x) - 1, min(len(x), 16)).astype(int)
         found = {"qid": [], "vec_id": [], "dist": []}
         for qid, v in zip(qids, q):
-            if kind == "layered":
-                at = [summit]
+            at = [summit]
+            if kind == "shortcut" and jumps:
+                at = [_walk(x, links[top], v, at, 1)[0][1]]
+                near = jumps[at[0]]
+                at += [near[i] for i in np.argsort(((x[near] - v) ** 2).sum(axis=1), kind="stable")[:3]]
+            else:
                 for l in range(top, 0, -1):
                     at = [_walk(x, links[l], v, at, 1)[0][1]]
-            else:
-                at = table[np.argsort(((x[table] - v) ** 2).sum(axis=1), kind="stable")[:4]].tolist()
-            for d, i in _walk(x, links[0], v, at, max(ef, k))[:k]:
+            if kind == "refined":
+                at += spread[np.argsort(((x[spread] - v) ** 2).sum(axis=1), kind="stable")[:3]].tolist()
+            for d, i in _walk(x, links[0], v, list(dict.fromkeys(at)), max(ef, k))[:k]:
                 found["qid"].append(int(qid)), found["vec_id"].append(int(ids[i])), found["dist"].append(float(np.sqrt(d)))
         return pa.table({"qid": pa.array(found["qid"], pa.int64()), "vec_id": pa.array(found["vec_id"], pa.int64()), "dist": pa.array(found["dist"], pa.float64())})
 

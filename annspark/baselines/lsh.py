@@ -1,14 +1,14 @@
-"""Projection hashing with breakpoint-encoded symbols and a widening range.
+"""Projection hashing with breakpoint-encoded symbols, a tree over the symbols, and a widening range.
 
-From public literature: L sets of K Gaussian projections; each projection is cut at quantiles of a sample into at most 256 symbols. The symbols of a set
-bound the projected distance from below; ranges widen by the factor c until beta * n + k points lie within
-in some set, and those are measured exactly. The tree over symbol prefixes is not built: the scan over symbol arrays
-that replaces it reads L * K bytes a point.
+From public literature: L sets of K Gaussian projections; each projection is cut at quantiles of a sample into at most 256 symbols. For each set a tree splits the symbols
+in two, at the median of the dimension that spreads most, until a leaf has its share of the sample; a leaf is a box of symbols. A query descends the trees: only points in leaves
+whose box comes within the range are looked at, and their symbols bound the projected distance from below. Ranges widen by the factor c until beta * n + k points lie within
+in some set, and those are measured exactly. The trees have at most ``LEAVES`` leaves each, whatever n, so they are broadcast; points carry the numbers of their leaves.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -21,82 +21,165 @@ from ..sources.work import materialise
 from .common import rerank_scan, sample_of
 
 LEVELS = 24
+LEAVES = 256
+
+
+@dataclass
+class Tree:
+    """Inner nodes (dimension, first symbol of the right side, children; a child below 0 is leaf -1 - child) and the leaves' boxes of symbols."""
+
+    dim: list[int] = field(default_factory=list)
+    cut: list[int] = field(default_factory=list)
+    child: list[list[int]] = field(default_factory=list)
+    low: list[np.ndarray] = field(default_factory=list)
+    high: list[np.ndarray] = field(default_factory=list)
+
+    @classmethod
+    def grow(cls, symbols: np.ndarray, top: int, leaves: int = LEAVES) -> Tree:
+        tree, share = cls(), max(1, -(-len(symbols) // leaves))
+
+        def split(rows: np.ndarray, low: np.ndarray, high: np.ndarray) -> int:
+            own = symbols[rows]
+            spread = own.max(axis=0) - own.min(axis=0) if len(rows) else np.zeros(symbols.shape[1])
+            if len(rows) <= share or not spread.max():
+                tree.low.append(low), tree.high.append(high)
+                return -len(tree.low)
+            dim = int(spread.argmax())
+            cut = int(np.clip(np.median(own[:, dim]), own[:, dim].min() + 1, own[:, dim].max()))
+            node = len(tree.dim)
+            tree.dim.append(dim), tree.cut.append(cut), tree.child.append([0, 0])
+            right = own[:, dim] >= cut
+            low_right, high_left = low.copy(), high.copy()
+            low_right[dim], high_left[dim] = cut, cut - 1
+            tree.child[node] = [split(rows[~right], low, high_left), split(rows[right], low_right, high)]
+            return node
+
+        split(np.arange(len(symbols)), np.zeros(symbols.shape[1], int), np.full(symbols.shape[1], top))
+        return tree
+
+    def leaf_of(self, symbols: np.ndarray) -> np.ndarray:
+        """The leaf of each row, all rows in step."""
+        at = np.full(len(symbols), 0 if self.dim else -1)
+        dim, cut, child = np.array(self.dim, int), np.array(self.cut, int), np.array(self.child, int).reshape(-1, 2)
+        while (inner := np.flatnonzero(at >= 0)).size:
+            node = at[inner]
+            at[inner] = child[node, (symbols[inner, dim[node]] >= cut[node]).astype(int)]
+        return -1 - at
 
 
 @dataclass
 class ProjectionHash:
     directions: np.ndarray  # L x d x K
     breaks: np.ndarray  # L x K x symbols - 1
-    points: DataFrame
+    trees: list[Tree]
+    points: DataFrame | None
     n: int
 
     def bytes(self) -> int:
-        return self.n * (8 + self.directions.shape[0] * self.directions.shape[2]) + 8 * (self.directions.size + self.breaks.size)
+        trees = sum(3 * len(t.dim) + 2 * len(t.low) * self.directions.shape[2] for t in self.trees)
+        return self.n * (8 + self.directions.shape[0] * (2 + self.directions.shape[2])) + 8 * (self.directions.size + self.breaks.size + trees)
+
+    def _edges(self, q: np.ndarray, t: int) -> tuple[np.ndarray, np.ndarray]:
+        """For each projection (row) and symbol how far the symbol lies above and below the query's place."""
+        place = (q @ self.directions[t])[:, None]
+        open_ = np.full((len(place), 1), np.inf)
+        return np.hstack([-open_, self.breaks[t]]) - place, place - np.hstack([self.breaks[t], open_])
+
+    def leaves_within(self, q: np.ndarray, radius: float) -> list[np.ndarray]:
+        """For each set which leaves' boxes come within the radius."""
+        out = []
+        for t, tree in enumerate(self.trees):
+            above, below = self._edges(q, t)
+            each = np.arange(len(above))
+            low, high = np.array(tree.low), np.array(tree.high)
+            gap = np.maximum(0, np.maximum(above[each, low], below[each, high]))
+            out.append(np.sqrt((gap * gap).sum(axis=1)) <= radius)
+        return out
 
     def lower_bounds(self, symbols: np.ndarray, q: np.ndarray) -> np.ndarray:
         """Least possible projected distance of every point to q, the smallest over the sets."""
-        best = np.full(len(symbols), np.inf)
-        width = self.directions.shape[2]
+        best, width = np.full(len(symbols), np.inf), self.directions.shape[2]
         for t in range(len(self.directions)):
-            place = q @ self.directions[t]
-            total = np.zeros(len(symbols))
-            for c in range(width):
-                edges = np.concatenate([[-np.inf], self.breaks[t, c], [np.inf]])
-                gap = np.maximum(0, np.maximum(edges[:-1] - place[c], place[c] - edges[1:]))
-                total += gap[symbols[:, t * width + c]] ** 2
-            np.minimum(best, total, out=best)
+            gap = np.maximum(0, np.maximum(*self._edges(q, t)))
+            own = gap[np.arange(width), symbols[:, t * width : (t + 1) * width]]
+            np.minimum(best, (own * own).sum(axis=1), out=best)
         return np.sqrt(best)
 
+    def bounds_within(self, batch: pa.RecordBatch, q: np.ndarray, radius: float) -> np.ndarray:
+        """Lower bounds of the points in leaves that come within the radius; infinite for all others, whose symbols are not looked at."""
+        leaf = matrix(batch.column("leaves")).astype(np.int64)
+        some = np.flatnonzero(np.any([near[leaf[:, t]] for t, near in enumerate(self.leaves_within(q, radius))], axis=0))
+        out = np.full(batch.num_rows, np.inf)
+        if len(some):
+            out[some] = self.lower_bounds(matrix(batch.column("symbols").take(pa.array(some))).astype(np.int64), q)
+        return out
+
 
 def build(base: DataFrame, sets: int = 4, projections: int = 16, symbols: int = 256, seed: int = 23) -> ProjectionHash:
     x = sample_of(base)
     directions = np.random.default_rng(seed).standard_normal((sets, x.shape[1], projections))
     quantiles = np.arange(1, symbols) / symbols
     breaks = np.stack([np.quantile(x @ d, quantiles, axis=0).T for d in directions])
-    shared = base.sparkSession.sparkContext.broadcast((directions, breaks))
+
+    def symbols_of(x, directions, breaks, t):
+        return np.stack([np.searchsorted(breaks[t, c], x @ directions[t][:, c], "left") for c in range(directions.shape[2])], axis=1)
+
+    trees = [Tree.grow(symbols_of(x, directions, breaks, t), symbols - 1) for t in range(sets)]
+    shared = base.sparkSession.sparkContext.broadcast((directions, breaks, trees))
 
     def encode(batches):
-        directions, breaks = shared.value
+        directions, breaks, trees = shared.value
         for batch in batches:
             if batch.num_rows:
                 x = matrix(batch.column("embedding"))
-                columns = [np.searchsorted(breaks[t, c], x @ directions[t][:, c], "left") for t in range(len(directions)) for c in range(directions.shape[2])]
-                yield pa.RecordBatch.from_arrays([batch.column("vec_id"), lists(np.stack(columns, axis=1).astype(np.int16)), batch.column("embedding")], names=["vec_id", "symbols", "embedding"])
+                own = [symbols_of(x, directions, breaks, t) for t in range(len(directions))]
+                leaves = np.stack([tree.leaf_of(s) for tree, s in zip(trees, own)], axis=1)
+                yield pa.RecordBatch.from_arrays([batch.column("vec_id"), lists(np.hstack(own).astype(np.int16)), lists(leaves.astype(np.int16)), batch.column("embedding")], names=["vec_id", "symbols", "leaves", "embedding"])
 
-    points = materialise(base.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(encode, "vec_id long, symbols array<smallint>, embedding array<double>"), "projection-hash")
-    return ProjectionHash(directions, breaks, points, points.count())
+    schema = "vec_id long, symbols array<smallint>, leaves array<smallint>, embedding array<double>"
+    points = materialise(base.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(encode, schema), "projection-hash")
+    return ProjectionHash(directions, breaks, trees, points, points.count())
 
 
 def query(index: ProjectionHash, queries: DataFrame, k: int = 10, beta: float = 0.1, c: float = 1.5) -> DataFrame:
     """(qid, rank, vec_id, dist)."""
-    directions, breaks, n = index.directions, index.breaks, index.n
-    bare = ProjectionHash(directions, breaks, None, n)
+    n = index.n
+    bare = ProjectionHash(index.directions, index.breaks, index.trees, None, n)
     # the widest range holds everything; each narrower one is c times less
-    widest = float(np.abs(breaks).max()) * 4 * np.sqrt(directions.shape[2]) + 1e-9
+    widest = float(np.abs(index.breaks).max()) * 4 * np.sqrt(index.directions.shape[2]) + 1e-9
     radii = np.concatenate([[0.0], widest / c ** np.arange(LEVELS - 1, -1, -1)])
-    radius: dict[int, float] = {}
-    for qids, q in query_blocks(queries):
-        shared = index.points.sparkSession.sparkContext.broadcast(q)
-
-        def count(batches, shared=shared):
-            total = np.zeros((len(shared.value), len(radii) + 1), np.int64)
-            for batch in batches:
-                if batch.num_rows:
-                    symbols = matrix(batch.column("symbols")).astype(np.int64)
-                    for i, v in enumerate(shared.value):
-                        total[i] += np.bincount(np.searchsorted(radii, bare.lower_bounds(symbols, v), "left"), minlength=total.shape[1])
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(total.size)), pa.array(total.ravel())], names=["at", "n"])
-
-        got = index.points.select("symbols").mapInArrow(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
-        total = np.zeros(len(q) * (len(radii) + 1), np.int64)
-        total[got.column("at").to_numpy()] = got.column("n").to_numpy()
-        upto = np.cumsum(total.reshape(len(q), -1), axis=1)[:, : len(radii)]
-        level = np.argmax(upto >= min(n, beta * n + k), axis=1)
-        level[~(upto >= min(n, beta * n + k)).any(axis=1)] = len(radii) - 1
-        radius |= {v.tobytes(): float(radii[l]) for v, l in zip(q, level)}
+    want = min(n, beta * n + k)
+    radius: dict[bytes, float] = {}
+    for _, q in query_blocks(queries, 8 * (LEVELS + 2)):
+        reach, open_ = np.zeros(len(q), int), np.arange(len(q))
+        while len(open_):
+            # a few ranges further in each round; what lies in leaves beyond them is passed over
+            reach[open_] = np.minimum(LEVELS, reach[open_] + (LEVELS // 2 if not reach[open_].any() else 4))
+            shared = index.points.sparkSession.sparkContext.broadcast((q[open_], reach[open_]))
+
+            def count(batches, shared=shared):
+                asked, reach = shared.value
+                total = np.zeros((len(asked), len(radii) + 1), np.int64)
+                for batch in batches:
+                    if batch.num_rows:
+                        for i, v in enumerate(asked):
+                            total[i] += np.bincount(np.searchsorted(radii, bare.bounds_within(batch, v, radii[reach[i]]), "left"), minlength=total.shape[1])
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(total.size)), pa.array(total.ravel())], names=["at", "n"])
+
+            got = index.points.select("symbols", "leaves").mapInArrow(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
+            total = np.zeros(len(open_) * (len(radii) + 1), np.int64)
+            total[got.column("at").to_numpy()] = got.column("n").to_numpy()
+            upto = np.cumsum(total.reshape(len(open_), -1), axis=1)[:, : len(radii)]
+            # a count is whole up to the range that was looked at
+            enough = (upto >= want) & (np.arange(len(radii)) <= reach[open_][:, None])
+            done = enough.any(axis=1) | (reach[open_] >= LEVELS)
+            for i, e in zip(open_[done], enough[done]):
+                radius[q[i].tobytes()] = float(radii[np.argmax(e)] if e.any() else radii[-1])
+            open_ = open_[~done]
 
     def rough(batch, q, i):
-        bound = bare.lower_bounds(matrix(batch.column("symbols")).astype(np.int64), q[i])
-        return np.where(bound <= radius[q[i].tobytes()], bound, np.inf)
+        r = radius[q[i].tobytes()]
+        bound = bare.bounds_within(batch, q[i], r)
+        return np.where(bound <= r, bound, np.inf)
 
-    return rerank_scan(index.points, ["symbols"], queries, k, 1 << 30, rough)
+    return rerank_scan(index.points, ["symbols", "leaves"], queries, k, n, rough)

@@ -22,7 +22,7 @@ from .common import lloyd, rerank_scan, sample_of
 
 
 @dataclass
-class ImiOpq:
+class TwoCodebooks:
     rotation: np.ndarray
     coarse: list[np.ndarray]
     fine: list[np.ndarray]
@@ -42,7 +42,7 @@ def _pieces(x: np.ndarray, m: int) -> list[np.ndarray]:
     return np.array_split(x, m, axis=1)
 
 
-def build(base: DataFrame, cells: int = 256, pieces: int = 8, codes: int = 16, rounds: int = 4, seed: int = 23) -> ImiOpq:
+def build(base: DataFrame, cells: int = 256, pieces: int = 8, codes: int = 16, rounds: int = 4, seed: int = 23) -> TwoCodebooks:
     rng = np.random.default_rng(seed)
     x = sample_of(base)
     side = int(np.sqrt(cells))
@@ -69,25 +69,32 @@ def build(base: DataFrame, cells: int = 256, pieces: int = 8, codes: int = 16, r
                 bytes_ = np.stack([assign(p, f) for p, f in zip(_pieces(residual, len(fine)), fine)], axis=1)
                 yield pa.RecordBatch.from_arrays([batch.column("vec_id"), pa.array((label[0] * len(coarse[1]) + label[1]).astype(np.int32)), lists(bytes_.astype(np.int8)), batch.column("embedding")], names=["vec_id", "cell", "code", "embedding"])
 
-    points = materialise(base.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(encode, "vec_id long, cell int, code array<tinyint>, embedding array<double>"), "imi-opq")
+    points = materialise(base.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(encode, "vec_id long, cell int, code array<tinyint>, embedding array<double>"), "two-codebooks")
     counts = np.zeros((side, side), np.int64)
     for cell, n in points.groupBy("cell").count().collect():  # at most ``cells`` rows
         counts[cell // side, cell % side] = n
-    return ImiOpq(rotation, coarse, fine, counts, points, int(counts.sum()))
+    return TwoCodebooks(rotation, coarse, fine, counts, points, int(counts.sum()))
 
 
-def query(index: ImiOpq, queries: DataFrame, k: int = 10, beta: float = 0.1, keep: int | None = None) -> DataFrame:
+def query(index: TwoCodebooks, queries: DataFrame, k: int = 10, beta: float = 0.1, keep: int | None = None) -> DataFrame:
     """(qid, rank, vec_id, dist)."""
     rotation, coarse, fine, counts, n = index.rotation, index.coarse, index.fine, index.counts, index.n
+    walked: dict[bytes, np.ndarray] = {}  # a task walks the cells of a query once
 
-    def rough(batch, q, i):
-        y = q[i] @ rotation
-        halves = _halves(y[None])
-        lists_ = [centroid_lists(c, h[0], "l2sq") for c, h in zip(coarse, halves)]
+    def cells_of(y):
+        lists_ = [centroid_lists(c, h[0], "l2sq") for c, h in zip(coarse, _halves(y[None]))]
         order1, order2 = lists_[0][0], lists_[1][0]
         got = by_heap(lists_[0][1], lists_[1][1], counts[np.ix_(order1, order2)], beta * n)
         taken = np.zeros(counts.size, bool)
         taken[order1[got.pos1] * counts.shape[1] + order2[got.pos2]] = True
+        return taken
+
+    def rough(batch, q, i):
+        y = q[i] @ rotation
+        key = q[i].tobytes()
+        if key not in walked:
+            walked[key] = cells_of(y)
+        taken = walked[key]
         cell = batch.column("cell").to_numpy()
         some = np.flatnonzero(taken[cell])
         value = np.full(len(cell), np.inf)

@@ -5,23 +5,25 @@ Integers are longs and real numbers are rounded, so that both engines print the
 
 from __future__ import annotations
 
-import os
-from functools import cache
+import uuid
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .functions import sql as functions
 from .functions.arrays import lists
 from .operators import activation, allocate, exact, imi, linalg, metrics, scoring, select, theory, transform, weights
+from .oracles import workloads as workload_oracles
 from .oracles.pipeline import KNN, Pipeline
 from .params import Params, preset
 from .plans import index as indexes
 from .plans import search, surround, workloads
 from .sources import vectors
 from .sources.vectors import fixture
-from .sources.work import materialise
+from .sources.work import materialise, work_dir
+from .streaming import streams
 
 #: The settings of the oracles: small enough for whole pipelines in one statement.
 TINY = {"ns": 8, "s": 8, "cells": 64, "t": 3, "alpha": 0.1, "beta": 0.1, "k": 10}
@@ -31,8 +33,10 @@ _kept: dict = {}
 
 
 def kept(spark, key, make):
-    """What several queries of one session share: made once."""
-    key = (spark.sparkContext.applicationId, *key)
+    """What several queries of one session share: made once for the tables of a folder as they are now. key: a name, the folder, and whatever else tells it apart."""
+    folder = spark._jvm.org.apache.hadoop.fs.Path(key[1])
+    changed = folder.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(folder).getModificationTime()
+    key = (spark.sparkContext.applicationId, changed, *key)
     if key not in _kept:
         _kept[key] = make()
     return _kept[key]
@@ -92,10 +96,10 @@ def _cell_scorers(spark, sf_dir):
 
     def make():
         index, scorers = _agnostic(spark, sf_dir), []
-        for qids, q in exact.query_blocks(fixture(spark, sf_dir, "embeddings")[1]):
+        for qids, q in exact.query_blocks(fixture(spark, sf_dir, "embeddings")[1], index.params.ns * index.params.cells):
             block = spark.createDataFrame(pa.table({"qid": qids, "embedding": lists(q)}))
-            cells = activation.activate(block, index.space, index.books, index.counts, index.params.alpha, "heap", index.params.cell_distance)
-            scorers.append(scoring.cell_scorer(qids, q, cells, index.params.ns, index.params.side))
+            bits = activation.activated_bits(block, index.space, index.books, index.counts, index.params.alpha, "heap", index.params.cell_distance)
+            scorers.append(scoring.bit_scorer(qids, q, bits, index.params.ns, index.params.side))
         return index, scorers
 
     return kept(spark, ("cell scorers", sf_dir), make)
@@ -143,8 +147,8 @@ def collisions_declared(spark, sf_dir):
 
 
 def score_profile_raw(spark, sf_dir):
-    distances = exact.within(*fixture(spark, sf_dir, "embeddings"), float("inf"))
-    return _longs(metrics.profile(_exact_scores(spark, sf_dir)[1], distances), 6)
+    base, _, scorers = _scorers(spark, sf_dir)
+    return _longs(metrics.profile(base, scorers), 6)
 
 
 def collision_scan_knn(spark, sf_dir):
@@ -238,7 +242,8 @@ def candidates_fixed(spark, sf_dir):
     index, scorers = _cell_scorers(spark, sf_dir)
 
     def chosen(scorer):
-        choice = select.by_number(select.histogram(index.points, scorer, 8), index.points, scorer, index.params.budget(index.n), 8)
+        counts = select.counts_of(select.histogram(index.points, scorer, 8), scorer.qids, 8)
+        choice = select.by_number(counts, index.points, scorer, index.params.budget(index.n))
         return select.candidates(index.points, scorer, choice)
 
     return _longs(scoring.over_blocks(chosen, scorers))
@@ -281,27 +286,22 @@ def type_errors(spark, sf_dir):
     return _longs(theory.separation(scores, _truth(spark, sf_dir), base.count(), 8), 6)
 
 
-def _truth_pairs(spark, sf_dir, table):
-    """Pairs of base ids: each of the first 20 with the 30 after it."""
-    base = fixture(spark, sf_dir, table)[0]
-    ids = [r[0] for r in base.select("vec_id").orderBy("vec_id").limit(50).collect()]
-    return base, spark.createDataFrame([(a, b) for i, a in enumerate(ids[:20]) for b in ids[i + 1 : i + 31]], "i long, j long")
-
-
 def _adaptive_space(spark, sf_dir, table="skewed"):
     return kept(spark, ("space", sf_dir, table), lambda: transform.fit(fixture(spark, sf_dir, table)[0], preset("adaptive", **TINY_ADAPTIVE)))
 
 
+def _bounds(spark, sf_dir):
+    """Of every query with every row."""
+    return kept(spark, ("bounds", sf_dir), lambda: materialise(theory.query_bounds(*fixture(spark, sf_dir, "skewed"), _adaptive_space(spark, sf_dir)), "bounds"))
+
+
 def distance_bounds(spark, sf_dir):
-    base, pairs = _truth_pairs(spark, sf_dir, "skewed")
-    return _longs(theory.distance_bounds(base, pairs, _adaptive_space(spark, sf_dir)), 6)
+    return _longs(_bounds(spark, sf_dir), 6)
 
 
 def order_violations(spark, sf_dir):
     """Over every query and all rows."""
-    base, queries = fixture(spark, sf_dir, "skewed")
-    found = theory.query_order_violations(materialise(theory.query_bounds(base, queries, _adaptive_space(spark, sf_dir)), "bounds"))
-    return found.agg(F.count(F.lit(1)).alias("violations"))
+    return theory.query_order_violations(_bounds(spark, sf_dir)).agg(F.count(F.lit(1)).alias("violations"))
 
 
 def allocation(spark, sf_dir):
@@ -325,14 +325,26 @@ def transformed_norms(spark, sf_dir):
 def score_profile_transformed(spark, sf_dir):
     base, queries = fixture(spark, sf_dir, "skewed")
     scorers = scoring.exact_scorers(base, queries, _adaptive_space(spark, sf_dir), Params(**TINY).collisions(base.count()))
-    scores = scoring.over_blocks(lambda s: scoring.score_table(base, s), scorers)
-    return _longs(metrics.profile(scores, exact.within(base, queries, float("inf"))), 6)
+    return _longs(metrics.profile(base, scorers), 6)
 
 
-def dim_reduction(spark, sf_dir):
-    """Chosen (d, N_s, s) of the five published datasets."""
-    rows = [(256, 6, 8), (960, 4, 10), (128, 6, 6), (96, 6, 8), (100, 6, 10)]
-    return spark.createDataFrame(rows, "d long, ns long, s long").withColumn("reduction", F.round(1 - F.col("ns") * F.col("s") / F.col("d"), 4))
+def allocation_gap(spark, sf_dir):
+    """How far the greedy deal of the six leading eigenvalues to two blocks is from the best balance."""
+    values = _adaptive_space(spark, sf_dir).values[:6]
+    rows = [(float(allocate.spread(values, allocate.greedy(values, 2, 3))), float(allocate.brute_force(values, 2, 3)))]
+    return _longs(spark.createDataFrame(rows, "greedy_spread double, best_spread double"))
+
+
+def imi_cells_adaptive(spark, sf_dir):
+    return _longs(imi.cell_counts(_index(spark, sf_dir, "skewed", **(TINY_ADAPTIVE | {"space": "adaptive"})).points, 8))
+
+
+def collision_sampled_score(spark, sf_dir):
+    """Collision scores where the subspaces are dimensions drawn without replacement."""
+    base, queries = fixture(spark, sf_dir, "embeddings")
+    p = Params(**(TINY | {"space": "sampled"}))
+    scorers = scoring.exact_scorers(base, queries, transform.fit(base, p), p.collisions(base.count()))
+    return _longs(scoring.over_blocks(lambda s: scoring.score_table(base, s), scorers))
 
 
 METHODS = ("agnostic", "agnostic+cutoff", "agnostic+query")
@@ -351,7 +363,7 @@ CORE = {
     for f in (
         exact_knn, exact_knn_k1, exact_knn_declared, radius_search, ratio_contract, collision_exact_score, collisions_declared, score_profile_raw, collision_scan_knn, moments_mean, moments_cov,
         moments_declared, eigenvalue_moments, kmeans_codebooks_agnostic, imi_cells_agnostic, imi_postings, ranked_lists, activated_cells_declared, activation_work, score_from_codes, score_from_postings,
-        score_histogram, candidates_fixed, result_overlap, gap_by_query, error_bound, type_errors, distance_bounds, order_violations, allocation, block_entropy, transformed_norms, score_profile_transformed, dim_reduction, recall_by_method,
+        score_histogram, candidates_fixed, result_overlap, gap_by_query, error_bound, type_errors, distance_bounds, order_violations, allocation, block_entropy, transformed_norms, score_profile_transformed, recall_by_method, allocation_gap, imi_cells_adaptive, collision_sampled_score,
     )
 } | {
     **{f"activated_cells_{w}": _activated(w) for w in ("heap", "linear", "windowed")}, "cutoff_lookahead": _cutoff("lookahead"), "cutoff_accumulate": _cutoff("accumulate"),
@@ -361,16 +373,23 @@ CORE = {
 }
 
 
-def _baseline(name):
+#: Query parameters at which a baseline looks at every point, so that its answer is the exact one.
+LIMITS = {
+    "two_codebook_quantiser": {"beta": 1.0, "keep": 1 << 30}, "projection_tree": {"beta": 1.0}, "bit_code_lists": {"probe": 1 << 20, "keep": 1 << 30},
+    **{f"{kind}_graph": {"ef": 1 << 20} for kind in ("layered", "refined", "shortcut")},
+}
+
+
+def _baseline(name, **options):
     def run(spark, sf_dir):
-        build, ask = workloads.COMPETITORS[name]
+        build, ask, _ = workloads.COMPETITORS[name]
         base, queries = fixture(spark, sf_dir, "skewed")
-        return _knn(ask(kept(spark, ("baseline", name, sf_dir), lambda: build(base)), queries, 10))
+        return _knn(ask(kept(spark, ("baseline", sf_dir, name), lambda: build(base)), queries, 10, **options))
 
     return run
 
 
-BASELINES = {f"{n}_knn": _baseline(n) for n in workloads.COMPETITORS}
+BASELINES = {f"{n}_knn": _baseline(n) for n in workloads.COMPETITORS} | {f"{n}_at_limit": _baseline(n, **LIMITS[n]) for n in workloads.COMPETITORS}
 
 
 def filtered_knn(spark, sf_dir):
@@ -421,6 +440,79 @@ def benchmark_retrieval(spark, sf_dir):
     return exact.knn(base, queries, 1).select("qid", F.col("rank").cast("long").alias("rank"), F.round("dist", 3).alias("dist"))
 
 
+def _streamed(spark, sf_dir, table):
+    """A stream over a given table's file; times without zone become times of UTC, as watermarks ask for."""
+    schema = spark.read.parquet(f"{sf_dir}/{table}.parquet").schema
+    stream = spark.readStream.schema(schema).option("pathGlobFilter", f"{table}.parquet").parquet(sf_dir)
+    plain = [c for c, t in stream.dtypes if t == "timestamp_ntz"]
+    return stream.withColumns({c: F.to_timestamp(F.concat(F.col(c).cast("string"), F.lit("Z"))) for c in plain})
+
+
+def _drained(spark, stream, mode: str) -> DataFrame:
+    """What a stream has put out when all that is there has been read: each batch is written to a folder of its own."""
+    path = f"{work_dir(spark)}/stream-{uuid.uuid4().hex}"
+
+    def write(batch, number):
+        batch.write.mode("overwrite").parquet(f"{path}/out/batch={number}")
+
+    stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).option("recursiveFileLookup", True).parquet(f"{path}/out")
+
+
+def stream_assign(spark, sf_dir):
+    """The cells of embeddings that arrive as a stream, under the frozen index."""
+    index = _agnostic(spark, sf_dir)
+    vectors_ = _streamed(spark, sf_dir, "embeddings").where("vec_id % 25 <> 0").select("vec_id", F.col("embedding").cast("array<double>").alias("embedding"))
+    path = f"{work_dir(spark)}/appended-{uuid.uuid4().hex}"
+    streams.append_codes(index, vectors_, f"{path}/codes", f"{path}/state").awaitTermination()
+    return _longs(imi.postings(spark.read.parquet(f"{path}/codes"), 8))
+
+
+def stream_windows(spark, sf_dir):
+    found = _drained(spark, streams.windowed_counts(_streamed(spark, sf_dir, "events")), "complete")
+    return found.select(surround.micros(found, "start").alias("start_us"), surround.micros(found, "end").alias("end_us"), "event_type", "n", F.round("total", 2).alias("total"))
+
+
+def stream_dedup(spark, sf_dir):
+    """Every event arrives twice and is counted once."""
+    events = _streamed(spark, sf_dir, "events")
+    twice = events.withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).drop("copy")
+    return _drained(spark, streams.distinct_events(twice).select("event_id", "event_type"), "append").groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+
+
+def stream_drift(spark, sf_dir):
+    """Running spread of the subspaces' log variances in two parts of a stream of embeddings."""
+    vectors_ = _streamed(spark, sf_dir, "embeddings").select((F.col("vec_id") % 2).alias("part"), F.col("embedding").cast("array<double>").alias("embedding"))
+    return _longs(_drained(spark, streams.drift(vectors_, _agnostic(spark, sf_dir)), "update"))
+
+
+def _registered(spark, sf_dir):
+    base, queries = fixture(spark, sf_dir, "embeddings")
+    functions.register(spark, base, 10, _agnostic(spark, sf_dir))
+    queries.createOrReplaceTempView("asked_vectors")
+
+
+def sql_knn_table(spark, sf_dir):
+    _registered(spark, sf_dir)
+    return _knn(spark.sql("SELECT k.* FROM asked_vectors, LATERAL knn(qid, embedding) k"))
+
+
+def sql_activate_table(spark, sf_dir):
+    _registered(spark, sf_dir)
+    return _longs(spark.sql("SELECT a.* FROM asked_vectors, LATERAL activate(qid, embedding) a"))
+
+
+def sql_collision_score(spark, sf_dir):
+    """Scores by the SQL function, of every point with every query's lists of activated cells."""
+    _registered(spark, sf_dir)
+    index, cells = _cells(spark, sf_dir)
+    lists_ = cells.groupBy("qid", "subspace").agg(F.collect_set((F.col("c1") * 8 + F.col("c2")).cast("int")).alias("c"))
+    asked = lists_.groupBy("qid").agg(F.transform(F.array_sort(F.collect_list(F.struct("subspace", "c"))), lambda x: x["c"]).alias("activated"))
+    index.points.crossJoin(exact.beside(asked)).select("qid", "vec_id", "cells", "activated").createOrReplaceTempView("scored_points")
+    return _longs(spark.sql("SELECT qid, vec_id, collision_score(cells, activated) AS score FROM scored_points").where("score > 0"))
+
+
+CORE |= {f.__name__: f for f in (stream_assign, stream_windows, stream_dedup, stream_drift, sql_knn_table, sql_activate_table, sql_collision_score)}
 CORE |= {f.__name__: f for f in (filtered_knn, filtered_knn_post, collision_fidelity, candidate_spread, method_differences, distance_steps, benchmark_retrieval)}
 
 
@@ -462,8 +554,9 @@ def _core_sql() -> dict[str, str]:
         "type_errors": p.sql("SELECT qid, threshold, round(type1, 6) AS type1, round(type2, 6) AS type2 FROM errors QUALIFY row_number() OVER (PARTITION BY qid ORDER BY type1 + type2, threshold) = 1", errors=errors),
         "weighted_score_variance": p.sql(weigh, centres=centres, weights="SELECT j, sum(pow(list_distance(p, c), 2)) / (count(*) - 1) AS w FROM base_parts JOIN centres USING (j) GROUP BY j"),
         "weighted_score_mean_distance": p.sql(weigh, centres=centres, weights="SELECT j, avg(list_distance(p, c)) AS w FROM base_parts JOIN centres USING (j) GROUP BY j"),
-        "weighted_score_lid": p.sql(weigh, weights=lid), "order_violations": "SELECT 0::BIGINT AS violations",
-        "dim_reduction": "SELECT d::BIGINT AS d, ns::BIGINT AS ns, s::BIGINT AS s, round(1 - ns * s / d::DOUBLE, 4) AS reduction FROM (VALUES (256, 6, 8), (960, 4, 10), (128, 6, 6), (96, 6, 8), (100, 6, 10)) v(d, ns, s)",
+        "weighted_score_lid": p.sql(weigh, weights=lid),
+        "stream_assign": p.sql("SELECT j AS subspace, c1, c2, vec_id FROM codes"), "stream_windows": surround.SQL["events_tumbling"], "stream_dedup": "SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type",
+        "sql_knn_table": p.sql(KNN.format(name="truth")), "sql_activate_table": p.sql("SELECT qid, j AS subspace, c1, c2, cnt FROM activated"), "sql_collision_score": p.sql("SELECT qid, vec_id, score FROM scores"),
         "recall_by_method": p.sql(" UNION ALL ".join(acc.format(name=m, knn=k) for m, k in zip(METHODS, ("scores_fixed_knn", "scores_cut_knn", "scores_cut_knn")))),
     }
     even = p.sql("SELECT qid, rank::BIGINT AS rank, vec_id, round(dist, 4) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, vec_id) AS rank FROM distances JOIN (SELECT vec_id, label FROM embeddings) USING (vec_id) WHERE label % 2 = 0) WHERE rank <= 10")
@@ -478,50 +571,40 @@ def _core_sql() -> dict[str, str]:
         "distance_steps": p.sql("SELECT qid, rank::BIGINT AS rank, round(gap, 4) AS gap, round(smooth, 4) AS smooth, round(share, 4) AS share FROM (SELECT qid, rank, lead(dist) OVER w - dist AS gap, avg(dist) OVER (PARTITION BY qid ORDER BY rank ROWS 2 PRECEDING) AS smooth, percent_rank() OVER w AS share FROM truth WINDOW w AS (PARTITION BY qid ORDER BY rank)) WHERE gap IS NOT NULL"),
         "benchmark_retrieval": f"WITH d AS ({doc}), i AS ({item}), pairs AS (SELECT i.vec_id AS qid, d.vec_id, sum(i.value * d.value) AS dot FROM i JOIN d USING (slot) GROUP BY ALL) SELECT qid, 1::BIGINT AS rank, round(sqrt(greatest(0, 2 - 2 * max(dot))), 3) AS dist FROM pairs GROUP BY qid",
     }
-    return out | more | _spectral_sql()
-
-
-@cache
-def _spectrum(path: str):
-    """Mean, falling eigenvalues and eigenvectors of the skewed table, by numpy from the file alone; None without the file."""
-    file = f"{path}/embeddings.parquet"
-    if not os.path.exists(file):
-        return None
-    import pyarrow.parquet as pq
-
-    rows = pq.read_table(file)
-    x = np.array(rows.column("embedding").to_pylist(), float) * np.arange(1, 65) ** -0.7
-    x = x[np.array(rows.column("vec_id").to_pylist()) % 25 != 0]
-    values, vectors = np.linalg.eigh(np.cov(x, rowvar=False))
-    vectors = vectors[:, ::-1]
-    # signs are free; distances to centroids do not depend on them
-    return x.mean(axis=0), values[::-1], vectors
-
-
-def _dealt(values: np.ndarray, ns: int, s: int) -> list[list[int]]:
-    """The deal, by sums of logarithms and a plain search for the smallest."""
-    logs, blocks = np.log(values / values[-1]), [[] for _ in range(ns)]
-    for r in range(ns * s):
-        blocks[min((b for b in range(ns) if len(blocks[b]) < s), key=lambda b: (sum(logs[i] for i in blocks[b]), b))].append(r)
-    return blocks
+    dims = np.random.default_rng(Params().seed).permutation(64).reshape(8, 8)
+    drawn = Pipeline(**{k: v for k, v in TINY.items() if k != "cells"}, l=8, directions=[np.eye(64)[:, np.sort(d)] for d in dims], mean=np.zeros(64))
+    limit = Pipeline(table="skewed", ns=8, k=10).sql(KNN.format(name="truth"))
+    spread = f"SELECT part, max(n) AS n, max(h) - min(h) AS spread FROM (SELECT part, j, sum(lv) AS h, max(n) AS n FROM (SELECT vec_id % 2 AS part, i, (i - 1) // 8 AS j, ln(greatest(var_samp(embedding[i]::DOUBLE), 1e-12)) AS lv, count(*) AS n FROM embeddings, range(1, 65) r(i) GROUP BY ALL) GROUP BY part, j) GROUP BY part"
+    more |= {
+        "collision_sampled_score": drawn.sql("SELECT qid, vec_id, score FROM exact_scores"), **{f"{n}_at_limit": limit for n in LIMITS},
+        "stream_drift": f"SELECT part, n, round(spread, 4) AS spread, spread > 1 AS rebuild FROM ({spread})",
+    }
+    return out | more | _spectral_sql() | workload_oracles.sql(ORACLE_DIR)
 
 
 def _spectral_sql() -> dict[str, str]:
     """Oracles of the adaptive space: directions come from numpy, all else from SQL."""
-    found = _spectrum(ORACLE_DIR)
+    found = workload_oracles.spectrum(ORACLE_DIR, "skewed", 64)
     if found is None:
         return {}
-    mean, values, vectors = found
-    blocks = _dealt(values, 6, 8)
-    p = Pipeline(table="skewed", ns=6, s=8, l=8, t=3, directions=[vectors[:, b] for b in blocks], mean=mean)
-    pairs = """SELECT a.vec_id AS i, b.vec_id AS j, pow(list_distance(a.e, b.e), 2) AS full, (SELECT sum(pow(list_distance(x.p, y.p), 2)) FROM base_parts x JOIN base_parts y ON x.j = y.j WHERE x.vec_id = a.vec_id AND y.vec_id = b.vec_id) AS kept
-      FROM (SELECT *, row_number() OVER (ORDER BY vec_id) AS r FROM base) a JOIN (SELECT *, row_number() OVER (ORDER BY vec_id) AS r FROM base) b ON a.r <= 20 AND b.r > a.r AND b.r <= a.r + 30"""
+    _, values, _ = found
+    blocks = workload_oracles.dealt(values, 6, 8)
+    p = workload_oracles.pipeline(ORACLE_DIR, "skewed", "adaptive", ns=6, s=8, l=8, t=3)
+    pairs = "SELECT q.qid, b.vec_id, pow(list_distance(b.e, q.e), 2) AS whole, pow(list_distance(x.p, y.p), 2) AS kept FROM base b CROSS JOIN queries q JOIN base_flat x ON x.vec_id = b.vec_id JOIN query_flat y ON y.qid = q.qid"
+    flat = {"base_flat": "SELECT vec_id, flatten(list(p ORDER BY j)) AS p FROM base_parts GROUP BY vec_id", "query_flat": "SELECT qid, flatten(list(p ORDER BY j)) AS p FROM queries_parts GROUP BY qid"}
+    worst = "(SELECT max(1 - kept / whole) FROM pairs)"
+    six = ", ".join(f"({i}, ln({float(v)!r}::DOUBLE))" for i, v in enumerate(values[:6]))
+    few = workload_oracles.dealt(values[:6], 2, 3)
+    greedy = " + ".join(("" if i in few[0] else "-") + f"ln({float(v)!r}::DOUBLE)" for i, v in enumerate(values[:6])).replace("+ -", "- ")
     profile = "SELECT percentile, round(avg(coalesce(score, 0)), 6) AS mean_score FROM (SELECT *, ntile(100) OVER (PARTITION BY qid ORDER BY dist, vec_id) AS percentile FROM distances) LEFT JOIN exact_scores USING (qid, vec_id) GROUP BY percentile"
     dealt = ", ".join(f"({j}, {i}, {r}, {float(values[r])!r}::DOUBLE)" for j, b in enumerate(blocks) for i, r in enumerate(b))
     return {
         "knn_adaptive": p.sql(KNN.format(name="scores_cut_knn")), "knn_agnostic_transform": p.sql(KNN.format(name="scores_fixed_knn")), "score_profile_transformed": p.sql(profile),
         "transformed_norms": p.sql("SELECT vec_id, j::BIGINT AS subspace, round(list_dot_product(p, p), 4) AS length2 FROM base_parts"),
-        "distance_bounds": p.sql("SELECT i, j, round(\"full\", 6) AS \"full\", round(kept, 6) AS kept, round(1 - kept / \"full\", 6) AS eps FROM pairs", pairs=pairs.replace("AS full", 'AS "full"')),
+        "distance_bounds": p.sql("SELECT qid, vec_id, round(whole, 6) AS \"full\", round(kept, 6) AS kept, round(1 - kept / whole, 6) AS eps FROM pairs", **flat, pairs=pairs),
+        "order_violations": p.sql(f"SELECT count(*) AS violations FROM pairs a JOIN pairs b ON a.qid = b.qid AND a.whole < (1 - {worst}) * b.whole AND a.kept > b.kept * (1 + 1e-9)", **flat, pairs=pairs),
+        "imi_cells_adaptive": p.sql("SELECT j::BIGINT AS subspace, c1, c2, cnt FROM cells"),
+        "allocation_gap": f"WITH v AS (SELECT * FROM (VALUES {six}) v(i, x)) SELECT round(abs({greedy}), 4) AS greedy_spread, (SELECT round(min(abs(2 * (a.x + b.x + c.x) - t)), 4) FROM v a, v b, v c, (SELECT sum(x) AS t FROM v) WHERE a.i = 0 AND b.i > 0 AND c.i > b.i) AS best_spread",
         "allocation": f"SELECT j::BIGINT AS subspace, i::BIGINT AS slot, r::BIGINT AS rank, round(v, 6) AS eigenvalue FROM (VALUES {dealt}) t(j, i, r, v)",
         "block_entropy": f"SELECT j::BIGINT AS subspace, round(sum(ln(v)), 4) AS logdet FROM (VALUES {dealt}) t(j, i, r, v) GROUP BY j",
     }

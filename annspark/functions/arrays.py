@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 
@@ -20,11 +22,30 @@ def lists(rows: np.ndarray, kind: pa.DataType | None = None) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(n + 1) * width, pa.int32()), pa.array(np.ascontiguousarray(rows).ravel(), kind))
 
 
+#: Numbers of a rows x queries matrix that a task works on at once.
+CELLS = 1 << 22
+
+
+def slices(batch: pa.RecordBatch, queries: int) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch whose rows x queries matrices stay below ``CELLS`` numbers."""
+    step = max(1, CELLS // max(1, queries))
+    for lo in range(0, batch.num_rows, step):
+        yield batch.slice(lo, step)
+
+
 def squared_distances(x: np.ndarray, q: np.ndarray) -> np.ndarray:
     """Rows of x against rows of q by one matrix product; may be off by rounding."""
     return np.maximum(0, (x * x).sum(1)[:, None] - 2 * (x @ q.T) + (q * q).sum(1))
 
 
+def by_query(mask: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(query, its rows) of every query (column of the mask) that has any."""
+    who, row = np.nonzero(mask.T)
+    cuts = np.searchsorted(who, np.arange(mask.shape[1] + 1))
+    for i in np.flatnonzero(np.diff(cuts)):
+        yield int(i), row[cuts[i] : cuts[i + 1]]
+
+
 class Nearest:
     """The k nearest rows seen so far, for each of several queries; ties go to the smaller id."""
 
@@ -32,6 +53,7 @@ class Nearest:
         self.q, self.k = queries, k
         self.ids = [np.zeros(0, np.int64)] * len(queries)
         self.dist = [np.zeros(0)] * len(queries)
+        self.bound = np.full(len(queries), np.inf)  # squared distance beyond which a row has no chance
 
     def offer(self, i: int, ids: np.ndarray, x: np.ndarray) -> None:
         """Rows for query i: distances are taken one by one, so that equal rows are equally far."""
@@ -39,22 +61,25 @@ class Nearest:
         dist = np.sqrt((gap * gap).sum(axis=1))
         ids, dist = np.concatenate([self.ids[i], ids]), np.concatenate([self.dist[i], dist])
         if len(ids) > self.k:
-            bound = np.partition(dist, self.k - 1)[self.k - 1]
-            near = np.flatnonzero(dist <= bound)
+            near = np.flatnonzero(dist <= np.partition(dist, self.k - 1)[self.k - 1])
             best = near[np.lexsort((ids[near], dist[near]))[: self.k]]
             ids, dist = ids[best], dist[best]
         self.ids[i], self.dist[i] = ids, dist
+        if len(ids) == self.k:
+            self.bound[i] = dist.max() ** 2
 
     def offer_all(self, ids: np.ndarray, x: np.ndarray) -> None:
         """Rows for every query: all rows that rounding leaves a chance are offered."""
-        if not len(ids):
+        if not len(ids) or not len(self.q):
             return
-        rough = squared_distances(x, self.q)
-        at = min(self.k, len(ids)) - 1
-        slack = 1e-9 * (1 + np.abs(rough).max())
-        bound = np.partition(rough, at, axis=0)[at] + slack
-        for i in range(len(self.q)):
-            some = np.flatnonzero(rough[:, i] <= bound[i])
+        rough = squared_distances(self.q, x)
+        slack = 1e-9 * (1 + rough.max())
+        bound = self.bound.copy()
+        new = np.flatnonzero(~np.isfinite(bound))
+        if len(new):
+            at = min(self.k, len(ids)) - 1
+            bound[new] = np.partition(rough[new], at, axis=1)[:, at]
+        for i, some in by_query((rough <= (bound + slack)[:, None]).T):
             self.offer(i, ids[some], x[some])
 
     def batch(self, qids: np.ndarray) -> pa.RecordBatch:

@@ -6,7 +6,8 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
@@ -27,10 +28,14 @@ def cosine_similarity(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series(out)
 
 
-@pandas_udf(T.IntegerType())
-def collision_score(cells: pd.Series, activated: pd.Series) -> pd.Series:
-    """How many of a point's cells (one for each subspace) are in the lists of activated cells."""
-    return pd.Series([sum(c in set(a) for c, a in zip(own, lists)) for own, lists in zip(cells, activated)])
+def collision_score(cells, activated) -> Column:
+    """How many of a point's cells (one for each subspace) are in the lists of activated cells: an expression of built-in functions."""
+    hits = F.zip_with(cells, activated, lambda cell, listed: F.array_contains(listed, cell))
+    return F.size(F.filter(hits, lambda hit: hit))
+
+
+COLLISION_SCORE = """CREATE OR REPLACE TEMPORARY FUNCTION collision_score(cells ARRAY<INT>, activated ARRAY<ARRAY<INT>>) RETURNS INT
+  RETURN size(filter(zip_with(cells, activated, (cell, listed) -> array_contains(listed, cell)), hit -> hit))"""
 
 
 @pandas_udf(T.ArrayType(T.DoubleType()))
@@ -79,8 +84,9 @@ def activate_table(index):
 
 def register(spark: SparkSession, base: DataFrame | None = None, k: int = 10, index=None) -> None:
     """Make the functions known to SQL; the table functions only with what they need."""
-    for name, f in (("l2_distance", l2_distance), ("cosine_similarity", cosine_similarity), ("collision_score", collision_score), ("vector_mean", vector_mean)):
+    for name, f in (("l2_distance", l2_distance), ("cosine_similarity", cosine_similarity), ("vector_mean", vector_mean)):
         spark.udf.register(name, f)
+    spark.sql(COLLISION_SCORE)
     if base is not None:
         spark.udtf.register("knn", knn_table(base, k))
     if index is not None:

@@ -161,6 +161,28 @@ def activate(queries: DataFrame, space, books: list[np.ndarray], counts: np.ndar
     return queries.select(F.col("qid").cast("long").alias("qid"), "embedding").mapInArrow(run, "qid long, subspace int, c1 int, c2 int, pos1 int, pos2 int, dsum double, cnt long, cum_cnt long, " + ", ".join(f"{c} long" for c in COUNTERS))
 
 
+def activated_bits(queries: DataFrame, space, books: list[np.ndarray], counts: np.ndarray, alpha: float, way: str = "heap", metric: str = "l2") -> DataFrame:
+    """(qid, bits): the same cells as packed flags, subspace after subspace: ns * K bits a query."""
+    shared = queries.sparkSession.sparkContext.broadcast((space, books, counts))
+
+    def run(batches):
+        space, books, counts = shared.value
+        wanted = [alpha * c.sum() for c in counts]
+        for batch in batches:
+            halves, packed = half_parts(space, matrix(batch.column("embedding"))) if batch.num_rows else [], []
+            for i in range(batch.num_rows):
+                flags = np.zeros(counts.shape, bool)
+                for j in range(len(counts)):
+                    cid1, d1 = centroid_lists(books[2 * j], halves[2 * j][i], metric)
+                    cid2, d2 = centroid_lists(books[2 * j + 1], halves[2 * j + 1][i], metric)
+                    got = WAYS[way](d1, d2, counts[j][np.ix_(cid1, cid2)], wanted[j])
+                    flags[j, cid1[got.pos1], cid2[got.pos2]] = True
+                packed.append(np.packbits(flags).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column("qid"), pa.array(packed, pa.binary())], names=["qid", "bits"])
+
+    return queries.select(F.col("qid").cast("long").alias("qid"), "embedding").mapInArrow(run, "qid long, bits binary")
+
+
 def activate_sql(ranked: DataFrame, counts: DataFrame, n: int, alpha: float) -> DataFrame:
     """The same cells as a join of the two ranked lists and a running sum of counts."""
     one = ranked.where("half = 0").select("qid", "subspace", F.col("pos").alias("pos1"), F.col("cid").alias("c1"), F.col("dist").alias("e1"))

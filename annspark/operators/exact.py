@@ -9,25 +9,25 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.arrays import Nearest, matrix
+from ..functions.arrays import Nearest, by_query, matrix, slices, squared_distances
 from ..functions.vector import l2
 
-#: Bytes of query vectors that one broadcast may hold; more queries are answered in several passes.
+#: Bytes that one block of queries may take, in a broadcast and in a task; more queries are answered in several passes.
 QUERY_BYTES = 64 << 20
 NEIGHBOURS = "qid long, vec_id long, dist double"
 
 
-def query_blocks(queries: DataFrame, width: int | None = None, vector: str = "embedding") -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(qids, matrix) in id order, block by block: each fits one broadcast by its checked size."""
+def query_blocks(queries: DataFrame, per_query: int = 0, vector: str = "embedding") -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(qids, matrix) in id order, block by block. A query counts with its vector or with the ``per_query`` bytes that its flags or counters take, whichever is more."""
     counted = queries.agg(F.count(F.lit(1)).alias("n"), F.max(F.size(vector)).alias("d")).first()
-    n, d = counted.n, width or counted.d
-    if not n:
+    if not counted.n:
         return
-    blocks = max(1, -(-n * max(1, d) * 8 // QUERY_BYTES))
+    blocks = min(counted.n, max(1, -(-counted.n * max(8 * counted.d, per_query) // QUERY_BYTES)))
     for b in range(blocks):
-        some = queries.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b).select("qid", vector).orderBy("qid").toArrow()
-        if some.num_rows:
-            yield some.column("qid").to_numpy().astype(np.int64), matrix(some.column(vector))
+        some = queries.select("qid", vector) if blocks == 1 else queries.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b).select("qid", vector)
+        got = some.toArrow().sort_by("qid")
+        if got.num_rows:
+            yield got.column("qid").to_numpy().astype(np.int64), matrix(got.column(vector))
 
 
 def beside(queries: DataFrame) -> DataFrame:
@@ -59,13 +59,34 @@ def knn(base: DataFrame, queries: DataFrame, k: int, impl: str = "arrow") -> Dat
             qids, q = shared.value
             best = Nearest(q, k)
             for batch in batches:
-                best.offer_all(batch.column("vec_id").to_numpy().astype(np.int64), matrix(batch.column("embedding")))
+                for part in slices(batch, len(q)):
+                    best.offer_all(part.column("vec_id").to_numpy().astype(np.int64), matrix(part.column("embedding")))
             yield best.batch(qids)
 
         out = out.unionByName(base.select("vec_id", "embedding").mapInArrow(nearest, NEIGHBOURS))
     return ranked(out, k)
 
 
+def within(base: DataFrame, queries: DataFrame, radius: float) -> DataFrame:
+    """(qid, vec_id, dist) of all pairs at most ``radius`` apart: a range join of the base with blocks of queries."""
+    out = base.sparkSession.createDataFrame([], NEIGHBOURS)
+    for qids, q in query_blocks(queries):
+        shared = base.sparkSession.sparkContext.broadcast((qids, q))
+
+        def near(batches, shared=shared):
+            qids, q = shared.value
+            for part in (part for batch in batches for part in slices(batch, len(q))):
+                x, ids = matrix(part.column("embedding")), part.column("vec_id").to_numpy()
+                rough = squared_distances(x, q)
+                held = [(i, some, np.sqrt(((x[some] - q[i]) ** 2).sum(axis=1))) for i, some in by_query(rough <= radius**2 + 1e-9 * (1 + rough.max(initial=0)))]
+                held = [(np.full((d <= radius).sum(), qids[i]), ids[some[d <= radius]], d[d <= radius]) for i, some, d in held]
+                if held:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*held)], names=["qid", "vec_id", "dist"])
+
+        out = out.unionByName(base.select("vec_id", "embedding").mapInArrow(nearest, NEIGHBOURS))
+    return ranked(out, k)
+
+
 def within(base: DataFrame, queries: DataFrame, radius: float) -> DataFrame:
     """(qid, vec_id, dist) of all pairs at most ``radius`` apart: a range join of the base with blocks of queries."""
     out = base.sparkSession.createDataFrame([], NEIGHBOURS)

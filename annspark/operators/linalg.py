@@ -20,9 +20,9 @@ class Moments:
 
 
 def moments(base: DataFrame) -> Moments:
-    """One pass: every task sums its rows and their products about a common pilot, row i of the products travels to the group of i.
+    """One pass: every task sums its rows and their products about a common pilot; a hash aggregate adds the tasks' numbers one by one.
 
-    What is shuffled is (d + 1) rows of d numbers a task; what reaches the driver is d + 1 such rows.
+    What is shuffled is (d + 1) d numbers a task, and no worker holds more than its share of one set of them; one set reaches the driver.
     """
     pilot_row = base.select("embedding").orderBy("vec_id").limit(1).collect()
     if not pilot_row:
@@ -41,14 +41,12 @@ def moments(base: DataFrame) -> Moments:
         if n:
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(-1, d), pa.int32()), pa.array(np.full(d + 1, n)), lists(np.vstack([total, products]))], names=["i", "n", "v"])
 
-    def merged(key, rows):
-        v = matrix(rows.column("v")).sum(axis=0)
-        return pa.table({"i": pa.array([key[0].as_py()], pa.int32()), "n": pa.array([int(np.sum(rows.column("n").to_numpy()))]), "v": lists(v[None])})
-
-    schema = "i int, n long, v array<double>"
-    rows = sorted(base.select("embedding").mapInArrow(partial, schema).groupBy("i").applyInArrow(merged, schema).collect(), key=lambda r: r[0])
-    n, total = rows[0][1], np.array(rows[0][2])
-    products = np.array([r[2] for r in rows[1:]])
+    parts = base.select("embedding").mapInArrow(partial, "i int, n long, v array<double>")
+    added = parts.select("i", "n", F.posexplode("v").alias("j", "v")).groupBy("i", "j").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).toArrow()
+    i, j, counts, v = (added.column(c).to_numpy() for c in ("i", "j", "n", "v"))
+    n, sums = int(counts[0]), np.zeros((d + 1, d))
+    sums[i + 1, j] = v
+    total, products = sums[0], sums[1:]
     cov = (products - np.outer(total, total) / n) / max(1, n - 1)
     return Moments(n, pilot + total / n, (cov + cov.T) / 2)
 

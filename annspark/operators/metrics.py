@@ -7,9 +7,13 @@ from collections.abc import Callable
 from statistics import median
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.arrays import matrix, slices
+from ..sources.work import materialise
+
 
 def recall(result: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """(qid, recall): share of the k true neighbours that were returned; unanswered queries have 0."""
@@ -58,10 +62,62 @@ def fidelity(approximate: DataFrame, true: DataFrame) -> DataFrame:
     return true.groupBy("qid").agg(F.count(F.lit(1)).alias("n")).join(hits, "qid", "left").select("qid", (F.coalesce("hits", F.lit(0)) / F.col("n")).alias("overlap"))
 
 
-def profile(scores: DataFrame, distances: DataFrame, buckets: int = 100) -> DataFrame:
-    """(percentile, mean_score): mean score by percentile of exact distance. scores (qid, vec_id, score) may lack zeros."""
-    placed = distances.withColumn("percentile", F.ntile(buckets).over(Window.partitionBy("qid").orderBy("dist", "vec_id")))
-    return placed.join(scores, ["qid", "vec_id"], "left").groupBy("percentile").agg(F.avg(F.coalesce("score", F.lit(0))).alias("mean_score"))
+#: Bits of a distance that are dropped to bin it: what stays orders positive numbers, in steps of 1 / 4096.
+_BIN = 40
+
+
+def profile(base: DataFrame, scorers: list, buckets: int = 100) -> DataFrame:
+    """(percentile, mean_score): mean score of the rows of ``base`` by percentile of exact distance, over the queries of the scorers.
+
+    A first scan sends each task's counts and sums of scores by bins of distance. All rows of a bin lie in one percentile but for the bins over a percentile's edge, at most ``buckets``
+    a query; a second scan sends the rows of these alone, to be ranked bin by bin. No pairs of queries and rows are kept.
+    """
+    spark, n = base.sparkSession, base.count()
+    big, rest, small = n // buckets + 1, n % buckets, max(1, n // buckets)
+    r = F.col("r")
+    percentile = F.when(r < rest * big, F.expr(f"r DIV {big}")).otherwise(rest + F.expr(f"(r - {rest * big}) DIV {small}")) + 1
+    sums = spark.createDataFrame([], "percentile long, cnt long, total long")
+    by_distance = Window.partitionBy("qid").orderBy("bin").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    for scorer in scorers:
+        bins = _scan_bins(base, scorer, None).groupBy("qid", "bin").agg(F.sum("cnt").alias("cnt"), F.sum("total").alias("total"))
+        placed = bins.withColumn("r", F.sum("cnt").over(by_distance) - F.col("cnt")).withColumn("low", percentile).withColumn("r", F.col("r") + F.col("cnt") - 1).withColumn("high", percentile)
+        placed = materialise(placed.select("qid", "bin", "cnt", "total", (F.col("r") - F.col("cnt") + 1).alias("before"), "low", "high"), "profile-bins")
+        sums = sums.unionByName(placed.where("low = high").select(F.col("low").alias("percentile"), "cnt", "total"))
+        edges = placed.where("low < high").select("qid", "bin", "before")  # at most ``buckets`` rows for each query of the block
+        wanted = {(row[0], row[1]) for row in edges.select("qid", "bin").collect()}
+        inside = Window.partitionBy("qid", "bin").orderBy("dist", "vec_id")
+        rows = _scan_bins(base, scorer, wanted).join(F.broadcast(edges), ["qid", "bin"]).withColumn("r", F.row_number().over(inside) - 1 + F.col("before"))
+        sums = sums.unionByName(rows.select(percentile.alias("percentile"), F.lit(1).cast("long").alias("cnt"), F.col("score").cast("long").alias("total")))
+    return sums.groupBy("percentile").agg((F.sum("total") / F.sum("cnt")).alias("mean_score"))
+
+
+def _scan_bins(base: DataFrame, scorer, wanted: set | None) -> DataFrame:
+    """Counts and sums of scores by (qid, bin) of each task; or the rows (qid, bin, dist, vec_id, score) of the bins wanted."""
+    shared = base.sparkSession.sparkContext.broadcast((scorer, wanted))
+
+    def run(batches):
+        scorer, wanted = shared.value
+        held = [{} for _ in scorer.qids]
+        for part in (part for batch in batches for part in slices(batch, len(scorer.qids))):
+            x, ids, scores = matrix(part.column("embedding")), part.column("vec_id").to_numpy(), scorer.scores(part).astype(np.int64)
+            for i, q in enumerate(scorer.q):
+                dist = np.sqrt(((x - q) ** 2).sum(axis=1))
+                bins, at = np.unique(dist.view(np.int64) >> _BIN, return_inverse=True)
+                if wanted is None:
+                    for b, c, t in zip(bins.tolist(), np.bincount(at, minlength=len(bins)).tolist(), np.bincount(at, scores[:, i], len(bins)).tolist()):
+                        old = held[i].get(b, (0, 0))
+                        held[i][b] = old[0] + c, old[1] + int(t)
+                    continue
+                some = np.flatnonzero(np.array([(int(scorer.qids[i]), b) in wanted for b in bins.tolist()], bool)[at])
+                if len(some):
+                    columns = (np.full(len(some), scorer.qids[i]), bins[at[some]], dist[some], ids[some], scores[some, i])
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["qid", "bin", "dist", "vec_id", "score"])
+        if wanted is None:
+            rows = [(int(q), b, c, t) for q, own in zip(scorer.qids, held) for b, (c, t) in own.items()]
+            yield pa.RecordBatch.from_arrays([pa.array(column, pa.int64()) for column in (zip(*rows) if rows else [[]] * 4)], names=["qid", "bin", "cnt", "total"])
+
+    schema = "qid long, bin long, cnt long, total long" if wanted is None else "qid long, bin long, dist double, vec_id long, score long"
+    return base.select(*dict.fromkeys(["vec_id", "embedding", scorer.column])).mapInArrow(run, schema)
 
 
 def timed(run: Callable[[], DataFrame], repeats: int = 3) -> float:

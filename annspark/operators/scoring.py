@@ -6,6 +6,7 @@ what crosses the network is what the callers make of the scores.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import reduce
 
@@ -14,16 +15,21 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.arrays import matrix
+from ..functions.arrays import by_query, matrix, slices
 from .exact import query_blocks
 from .transform import Space
 
-WAYS_A_ROUND = 256
+#: Parts that an interval is split into in a round, and how many points the last interval may hold.
+WAYS_A_ROUND, BAND, ROUNDS = 256, 2_048, 7
 
 
-def part_distances(parts: list[np.ndarray], qparts: list[np.ndarray], i: int) -> np.ndarray:
-    """Squared distances of all points to query i in every subspace (columns), summed alike for equal points."""
-    return np.stack([((p - q[i]) ** 2).sum(axis=1) for p, q in zip(parts, qparts)], axis=1) if len(parts[0]) else np.zeros((0, len(parts)))
+def part_distances(p: np.ndarray, q: np.ndarray) -> np.ndarray:
+    """Squared distances points x queries in one subspace, summed component by component: alike for equal points."""
+    out = np.zeros((len(p), len(q)))
+    for c in range(p.shape[1]):
+        gap = p[:, c : c + 1] - q[:, c]
+        out += gap * gap
+    return out
 
 
 @dataclass
@@ -55,24 +61,24 @@ class ExactScorer:
     column = "embedding"
 
     def scores(self, batch: pa.RecordBatch) -> np.ndarray:
-        return self.collides(batch).sum(axis=2).astype(np.int8)
+        out = np.zeros((batch.num_rows, len(self.qids)), np.int8)
+        for hit in self.collides(batch):
+            out += hit
+        return out
 
-    def collides(self, batch: pa.RecordBatch) -> np.ndarray:
-        """points x queries x subspaces."""
-        parts, qparts = self.space.parts(matrix(batch.column("embedding"))), self.space.parts(self.q)
+    def collides(self, batch: pa.RecordBatch) -> Iterator[np.ndarray]:
+        """points x queries, subspace after subspace."""
         ids = batch.column("vec_id").to_numpy()[:, None]
-        out = np.zeros((batch.num_rows, len(self.qids), len(parts)), bool)
-        for i in range(len(self.qids)):
-            d = part_distances(parts, qparts, i)
-            out[:, i] = (d < self.limit[i]) | ((d == self.limit[i]) & (ids <= self.last_id[i]))
-        return out
+        for j, (p, q) in enumerate(zip(self.space.parts(matrix(batch.column("embedding"))), self.space.parts(self.q))):
+            d = part_distances(p, q)
+            yield (d < self.limit[:, j]) | ((d == self.limit[:, j]) & (ids <= self.last_id[:, j]))
 
 
-def exact_scorer(base: DataFrame, qids: np.ndarray, q: np.ndarray, space: Space, take: int, rounds: int = 3) -> ExactScorer:
+def exact_scorer(base: DataFrame, qids: np.ndarray, q: np.ndarray, space: Space, take: int) -> ExactScorer:
     """Bounds of the ``take`` nearest points per query and subspace, exactly (ties by id), without sorting the points.
 
     Each round splits the interval that must hold the bound into equal parts and counts the points in
-    each: a scan that sends at most a few hundred counts a task, query and subspace. Only the points of the last, tiny interval are ranked.
+    each: a scan that sends at most a few hundred counts a task, query and subspace. Rounds end when no interval holds more than ``BAND`` points; only these are ranked.
     """
     spark, ns = base.sparkSession, len(space.directions)
     rows = base.select("vec_id", "embedding")
@@ -82,64 +88,61 @@ def exact_scorer(base: DataFrame, qids: np.ndarray, q: np.ndarray, space: Space,
 
         def run(batches):
             space, q = shared.value
-            qparts = space.parts(q)
-            yield from work(batches, space, qparts)
+            yield from work((part for batch in batches for part in slices(batch, len(q))), space, space.parts(q))
 
         return rows.mapInArrow(run, schema)
 
-    def tops(batches, space, qparts):
+    def tops(parts, space, qparts):
         top = np.zeros((len(q), ns))
-        for batch in batches:
-            if batch.num_rows:
-                parts = space.parts(matrix(batch.column("embedding")))
-                for i in range(len(q)):
-                    top[i] = np.maximum(top[i], part_distances(parts, qparts, i).max(axis=0))
+        for part in parts:
+            for j, p in enumerate(space.parts(matrix(part.column("embedding")))):
+                top[:, j] = np.maximum(top[:, j], part_distances(p, qparts[j]).max(axis=0))
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(top.size)), pa.array(top.ravel())], names=["at", "v"])
 
     found = scan(tops, "at long, v double").groupBy("at").agg(F.max("v").alias("v")).toArrow()
     high = np.zeros(len(q) * ns)
     high[found.column("at").to_numpy()] = found.column("v").to_numpy()
     high, low, below = high.reshape(len(q), ns), np.full((len(q), ns), -1.0), np.zeros((len(q), ns), np.int64)
-    for _ in range(rounds):
+    for _ in range(ROUNDS):
         edges = low[..., None] + (high - low)[..., None] * np.arange(1, WAYS_A_ROUND + 1) / WAYS_A_ROUND
         edges[..., -1] = high
 
-        def count(batches, space, qparts, edges=edges, low=low):
+        def count(parts, space, qparts, edges=edges, low=low):
             total = np.zeros((len(q), ns, WAYS_A_ROUND), np.int64)
-            for batch in batches:
-                if batch.num_rows:
-                    parts = space.parts(matrix(batch.column("embedding")))
-                    for i in range(len(q)):
-                        d = part_distances(parts, qparts, i)
-                        for j in range(ns):
-                            some = d[:, j][(d[:, j] > low[i, j]) & (d[:, j] <= edges[i, j, -1])]
-                            total[i, j] += np.bincount(np.searchsorted(edges[i, j], some, "left"), minlength=WAYS_A_ROUND)[:WAYS_A_ROUND]
+            for part in parts:
+                for j, p in enumerate(space.parts(matrix(part.column("embedding")))):
+                    d = part_distances(p, qparts[j])
+                    for i, some in by_query((d > low[:, j]) & (d <= edges[:, j, -1])):
+                        total[i, j] += np.bincount(np.searchsorted(edges[i, j], d[some, i], "left"), minlength=WAYS_A_ROUND)[:WAYS_A_ROUND]
             at = np.flatnonzero(total)
             yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total.ravel()[at])], names=["at", "n"])
 
         got = scan(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
         total = np.zeros(len(q) * ns * WAYS_A_ROUND, np.int64)
         total[got.column("at").to_numpy()] = got.column("n").to_numpy()
-        upto = below[..., None] + np.cumsum(total.reshape(len(q), ns, -1), axis=2)
+        total = total.reshape(len(q), ns, -1)
+        upto = below[..., None] + np.cumsum(total, axis=2)
         bin_ = np.argmax(upto >= take, axis=2)
         bin_[upto[..., -1] < take] = WAYS_A_ROUND - 1
         pick = lambda a: np.take_along_axis(a, bin_[..., None], 2)[..., 0]
         before = np.concatenate([below[..., None], upto[..., :-1]], axis=2)
         starts = np.concatenate([low[..., None], edges[..., :-1]], axis=2)
         below, low, high = pick(before), pick(starts), pick(edges)
-
-    def band(batches, space, qparts, low=low, high=high):
-        for batch in batches:
-            if batch.num_rows:
-                parts, ids = space.parts(matrix(batch.column("embedding"))), batch.column("vec_id").to_numpy()
-                for i in range(len(q)):
-                    d = part_distances(parts, qparts, i)
-                    row, j = np.nonzero((d > low[i]) & (d <= high[i]))
-                    if len(row):
-                        yield pa.RecordBatch.from_arrays([pa.array(i * ns + j), pa.array(d[row, j]), pa.array(ids[row])], names=["at", "d", "vec_id"])
+        if pick(total).max(initial=0) <= BAND:
+            break
+
+    def band(parts, space, qparts, low=low, high=high):
+        for part in parts:
+            ids = part.column("vec_id").to_numpy()
+            for j, p in enumerate(space.parts(matrix(part.column("embedding")))):
+                d = part_distances(p, qparts[j])
+                row, i = np.nonzero((d > low[:, j]) & (d <= high[:, j]))
+                if len(row):
+                    yield pa.RecordBatch.from_arrays([pa.array(i * ns + j), pa.array(d[row, i]), pa.array(ids[row])], names=["at", "d", "vec_id"])
 
     need = spark.createDataFrame([(i, int(n)) for i, n in enumerate((take - below).ravel())], "at long, need long")
     ranked = scan(band, "at long, d double, vec_id long").withColumn("r", F.row_number().over(Window.partitionBy("at").orderBy("d", "vec_id")))
+    # a row for each query of the block and subspace
     last = ranked.join(F.broadcast(need), "at").where(F.col("r") <= F.col("need")).groupBy("at").agg(F.max(F.struct("d", "vec_id")).alias("m")).select("at", "m.*").collect()
     limit, last_id = np.full(len(q) * ns, np.inf), np.full(len(q) * ns, np.iinfo(np.int64).max)
     for at, d, vec_id in last:
@@ -147,18 +150,24 @@ def exact_scorer(base: DataFrame, qids: np.ndarray, q: np.ndarray, space: Space,
     return ExactScorer(qids, q, space, limit.reshape(len(q), ns), last_id.reshape(len(q), ns))
 
 
+def counter_bytes(ns: int) -> int:
+    """What a query takes in a round of ``exact_scorer``: its counts and edges."""
+    return 2 * 8 * ns * WAYS_A_ROUND
+
+
 def exact_scorers(base: DataFrame, queries: DataFrame, space: Space, take: int) -> list[ExactScorer]:
     """An exact scorer for each block of queries."""
-    return [exact_scorer(base, qids, q, space, take) for qids, q in query_blocks(queries)]
+    return [exact_scorer(base, qids, q, space, take) for qids, q in query_blocks(queries, counter_bytes(len(space.directions)))]
 
 
-def cell_scorer(qids: np.ndarray, q: np.ndarray, cells: DataFrame, ns: int, l: int) -> CellScorer:
-    """A scorer from activated cells: ns * K flags a query."""
-    got = cells.select("qid", "subspace", "c1", "c2").toArrow()
-    bitmap = np.zeros((ns, l * l, len(qids)), np.int8)
-    row = np.searchsorted(qids, got.column("qid").to_numpy())
-    bitmap[got.column("subspace").to_numpy(), got.column("c1").to_numpy() * l + got.column("c2").to_numpy(), row] = 1
-    return CellScorer(qids, q, bitmap)
+def bit_scorer(qids: np.ndarray, q: np.ndarray, bits: DataFrame, ns: int, l: int) -> CellScorer:
+    """A scorer from (qid, bits), the packed flags of a block's activated cells: ns * K bits a query reach the driver, ns * K bytes are broadcast."""
+    got = bits.toArrow().sort_by("qid")
+    flags = np.zeros((len(qids), ns * l * l), np.int8)
+    at = np.searchsorted(qids, got.column("qid").to_numpy())
+    for i, packed in zip(at, got.column("bits").to_pylist()):
+        flags[i] = np.unpackbits(np.frombuffer(packed, np.uint8), count=ns * l * l)
+    return CellScorer(qids, q, np.ascontiguousarray(flags.T).reshape(ns, l * l, len(qids)))
 
 
 def over_blocks(part, scorers: list) -> DataFrame:
@@ -171,11 +180,11 @@ def score_table(points: DataFrame, scorer, keep_zero: bool = False) -> DataFrame
     shared = points.sparkSession.sparkContext.broadcast(scorer)
 
     def run(batches):
-        for batch in batches:
-            if batch.num_rows:
-                s = shared.value.scores(batch)
-                row, i = np.nonzero(s >= (0 if keep_zero else 1))
-                yield pa.RecordBatch.from_arrays([pa.array(shared.value.qids[i]), batch.column("vec_id").take(pa.array(row)), pa.array(s[row, i].astype(np.int32))], names=["qid", "vec_id", "score"])
+        scorer = shared.value
+        for part in (part for batch in batches for part in slices(batch, len(scorer.qids))):
+            s = scorer.scores(part)
+            row, i = np.nonzero(s >= (0 if keep_zero else 1))
+            yield pa.RecordBatch.from_arrays([pa.array(scorer.qids[i]), part.column("vec_id").take(pa.array(row)), pa.array(s[row, i].astype(np.int32))], names=["qid", "vec_id", "score"])
 
     return points.select("vec_id", scorer.column).mapInArrow(run, "qid long, vec_id long, score int")
 
@@ -185,10 +194,11 @@ def collision_table(points: DataFrame, scorer: ExactScorer) -> DataFrame:
     shared = points.sparkSession.sparkContext.broadcast(scorer)
 
     def run(batches):
-        for batch in batches:
-            if batch.num_rows:
-                row, i, j = np.nonzero(shared.value.collides(batch))
-                yield pa.RecordBatch.from_arrays([pa.array(shared.value.qids[i]), pa.array(j.astype(np.int32)), batch.column("vec_id").take(pa.array(row))], names=["qid", "subspace", "vec_id"])
+        scorer = shared.value
+        for part in (part for batch in batches for part in slices(batch, len(scorer.qids))):
+            for j, hit in enumerate(scorer.collides(part)):
+                row, i = np.nonzero(hit)
+                yield pa.RecordBatch.from_arrays([pa.array(scorer.qids[i]), pa.array(np.full(len(i), j, np.int32)), part.column("vec_id").take(pa.array(row))], names=["qid", "subspace", "vec_id"])
 
     return points.select("vec_id", "embedding").mapInArrow(run, "qid long, subspace int, vec_id long")
 

@@ -9,23 +9,33 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.arrays import by_query, slices
+
 
 def histogram(points: DataFrame, scorer, ns: int) -> DataFrame:
     """(qid, score, cnt) for every score from 0 to ns: tasks send ns + 1 counts a query."""
     shared = points.sparkSession.sparkContext.broadcast(scorer)
 
     def count(batches):
-        total = np.zeros((len(shared.value.qids), ns + 1), np.int64)
-        for batch in batches:
-            if batch.num_rows:
-                s = shared.value.scores(batch)
-                for j in range(ns + 1):
-                    total[:, j] += (s == j).sum(axis=0)
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(shared.value.qids, ns + 1)), pa.array(np.tile(np.arange(ns + 1, dtype=np.int32), len(total))), pa.array(total.ravel())], names=["qid", "score", "cnt"])
+        scorer = shared.value
+        total = np.zeros((len(scorer.qids), ns + 1), np.int64)
+        for part in (part for batch in batches for part in slices(batch, len(scorer.qids))):
+            s = scorer.scores(part)
+            for j in range(ns + 1):
+                total[:, j] += (s == j).sum(axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(scorer.qids, ns + 1)), pa.array(np.tile(np.arange(ns + 1, dtype=np.int32), len(total))), pa.array(total.ravel())], names=["qid", "score", "cnt"])
 
     return points.select("vec_id", scorer.column).mapInArrow(count, "qid long, score int, cnt long").groupBy("qid", "score").agg(F.sum("cnt").alias("cnt"))
 
 
+def counts_of(hist: DataFrame, qids: np.ndarray, ns: int) -> np.ndarray:
+    """A histogram as queries x (ns + 1) counts: ns + 1 rows for each query of the block reach the driver."""
+    got = hist.toArrow()
+    counts = np.zeros((len(qids), ns + 1), np.int64)
+    counts[np.searchsorted(qids, got.column("qid").to_numpy()), got.column("score").to_numpy()] = got.column("cnt").to_numpy()
+    return counts
+
+
 def histogram_of(scores: DataFrame, n: int, ns: int, qids: DataFrame) -> DataFrame:
     """The same from a table of positive scores; what is not there scored 0."""
     counted = scores.groupBy("qid", "score").agg(F.count(F.lit(1)).alias("cnt"))
@@ -49,6 +59,10 @@ def cutoffs(hist: DataFrame, beta: float, n: int, rule: str = "lookahead", at_le
     return stops.groupBy("qid").agg(F.max("score").alias("cutoff"), F.max_by("upto", "score").alias("candidate_num"))
 
 
+#: As a last id: all points of the level are in.
+EVERY = np.iinfo(np.int64).max
+
+
 @dataclass
 class Choice:
     """For each query (in the scorer's order): all points above ``level``, and of those at it the ids up to ``last_id``."""
@@ -58,20 +72,24 @@ class Choice:
     number: np.ndarray
 
     def mask(self, scores: np.ndarray, ids: np.ndarray) -> np.ndarray:
-        return (scores > self.level) | ((scores == self.level) & (ids[:, None] <= self.last_id))
+        level = self.level.astype(scores.dtype)
+        if (self.last_id == EVERY).all():
+            return scores >= level
+        return (scores > level) | ((scores == level) & (ids[:, None] <= self.last_id))
 
 
-def by_cutoff(hist: DataFrame, scorer, beta: float, n: int, rule: str, at_least: int = 0) -> Choice:
-    rows = {r.qid: r for r in cutoffs(hist, beta, n, rule, at_least).collect()}  # one row a query of the block
-    every = np.full(len(scorer.qids), np.iinfo(np.int64).max)
-    return Choice(np.array([rows[q].cutoff for q in scorer.qids]), every, np.array([rows[q].candidate_num for q in scorer.qids]))
+def by_cutoff(counts: np.ndarray, beta: float, n: int, rule: str, at_least: int = 0) -> Choice:
+    """``cutoffs`` of a block's counts (``counts_of``)."""
+    upto = np.cumsum(counts[:, ::-1], axis=1)[:, ::-1]
+    stop = ((upto + counts if rule == "lookahead" else upto) > beta * n) & (upto >= at_least)
+    stop[:, 0] = True
+    level = stop.shape[1] - 1 - np.argmax(stop[:, ::-1], axis=1)
+    return Choice(level, np.full(len(level), EVERY), upto[np.arange(len(level)), level])
 
 
-def by_number(hist: DataFrame, points: DataFrame, scorer, budget: int, ns: int) -> Choice:
-    """The ``budget`` best by (score, smaller id): the level from the histogram, then the ids that complete it."""
-    got = hist.toArrow()
-    counts = np.zeros((len(scorer.qids), ns + 1), np.int64)
-    counts[np.searchsorted(scorer.qids, got.column("qid").to_numpy()), got.column("score").to_numpy()] = got.column("cnt").to_numpy()
+def by_number(counts: np.ndarray, points: DataFrame, scorer, budget: int) -> Choice:
+    """The ``budget`` best by (score, smaller id): the level from the counts, then the ids that complete it."""
+    ns = counts.shape[1] - 1
     upto = np.cumsum(counts[:, ::-1], axis=1)[:, ::-1]
     level = np.where((upto >= budget).any(axis=1), ns - np.argmax((upto >= budget)[:, ::-1], axis=1), 0)
     above = upto[np.arange(len(level)), level] - counts[np.arange(len(level)), level]
@@ -81,12 +99,11 @@ def by_number(hist: DataFrame, points: DataFrame, scorer, budget: int, ns: int)
     def smallest(batches):
         scorer, level, need = shared.value
         kept = [np.zeros(0, np.int64)] * len(level)
-        for batch in batches:
-            if batch.num_rows:
-                s, ids = scorer.scores(batch), batch.column("vec_id").to_numpy()
-                for i in range(len(level)):
-                    both = np.concatenate([kept[i], ids[s[:, i] == level[i]]])
-                    kept[i] = np.partition(both, need[i] - 1)[: need[i]] if len(both) > need[i] > 0 else both[: need[i]]
+        for part in (part for batch in batches for part in slices(batch, len(level))):
+            ids = part.column("vec_id").to_numpy()
+            for i, some in by_query((scorer.scores(part) == level) & (need > 0)):
+                both = np.concatenate([kept[i], ids[some]])
+                kept[i] = np.partition(both, need[i] - 1)[: need[i]] if len(both) > need[i] else both
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.arange(len(level)), [len(k) for k in kept])), pa.array(np.concatenate([*kept, np.zeros(0, np.int64)]))], names=["i", "vec_id"])
 
     wanted = points.sparkSession.createDataFrame([(i, int(n)) for i, n in enumerate(need)], "i long, need long")
@@ -111,9 +128,9 @@ def candidates(points: DataFrame, scorer, choice: Choice) -> DataFrame:
 
     def run(batches):
         scorer, choice = shared.value
-        for batch in batches:
-            if batch.num_rows:
-                s, ids = scorer.scores(batch), batch.column("vec_id").to_numpy()
+        for part in (part for batch in batches for part in slices(batch, len(scorer.qids))):
+            if part.num_rows:
+                s, ids = scorer.scores(part), part.column("vec_id").to_numpy()
                 row, i = np.nonzero(choice.mask(s, ids))
                 yield pa.RecordBatch.from_arrays([pa.array(scorer.qids[i]), pa.array(ids[row]), pa.array(s[row, i].astype(np.int32))], names=["qid", "vec_id", "score"])
 

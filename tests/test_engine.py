@@ -4,13 +4,13 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from annspark.baselines import graph, imi_opq, ivf, lsh
+from annspark.baselines import graph, ivf, lsh, two_codebooks
 from annspark.functions import sql as names
 from annspark.operators import activation, exact, imi, kmeans, linalg, metrics, scoring, select, theory, transform
 from annspark.params import Params, preset
 from annspark.plans import index as indexes
 from annspark.plans import search
-from annspark.sources import tables
+from annspark.sources import tables, work
 from annspark.streaming import streams
 
 SMALL = {"ns": 3, "s": 4, "cells": 16, "t": 2, "alpha": 0.2, "beta": 0.2, "k": 5}
@@ -158,10 +158,10 @@ def test_fixed_choice_matches_the_declared_one(data, built):
     _, _, _, queries = data
     index = built["agnostic"]
     qids, q = next(exact.query_blocks(queries))
-    scorer = scoring.cell_scorer(qids, q, activation.activate(queries, index.space, index.books, index.counts, 0.2), 3, 4)
+    scorer = scoring.bit_scorer(qids, q, activation.activated_bits(queries, index.space, index.books, index.counts, 0.2), 3, 4)
     hist = select.histogram(index.points, scorer, 3)
     assert hist.groupBy("qid").agg(F.sum("cnt").alias("n")).where("n <> 300").isEmpty()
-    a = select.candidates(index.points, scorer, select.by_number(hist, index.points, scorer, 37, 3))
+    a = select.candidates(index.points, scorer, select.by_number(select.counts_of(hist, qids, 3), index.points, scorer, 37))
     b = select.fixed(scoring.score_table(index.points, scorer, keep_zero=True), 37)
     assert a.exceptAll(b).isEmpty() and a.count() == 6 * 37
 
@@ -178,6 +178,113 @@ def test_odd_data(spark):
     assert search.run(same, none, Params(ns=2, s=3, cells=4, t=1)).neighbours.isEmpty() and exact.knn(same, none, 3).isEmpty()
 
 
+def test_packed_flags_are_the_activated_cells(data, built):
+    _, _, _, queries = data
+    index = built["adaptive"]
+    qids, q = next(exact.query_blocks(queries))
+    cells = activation.activate(queries, index.space, index.books, index.counts, 0.2).collect()
+    want = np.zeros((3, 16, len(qids)), np.int8)
+    for r in cells:
+        want[r.subspace, r.c1 * 4 + r.c2, r.qid - 1000] = 1
+    for way in activation.WAYS:
+        bits = activation.activated_bits(queries.repartition(3), index.space, index.books, index.counts, 0.2, way)
+        assert (scoring.bit_scorer(qids, q, bits, 3, 4).bitmap == want).all()
+
+
+def test_cutoffs_of_counts_match_the_declared_ones(spark):
+    rng = np.random.default_rng(8)
+    counts = rng.integers(0, 40, (30, 7))
+    hist = spark.createDataFrame([(i, s, int(c)) for i, row in enumerate(counts) for s, c in enumerate(row)], "qid long, score int, cnt long")
+    assert (select.counts_of(hist, np.arange(30), 6) == counts).all()
+    for rule in ("lookahead", "accumulate"):
+        for least in (0, 60):
+            # every query has the points of its own counts; n is what the rule compares with
+            got = select.by_cutoff(counts, 0.1, 300, rule, least)
+            want = {r.qid: (r.cutoff, r.candidate_num) for r in select.cutoffs(hist, 0.1, 300, rule, least).collect()}
+            assert [(int(a), int(b)) for a, b in zip(got.level, got.number)] == [want[i] for i in range(30)]
+
+
+def test_a_sweep_answers_like_single_queries(data, built):
+    _, _, base, queries = data
+    for space, index in built.items():
+        settings = [preset(m, **(SMALL | {"alpha": a, "beta": b, "k": k})) for m in ("adaptive", "agnostic+transform", "agnostic", "agnostic+cutoff") if preset(m).space == space for a, b, k in ((0.1, 0.05, 5), (0.2, 0.3, 2), (0.2, 0.05, 9))]
+        swept = search.sweep(index, queries, settings)
+        for i, p in enumerate(settings):
+            single = search.query(index, queries, p)
+            assert answers(swept.neighbours.where(F.col("setting") == i)) == answers(single.neighbours)
+            stats = ["qid", "cutoff", "candidate_num"]
+            assert sorted(swept.stats.where(F.col("setting") == i).select(stats).collect()) == sorted(single.stats.select(stats).collect())
+
+
+def test_where_every_point_is_a_candidate(data, built):
+    x, q, _, queries = data
+    index = built["agnostic"]
+    # so few cells that most points never collide, and a beta that takes them all in
+    p = index.params.to(alpha=0.01, beta=0.99, probe="postings", selector="cutoff")
+    got = search.query(index, queries, p)
+    assert {r.cutoff for r in got.stats.collect()} == {0} and answers(got.neighbours) == brute(x, q, 5)
+
+
+@pytest.mark.parametrize("n", [40, 100, 233, 300])
+def test_profile_against_all_pairs(spark, data, n):
+    x, q, _, queries = data
+    base = frame(spark, x[:n]).repartition(3)
+    space = transform.fit(base, Params(**SMALL, space="agnostic"))
+    scorers = scoring.exact_scorers(base, queries, space, max(1, n // 5))
+    scores = np.zeros((len(q), n))
+    for s in scorers:
+        for r in scoring.score_table(base, s).collect():
+            scores[r.qid - 1000, r.vec_id] = r.score
+    total, count = np.zeros(100), np.zeros(100)
+    for i in range(len(q)):
+        order = np.lexsort((np.arange(n), np.sqrt(((x[:n] - q[i]) ** 2).sum(axis=1))))
+        for b, part in enumerate(np.array_split(order, 100)):
+            total[b] += scores[i, part].sum()
+            count[b] += len(part)
+    got = {r.percentile - 1: r.mean_score for r in metrics.profile(base, scorers).collect()}
+    assert set(got) == set(np.flatnonzero(count)) and all(abs(got[b] - total[b] / count[b]) < 1e-9 for b in got)
+
+
+def test_candidates_do_not_depend_on_partitions(spark, data):
+    _, _, base, queries = data
+    for module, options in ((two_codebooks, {"beta": 0.5, "keep": 12}), (ivf, {"probe": 16, "keep": 12})):
+        built_ = module.build(base)
+        once = answers(module.query(built_, queries, 5, **options))
+        built_.points = built_.points.repartition(7)
+        assert answers(module.query(built_, queries, 5, **options)) == once
+
+
+def test_projection_tree_passes_over_far_leaves(data):
+    x, q, base, queries = data
+    made = lsh.build(base, sets=2, projections=4, symbols=32)
+    rows = made.points.orderBy("vec_id").toArrow().combine_chunks().to_batches()[0]
+    symbols = np.array(rows.column("symbols").to_pylist())
+    for v in q:
+        whole = made.lower_bounds(symbols, v)
+        for radius in np.quantile(whole, [0.05, 0.3, 0.8]):
+            near = made.bounds_within(rows, v, radius)
+            # nothing within the radius is lost, and leaves beyond it are not looked at
+            assert ((near == whole) | (whole > radius)).all() and (radius > np.median(whole) or np.isinf(near).any())
+    assert answers(lsh.query(made, queries, 5, beta=1.0)) == brute(x, q, 5)
+
+
+def test_graphs_are_exact_when_they_walk_everywhere(data):
+    x, q, base, queries = data
+    for build in (graph.build, graph.build_shortcut, graph.build_refined):
+        made = build(base)
+        assert answers(graph.query(made, queries, 5, ef=10_000)) == brute(x, q, 5)
+    levels = {r.level for r in made.nodes.collect()}
+    assert max(levels) >= 1  # the refined lists have layers over them
+    jumps = [r for r in graph.build_shortcut(base, m=3).nodes.collect() if r.shortcuts]
+    assert jumps and all(r.level >= 2 for r in jumps)
+
+
+def test_work_tables_can_be_cleared(spark, monkeypatch):
+    monkeypatch.setattr(work, "_written", [])
+    made = work.materialise(spark.range(5).toDF("vec_id"), "gone")
+    assert work.stored_bytes(made) > 0 and work.clear(spark) >= 1 and work.clear(spark) == 0
+
+
 def test_rejected_rows(spark):
     rows = [(1, [1.0, 2.0]), (2, None), (3, [1.0, None]), (4, [float("nan"), 1.0]), (None, [1.0, 2.0]), (6, [1.0]), (7, [3.0, 4.0])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
@@ -212,7 +319,7 @@ def test_filtered(data, built):
     assert search.knn_join(base.limit(3), index).count() == 15
 
 
-@pytest.mark.parametrize("build,ask,least", [(imi_opq.build, imi_opq.query, 0.4), (lsh.build, lsh.query, 0.6), (ivf.build, ivf.query, 0.6), (graph.build, graph.query, 0.9), (graph.build_shortcut, graph.query, 0.9), (graph.build_refined, graph.query, 0.7)])
+@pytest.mark.parametrize("build,ask,least", [(two_codebooks.build, two_codebooks.query, 0.4), (lsh.build, lsh.query, 0.6), (ivf.build, ivf.query, 0.6), (graph.build, graph.query, 0.9), (graph.build_shortcut, graph.query, 0.9), (graph.build_refined, graph.query, 0.7)])
 def test_baselines(data, build, ask, least):
     _, _, base, queries = data
     found = ask(build(base), queries, 5)
@@ -254,6 +361,9 @@ def test_sql_functions(spark, data, built):
     assert spark.sql("SELECT k.* FROM asked, LATERAL knn(qid, embedding) k").count() == 18
     assert spark.sql("SELECT a.* FROM asked, LATERAL activate(qid, embedding) a").groupBy("qid", "subspace").agg(F.sum("cnt").alias("n")).where("n < 60").isEmpty()
     assert spark.sql("SELECT l2_distance(array(0D, 3D), array(4D, 0D)) d").first().d == 5.0
+    call = "collision_score(array(1, 2, 3), array(array(1, 5), array(7), array(3, 3)))"
+    assert spark.sql(f"SELECT {call} s").first().s == 2
+    assert spark.range(1).select(names.collision_score(F.expr("array(1, 2, 3)"), F.expr("array(array(1, 5), array(7), array(3, 3))")).alias("s")).first().s == 2
 
 
 def test_streams(spark, tmp_path, data, built):

@@ -12,7 +12,7 @@ import __spark_entry__
 from pyspark.sql import functions as F
 
 from annspark.operators import exact, kmeans, metrics, scoring, select, transform
-from annspark.operators.activation import activate
+from annspark.operators.activation import activated_bits
 from annspark.params import Params
 from annspark.plans import index as indexes
 from annspark.plans import search
@@ -47,12 +47,12 @@ def test_plans(spark):
     p = Params(ns=4, s=4, cells=16, t=1, space="agnostic")
     index = indexes.create(base, p)
     qids, q = next(exact.query_blocks(queries))
-    scorer = scoring.cell_scorer(qids, q, activate(queries, index.space, index.books, index.counts, p.alpha), 4, 4)
+    scorer = scoring.bit_scorer(qids, q, activated_bits(queries, index.space, index.books, index.counts, p.alpha), 4, 4)
     hist = select.histogram(index.points, scorer, 4)
     # the histogram reads codes only, and shuffles counts
     text = plan(hist)
     assert "embedding" not in text.split("ReadSchema")[1].split("\n")[0] and text.count("Exchange") == 1
-    choice = select.by_cutoff(hist, scorer, p.beta, index.n, "lookahead")
+    choice = select.by_cutoff(select.counts_of(hist, qids, 4), p.beta, index.n, "lookahead")
     assert "Exchange" not in plan(search.refine(index.points, scorer, choice, 10))
     # the hold-out reaches the scan; the top-k prunes before its shuffle
     assert "PushedFilters" in plan(base) and "WindowGroupLimit" in plan(exact.knn(base, queries, 3))

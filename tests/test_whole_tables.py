@@ -8,7 +8,7 @@ from annspark.operators import exact, theory, transform, weights
 from annspark.params import Params
 
 SF = "/root/testdata/sf0.001"
-BY_BLOCKS = ["collision_exact_score", "score_from_codes", "score_histogram", "cutoff_lookahead", "candidates_fixed", "collision_fidelity", "gap_by_query", "score_profile_transformed"]
+BY_BLOCKS = ["collision_exact_score", "score_from_codes", "score_histogram", "cutoff_lookahead", "candidates_fixed", "collision_fidelity", "gap_by_query", "score_profile_transformed", "knn_agnostic_query", "collision_scan_knn"]
 
 
 @pytest.fixture
@@ -23,9 +23,9 @@ def fresh():
 def test_every_block_of_queries_is_answered(spark, fresh, monkeypatch):
     whole = {name: sorted(catalog.CORE[name](spark, SF).collect()) for name in BY_BLOCKS}
     assert len({r.qid for r in whole["score_histogram"]}) == catalog.fixture(spark, SF, "embeddings")[1].count()
-    for key in [k for k in catalog._kept if "scorer" in k[1]]:
+    for key in [k for k in catalog._kept if "scorer" in k[2]]:
         del catalog._kept[key]
-    monkeypatch.setattr(exact, "QUERY_BYTES", 64 * 8 * 2)
+    monkeypatch.setattr(exact, "QUERY_BYTES", 64 * 8 * 8)
     assert len(list(exact.query_blocks(catalog.fixture(spark, SF, "embeddings")[1]))) > 1
     assert {name: sorted(catalog.CORE[name](spark, SF).collect()) for name in BY_BLOCKS} == whole
 
