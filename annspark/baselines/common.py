@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.arrays import matrix
 from ..operators.exact import NEIGHBOURS, query_blocks, ranked
-from ..operators.kmeans import assign
+from ..operators.kmeans import assign, first_by_hash
 
 #: Rows that codebooks, rotations and breakpoints are learned from.
 SAMPLE = 20_000
@@ -19,8 +19,7 @@ SAMPLE = 20_000
 
 def sample_of(base: DataFrame, size: int = SAMPLE, seed: int = 23) -> np.ndarray:
     """At most ``size`` vectors, those of the smallest seeded hashes of their ids."""
-    rows = base.orderBy(F.xxhash64(F.lit(seed), "vec_id"), "vec_id").limit(size).select("embedding").toArrow()
-    return matrix(rows.column("embedding"))
+    return matrix(first_by_hash(base, size, seed).toArrow().column("embedding"))
 
 
 def lloyd(x: np.ndarray, l: int, t: int, rng: np.random.Generator) -> np.ndarray:
