@@ -181,12 +181,16 @@ def keep_one(docs: DataFrame, list_limit: int = 8) -> DataFrame:
     """
     prints = cut(fingerprints(docs, hashed=True), "fingerprints")
     best = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "text_hash"))
-    firsts = _grouped(prints, list_limit).groupBy("label.node").agg(best.alias("m")).select(F.col("m.doc_id").alias("_id"), F.col("m.text_hash").alias("_hash"))
-    own, text = F.col("doc_id").cast("long"), F.xxhash64("text")
-    one = Window.partitionBy(own, text).orderBy(*[c for c in docs.columns if c != "doc_id"])
-    i, h, copy = (free(docs, c) for c in ("_id", "_hash", "_copy"))
-    kept = docs.join(firsts.toDF(i, h), own.eqNullSafe(F.col(i)) & (text == F.col(h)), "left_semi")
-    return kept.withColumn(copy, F.row_number().over(one)).where(F.col(copy) == 1).select(docs.columns)
+    # the semi join and the choice among equal rows share one shuffle by these two
+    h, k, copy = (free(docs, c) for c in ("_hash", "_key", "_copy"))
+    firsts = _grouped(prints, list_limit).groupBy("label.node").agg(best.alias("m")).select(F.col("m.text_hash").alias(h), _row_key(F.col("m.doc_id"), F.col("m.text_hash")).alias(k))
+    keyed = docs.withColumn(h, F.xxhash64("text")).withColumn(k, _row_key(F.col("doc_id").cast("long"), F.col(h)))
+    one = Window.partitionBy(h, k).orderBy(*[c for c in docs.columns if c != "doc_id"])
+    return keyed.join(firsts, [h, k], "left_semi").withColumn(copy, F.row_number().over(one)).where(F.col(copy) == 1).select(docs.columns)
+
+
+def _row_key(doc_id, text_hash):
+    return F.xxhash64(doc_id.isNull(), doc_id, text_hash)
 
 
 def query(spark, sf_dir):
