@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from annspark import catalog
-from annspark.operators import exact, theory, transform, weights
+from annspark.operators import exact, kmeans, theory, transform, weights
 from annspark.params import Params
 
 SF = "/root/testdata/sf0.001"
@@ -55,3 +55,14 @@ def test_order_is_checked_over_all_rows(spark, fresh):
     expected = sorted((a[0], a[1], b[1]) for a in rows for b in rows if a[0] == b[0] and a[2] < (1 - 0.1) * b[2] and a[3] > b[3] * (1 + 1e-9))
     got = theory.query_order_violations(spark.createDataFrame(rows, "qid long, vec_id long, full double, kept double, eps double"))
     assert expected and sorted(tuple(r) for r in got.collect()) == expected
+
+
+@pytest.mark.parametrize("ids", ["id * 3 - 400000", "id * id", "id"])
+def test_first_centroids_stand_at_exact_ranks_of_large_tables(spark, ids):
+    """More rows than approximate percentiles tell apart."""
+    n, l = 300_000, 8
+    base = spark.range(0, n, 1, 3).selectExpr(f"{ids} AS vec_id").selectExpr("vec_id", "array(CAST(vec_id AS double), 0D) AS embedding")
+    at = lambda i: eval(ids, {"id": i})
+    found = kmeans.initial(base, transform.of_dimensions(2, [np.arange(2)]), l, "spread", 17)[0]
+    assert found[:, 0].tolist() == [at(c * (n - 1) // (l - 1)) for c in range(l)]
+    assert kmeans.ids_at(base.where("false").unionByName(base.limit(1)), [0, 0]) == [base.first().vec_id] * 2
