@@ -1,11 +1,15 @@
 """Registered queries look at all queries and all rows, whatever the limits of one pass."""
 
+import hashlib
+
+import duckdb
 import numpy as np
 import pytest
 
 from annspark import catalog
 from annspark.operators import exact, kmeans, theory, transform, weights
 from annspark.params import Params
+from annspark.plans import surround
 
 SF = "/root/testdata/sf0.001"
 BY_BLOCKS = ["collision_exact_score", "score_from_codes", "score_histogram", "cutoff_lookahead", "candidates_fixed", "collision_fidelity", "gap_by_query", "score_profile_transformed", "knn_agnostic_query", "collision_scan_knn"]
@@ -66,3 +70,20 @@ def test_first_centroids_stand_at_exact_ranks_of_large_tables(spark, ids):
     found = kmeans.initial(base, transform.of_dimensions(2, [np.arange(2)]), l, "spread", 17)[0]
     assert found[:, 0].tolist() == [at(c * (n - 1) // (l - 1)) for c in range(l)]
     assert kmeans.ids_at(base.where("false").unionByName(base.limit(1)), [0, 0]) == [base.first().vec_id] * 2
+
+
+def test_document_vectors_agree_with_sql_at_halves(spark, tmp_path):
+    """A vector of length 800 has components whose fifth decimal is a 5; some letters have more than one small form."""
+    buckets = {}
+    for i in range(5_000):
+        h = int(hashlib.md5(f"w{i}".encode()).hexdigest()[:7], 16)
+        if h // 64 % 2 == 0:
+            buckets.setdefault(h % 64, f"w{i}")
+    words = [buckets[b] for b in range(6)]
+    long = " ".join(w for w, n in zip(words, (57, 797, 39, 4, 2, 1)) for _ in range(n))
+    spark.createDataFrame([(1, long), (2, "ΟΔΟΣ İ ΣΑΣ Éa"), (3, None), (4, "a b a")], "doc_id long, text string").coalesce(1).write.parquet(str(tmp_path / "documents.parquet"))
+    got = surround.QUERIES["doc_vectors"](spark, str(tmp_path)).select("vec_id", "slot", "value").collect()
+    with duckdb.connect() as db:
+        db.execute(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{tmp_path}/documents.parquet/*.parquet')")
+        expected = db.sql(f"SELECT vec_id, slot, value FROM ({surround.SQL['doc_vectors']})").fetchall()
+    assert sorted(tuple(r) for r in got) == sorted(expected) and {r[0] for r in expected} == {1, 2, 4}
