@@ -87,3 +87,9 @@ def test_document_vectors_agree_with_sql_at_halves(spark, tmp_path):
         db.execute(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{tmp_path}/documents.parquet/*.parquet')")
         expected = db.sql(f"SELECT vec_id, slot, value FROM ({surround.SQL['doc_vectors']})").fetchall()
     assert sorted(tuple(r) for r in got) == sorted(expected) and {r[0] for r in expected} == {1, 2, 4}
+
+
+def test_streams_read_tables_of_several_files(spark, fresh, tmp_path):
+    spark.read.parquet(f"{SF}/embeddings.parquet").repartition(3).write.parquet(str(tmp_path / "embeddings.parquet"))
+    for name in ("stream_assign", "stream_drift"):
+        assert sorted(catalog.CORE[name](spark, str(tmp_path)).collect()) == sorted(catalog.CORE[name](spark, SF).collect())
