@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 
 from annspark import catalog
+from annspark.functions import sql as functions
 from annspark.operators import exact, kmeans, theory, transform, weights
 from annspark.params import Params
 from annspark.plans import surround
@@ -93,3 +94,13 @@ def test_streams_read_tables_of_several_files(spark, fresh, tmp_path):
     spark.read.parquet(f"{SF}/embeddings.parquet").repartition(3).write.parquet(str(tmp_path / "embeddings.parquet"))
     for name in ("stream_assign", "stream_drift"):
         assert sorted(catalog.CORE[name](spark, str(tmp_path)).collect()) == sorted(catalog.CORE[name](spark, SF).collect())
+
+
+def test_table_function_carries_large_bases(spark):
+    """More than 100,000 rows, with equal ones among the nearest."""
+    base = spark.range(100_020).selectExpr("id AS vec_id", "array(CAST(id DIV 3 AS double), 1D) AS embedding")
+    found = list(functions.knn_table(base, 5).func().eval(7, [20_000.0, 1.0]))
+    assert [f[:3] for f in found] == [(7, r, v) for r, v in enumerate((60_000, 60_001, 60_002, 59_997, 59_998), 1)] and [f[3] for f in found] == [0, 0, 0, 1, 1]
+    assert list(functions.knn_table(base.limit(0), 5).func().eval(7, [1.0, 1.0])) == []
+    with pytest.raises(ValueError, match="too large"):
+        functions.knn_table(spark.range(1 << 21).selectExpr("id AS vec_id", "array_repeat(0D, 64) AS embedding"), 5)
