@@ -11,6 +11,7 @@ from annspark.functions import sql as functions
 from annspark.operators import exact, kmeans, theory, transform, weights
 from annspark.params import Params
 from annspark.plans import surround
+from annspark.sources import work
 
 SF = "/root/testdata/sf0.001"
 BY_BLOCKS = ["collision_exact_score", "score_from_codes", "score_histogram", "cutoff_lookahead", "candidates_fixed", "collision_fidelity", "gap_by_query", "score_profile_transformed", "knn_agnostic_query", "collision_scan_knn"]
@@ -104,3 +105,22 @@ def test_table_function_carries_large_bases(spark):
     assert list(functions.knn_table(base.limit(0), 5).func().eval(7, [1.0, 1.0])) == []
     with pytest.raises(ValueError, match="too large"):
         functions.knn_table(spark.range(1 << 21).selectExpr("id AS vec_id", "array_repeat(0D, 64) AS embedding"), 5)
+
+
+def test_bounds_and_violations_keep_no_pairs(spark, fresh, monkeypatch):
+    base, queries = catalog.fixture(spark, SF, "skewed")
+    space = catalog._adaptive_space(spark, SF)
+    written = len(work._written)
+    bounds = theory.query_bounds(base, queries, space).collect()
+    expected = []
+    for qid in {b.qid for b in bounds}:
+        ids, full, kept = (np.array(c) for c in zip(*[(b.vec_id, b.full, b.kept) for b in bounds if b.qid == qid]))
+        j, z = np.nonzero((full[:, None] < (1 - 0.03) * full) & (kept[:, None] > kept * (1 + 1e-9)))
+        expected += [(qid, int(a), int(b)) for a, b in zip(ids[j], ids[z])]
+    expected.sort()
+    for limit in (exact.QUERY_BYTES, 16_000):
+        monkeypatch.setattr(exact, "QUERY_BYTES", limit)
+        assert expected and sorted(tuple(r) for r in theory.order_violations_of(base, queries, space, 0.03).collect()) == expected
+    assert catalog.order_violations(spark, SF).first().violations == 0 and catalog.distance_bounds(spark, SF).count() == len(bounds) == 480 * 20
+    assert len(work._written) == written
+    assert "Exchange" not in catalog.distance_bounds(spark, SF)._jdf.queryExecution().executedPlan().toString()
