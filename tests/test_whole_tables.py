@@ -8,7 +8,7 @@ import pytest
 
 from annspark import catalog
 from annspark.functions import sql as functions
-from annspark.operators import exact, kmeans, theory, transform, weights
+from annspark.operators import exact, kmeans, metrics, scoring, theory, transform, weights
 from annspark.params import Params
 from annspark.plans import surround
 from annspark.sources import work
@@ -124,3 +124,27 @@ def test_bounds_and_violations_keep_no_pairs(spark, fresh, monkeypatch):
     assert catalog.order_violations(spark, SF).first().violations == 0 and catalog.distance_bounds(spark, SF).count() == len(bounds) == 480 * 20
     assert len(work._written) == written
     assert "Exchange" not in catalog.distance_bounds(spark, SF)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_bounds_and_profiles_with_ties_and_wide_values(spark):
+    """Rows that tie at a bound, rounding that could decide, values beyond single precision, and no pair of query and row written between."""
+    rng = np.random.default_rng(11)
+    plain = rng.integers(0, 3, (400, 6)).astype(float)
+    for x in (plain, plain * 1e-3 + 1e4, plain * 1e25, np.vstack([rng.standard_normal((200, 6)), np.zeros((200, 6))])):
+        rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(5).cache()
+        asked = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x[::9])], "qid long, embedding array<double>")
+        space = transform.fit(rows, Params(space="agnostic", ns=2, s=3))
+        one, two = (scoring.exact_scorers(rows, asked, space, take) for take in (40, 130))
+        score = np.zeros((len(x[::9]), len(x)))
+        for p in space.parts(x):
+            for i, q in enumerate(p[::9]):
+                score[i, np.lexsort((np.arange(len(x)), scoring.pair_distances(p, np.tile(q, (len(p), 1)))))[:40]] += 1
+        got = {(r.qid, r.vec_id): r.score for r in scoring.score_table(rows, one[0], keep_zero=True).collect()}
+        assert all(got[i, k] == score[i, k] for i in range(len(score)) for k in range(len(x)))
+        total = np.zeros(100)
+        for i, q in enumerate(x[::9]):
+            order = np.lexsort((np.arange(len(x)), np.sqrt(((x - q) ** 2).sum(axis=1))))
+            total += score[i, order].reshape(100, -1).mean(axis=1) / len(score)
+        several = metrics.profiles(rows, [one, two])
+        assert np.allclose([r.mean_score for r in several[0].orderBy("percentile").collect()], total)
+        assert several[1].collect() == metrics.profile(rows, two).collect()
