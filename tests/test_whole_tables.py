@@ -148,3 +148,29 @@ def test_bounds_and_profiles_with_ties_and_wide_values(spark):
         several = metrics.profiles(rows, [one, two])
         assert np.allclose([r.mean_score for r in several[0].orderBy("percentile").collect()], total)
         assert several[1].collect() == metrics.profile(rows, two).collect()
+
+
+def test_theory_from_counts_is_the_theory_of_all_pairs(spark):
+    rng = np.random.default_rng(12)
+    x = rng.standard_normal((300, 8))
+    x[40] = x[41] = x[0]
+    base = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(3).cache()
+    queries = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x[:30])], "qid long, embedding array<double>").cache()
+    truth = exact.knn(base, queries, 5).cache()
+    for kind in ("agnostic", "adaptive"):
+        space = transform.fit(base, Params(space=kind, ns=2, s=3))
+        scorers = scoring.exact_scorers(base, queries, space, 60)
+        scores = scoring.over_blocks(lambda s: scoring.score_table(base, s), scorers).cache()
+        got = theory.discrimination(base, queries, truth, scorers, 300, 2)
+        gaps = theory.gap(scores, truth, 300, 2)
+        plain = {"gap": gaps.select("qid", "gap"), "bound": theory.error_bound(gaps, 2), **{c: theory.separation(scores, truth, 300, 2).select("qid", c) for c in ("type1", "type2")}}
+        for name, frame in plain.items():
+            assert np.allclose(got[name], [r[1] for r in frame.orderBy("qid").collect()], atol=1e-12), name
+        bounds = theory.query_bounds(base, queries, space).toPandas()
+        worst, grown = theory.losses(base, queries, space)
+        assert abs(worst - bounds.eps.max()) < 1e-12 and grown == bool((bounds.kept > bounds.full * theory.GROWN).any())
+    # a projection that stretches
+    space.directions[0] = space.directions[0] * 1.5
+    worst, grown = theory.losses(base, queries, space)
+    expected = theory.query_order_violations(theory.query_bounds(base, queries, space)).count()
+    assert grown and expected and theory.order_violations_of(base, queries, space).count() == expected
