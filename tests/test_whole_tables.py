@@ -174,3 +174,22 @@ def test_theory_from_counts_is_the_theory_of_all_pairs(spark):
     worst, grown = theory.losses(base, queries, space)
     expected = theory.query_order_violations(theory.query_bounds(base, queries, space)).count()
     assert grown and expected and theory.order_violations_of(base, queries, space).count() == expected
+
+
+def test_weights_in_blocks_and_in_a_scan(spark, monkeypatch):
+    rng = np.random.default_rng(13)
+    x = rng.standard_normal((200, 6))
+    base = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(3).cache()
+    queries = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x[:12])], "qid long, embedding array<double>").cache()
+    space = transform.fit(base, Params(space="agnostic", ns=3, s=2))
+    once = weights.lid(base, space)
+    monkeypatch.setattr(weights, "ROW_BYTES", 1000)
+    assert np.allclose(weights.lid(base, space), once, rtol=1e-12)
+    (scorer,) = scoring.exact_scorers(base, queries, space, 40)
+    plain = {(r.qid, r.vec_id): r.score for r in scoring.weighted(scoring.collision_table(base, scorer), once).collect()}
+    got = {(r.qid, r.vec_id): r.score for r in scoring.weighted_table(base, scorer, once).collect()}
+    assert set(got) == set(plain) and all(abs(got[k] - plain[k]) < 1e-12 for k in got)
+    levels = scoring.LevelScorer(scorer, once)
+    ranked = {(r.qid, r.vec_id): r.score for r in scoring.score_table(base, levels).collect()}
+    assert set(ranked) == set(plain)
+    assert len({(ranked[k], round(plain[k], 9)) for k in plain}) == len(set(ranked.values())) and all(ranked[a] <= ranked[b] for a in plain for b in [max(plain, key=plain.get)])
