@@ -193,3 +193,13 @@ def test_weights_in_blocks_and_in_a_scan(spark, monkeypatch):
     ranked = {(r.qid, r.vec_id): r.score for r in scoring.score_table(base, levels).collect()}
     assert set(ranked) == set(plain)
     assert len({(ranked[k], round(plain[k], 9)) for k in plain}) == len(set(ranked.values())) and all(ranked[a] <= ranked[b] for a in plain for b in [max(plain, key=plain.get)])
+
+
+def test_declared_scores_shuffle_no_pairs(spark, fresh):
+    made = catalog.collisions_declared(spark, SF)
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "Window" not in plan and "Exchange hashpartitioning" not in plan
+    base, queries = catalog.fixture(spark, SF, "embeddings")
+    space = transform.fit(base, Params(**(catalog.TINY | {"space": "agnostic"})))
+    plain = scoring.score(scoring.exact_collisions_sql(transform.apply(base, space), transform.apply(queries, space, "qid"), Params(**catalog.TINY).collisions(base.count())))
+    assert sorted(tuple(r) for r in made.collect()) == sorted(tuple(r) for r in plain.collect())
