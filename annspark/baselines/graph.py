@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.arrays import matrix, squared_distances
+from ..functions.arrays import CELLS, Nearest, matrix, squared_distances
 from ..functions.vector import l2sq
 from ..operators.exact import NEIGHBOURS, query_blocks, ranked
 from ..sources.work import materialise
@@ -32,6 +32,7 @@ class Graph:
     kind: str
     n: int
     degree: int
+    shards: int
 
     def bytes(self) -> int:
         return 8 * self.n * self.degree
@@ -55,21 +56,62 @@ def _walk(x: np.ndarray, links: dict[int, list[int]] | list[list[int]], q: np.nd
         if not new:
             continue
         seen.update(new)
-        for dist, v in zip(((x[new] - q) ** 2).sum(axis=1).tolist(), new):
-            if len(best) < ef or dist < -best[0][0]:
+        gap = x[new]
+        gap -= q
+        gap *= gap
+        for dist, v in zip(np.add.reduce(gap, axis=1).tolist(), new):
+            if len(best) < ef:
                 heapq.heappush(todo, (dist, v))
                 heapq.heappush(best, (-dist, v))
-                if len(best) > ef:
-                    heapq.heappop(best)
+            elif dist < -best[0][0]:
+                heapq.heappush(todo, (dist, v))
+                heapq.heapreplace(best, (-dist, v))
     return sorted((-d, e) for d, e in best)
 
 
+def _met(links: dict[int, list[int]], at: int) -> np.ndarray:
+    """Which points can be reached from one."""
+    seen, todo = np.zeros(len(links), bool), [at]
+    seen[at] = True
+    while todo:
+        near = np.unique([v for u in todo for v in links[u]]).astype(int)
+        todo = near[~seen[near]].tolist()
+        seen[todo] = True
+    return seen
+
+
+class Reach:
+    """What a walk meets that keeps every point: all that its entries reach. Points that reach each other share a mask."""
+
+    def __init__(self, links: dict[int, list[int]]):
+        self.links, self.back = links, {i: [] for i in links}
+        for i, near in links.items():
+            for v in near:
+                self.back[v].append(i)
+        self.own, self.masks = np.full(len(links), -1), []
+
+    def of(self, at: int) -> int:
+        """The number of the entry's mask."""
+        if self.own[at] < 0:
+            to = _met(self.links, at)
+            self.own[to & _met(self.back, at)] = len(self.masks)
+            self.masks.append(to)
+        return int(self.own[at])
+
+
 def _pruned(x: np.ndarray, at: int, near: list[tuple[float, int]], m: int) -> list[int]:
     """The relative-neighbour rule: a candidate stays if it is nearer to the point than to any that stayed."""
     kept: list[int] = []
-    for d, v in near:
-        if v != at and len(kept) < m and (not kept or d < ((x[kept] - x[v]) ** 2).sum(axis=1).min()):
+    own = x[[v for _, v in near]]
+    least = np.full(len(near), np.inf)  # of each candidate to those that stayed
+    for i, (d, v) in enumerate(near):
+        if v != at and d < least[i]:
             kept.append(v)
+            if len(kept) >= m:
+                break
+            gap = own[i + 1 :] - own[i]
+            gap *= gap
+            np.minimum(least[i + 1 :], np.add.reduce(gap, axis=1), out=least[i + 1 :])
     for _, v in near:
         if len(kept) >= m:
             break
@@ -104,9 +146,15 @@ def layered(x: np.ndarray, m: int, ef: int, rng: np.random.Generator) -> tuple[l
     return levels, links
 
 
-def _sharded(base: DataFrame, shard: int) -> DataFrame:
+def _sharded(base: DataFrame, shard: int) -> tuple[DataFrame, int]:
+    """The points with their shard, and the number of shards."""
     shards = max(1, -(-base.count() // shard))
-    return base.select(F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int").alias("shard"), F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
+    return base.select(F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int").alias("shard"), F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")), shards
+
+
+def _by_shard(rows: DataFrame, shards: int):
+    """Grouped so that each shard has a task of its own."""
+    return rows.repartitionById(shards, "shard").groupBy("shard")
 
 
 def _rows(rows: pa.Table, ids: np.ndarray, levels: list[int], links: list[dict[int, list[int]]], jumps: dict[int, list[int]]) -> pa.Table:
@@ -124,8 +172,9 @@ def build(base: DataFrame, m: int = 12, ef_build: int = 60, shard: int = 5_000,
         jumps = {i: [v for _, v in _walk(x, links[1], x[i], [i], m)] for i in upper}
         return _rows(rows, ids, levels, links, jumps)
 
-    nodes = materialise(_sharded(base, shard).groupBy("shard").applyInArrow(one, ROWS), "graph")
-    return Graph(nodes, kind, nodes.count(), 2 * m)
+    points, shards = _sharded(base, shard)
+    nodes = materialise(_by_shard(points, shards).applyInArrow(one, ROWS), "graph")
+    return Graph(nodes, kind, nodes.count(), 2 * m, shards)
 
 
 def build_shortcut(base: DataFrame, m: int = 16, ef_build: int = 40, shard: int = 5_000) -> Graph:
@@ -134,7 +183,8 @@ def build_shortcut(base: DataFrame, m: int = 16, ef_build: int = 40, shard: int
 
 def build_refined(base: DataFrame, s: int = 12, r: int = 4, rounds: int = 4, shard: int = 5_000, seed: int = 23) -> Graph:
     """Neighbour lists of length s from random ones, improved over rounds of joins; r neighbours are offered on each side."""
-    points = materialise(_sharded(base, shard), "refined-points")
+    points, shards = _sharded(base, shard)
+    points = materialise(points, "refined-points")
     x = points.select("shard", F.col("vec_id").alias("v"), F.col("embedding").alias("xv"))
     sizes = points.groupBy("shard").agg(F.count(F.lit(1)).alias("n"))
     numbered = points.select("shard", "vec_id", "embedding", (F.row_number().over(Window.partitionBy("shard").orderBy(F.xxhash64(F.lit(seed), "vec_id"))) - 1).alias("r"))
@@ -156,8 +206,8 @@ def build_refined(base: DataFrame, s: int = 12, r: int = 4, rounds: int = 4, sha
     both = lists_.select("shard", "u", "v").unionByName(lists_.select("shard", F.col("v").alias("u"), F.col("u").alias("v"))).distinct()
     held = both.groupBy("shard", "u").agg(F.sort_array(F.collect_list("v")).alias("near"))
     flat = points.join(held.withColumnRenamed("u", "vec_id"), ["shard", "vec_id"], "left").select("shard", "vec_id", F.coalesce("near", F.array().cast("array<long>")).alias("near"), "embedding")
-    nodes = materialise(flat.groupBy("shard").applyInArrow(_layers_over(s, seed), ROWS), "refined")
-    return Graph(nodes, "refined", nodes.count(), 2 * s)
+    nodes = materialise(_by_shard(flat, shards).applyInArrow(_layers_over(s, seed), ROWS), "refined")
+    return Graph(nodes, "refined", nodes.count(), 2 * s, shards)
 
 
 def _layers_over(s: int, seed: int):
@@ -188,7 +238,7 @@ def query(graph: Graph, queries: DataFrame, k: int = 10, ef: int = 100) -> DataF
     out = graph.nodes.sparkSession.createDataFrame([], NEIGHBOURS)
     for qids, q in query_blocks(queries):
         shared = graph.nodes.sparkSession.sparkContext.broadcast((qids, q))
-        out = out.unionByName(graph.nodes.groupBy("shard").applyInArrow(_answer(shared, graph.kind, k, ef), NEIGHBOURS))
+        out = out.unionByName(_by_shard(graph.nodes, graph.shards).applyInArrow(_answer(shared, graph.kind, k, ef), NEIGHBOURS))
     return ranked(out, k)
 
 
@@ -208,7 +258,9 @@ def _answer(shared, kind: str, k: int, ef: int):
         # lists that were refined apart from the layers may fall into parts: some points of the base help in
         spread = np.linspace(0, len(x) - 1, min(len(x), 16)).astype(int)
         found = {"qid": [], "vec_id": [], "dist": []}
-        for qid, v in zip(qids, q):
+        # such a walk leaves out no point that it can reach, so these are measured for all queries together
+        reach, alike = Reach(links[0]) if max(ef, k) >= len(x) else None, {}
+        for number, (qid, v) in enumerate(zip(qids, q)):
             at = [summit]
             if kind == "shortcut" and jumps:
                 at = [_walk(x, links[top], v, at, 1)[0][1]]
@@ -219,8 +271,19 @@ def _answer(shared, kind: str, k: int, ef: int):
                     at = [_walk(x, links[l], v, at, 1)[0][1]]
             if kind == "refined":
                 at += spread[np.argsort(((x[spread] - v) ** 2).sum(axis=1), kind="stable")[:3]].tolist()
+            if reach:
+                alike.setdefault(frozenset(map(reach.of, at)), []).append(number)
+                continue
             for d, i in _walk(x, links[0], v, list(dict.fromkeys(at)), max(ef, k))[:k]:
                 found["qid"].append(int(qid)), found["vec_id"].append(int(ids[i])), found["dist"].append(float(np.sqrt(d)))
-        return pa.table({"qid": pa.array(found["qid"], pa.int64()), "vec_id": pa.array(found["vec_id"], pa.int64()), "dist": pa.array(found["dist"], pa.float64())})
+        parts = [pa.record_batch({"qid": pa.array(found["qid"], pa.int64()), "vec_id": pa.array(found["vec_id"], pa.int64()), "dist": pa.array(found["dist"], pa.float64())})]
+        for masks, own in alike.items():
+            near, met = Nearest(q[own], k), np.flatnonzero(np.any([reach.masks[m] for m in masks], axis=0))
+            step = max(1, CELLS // len(own))
+            for lo in range(0, len(met), step):
+                some = met[lo : lo + step]
+                near.offer_all(ids[some], x[some])
+            parts.append(near.batch(qids[own]))
+        return pa.Table.from_batches(parts)
 
     return one

@@ -1,5 +1,7 @@
 """The engine on small tables: exactness, identities between methods, limits and odd inputs."""
 
+from types import SimpleNamespace
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -279,6 +281,20 @@ def test_graphs_are_exact_when_they_walk_everywhere(data):
     assert jumps and all(r.level >= 2 for r in jumps)
 
 
+def test_walks_that_keep_every_point_are_taken_together(data, monkeypatch):
+    x, q, base, _ = data
+    rows, kept, walk = graph.build(base).nodes.toArrow(), [], graph._walk
+    monkeypatch.setattr(graph, "_walk", lambda x, links, q, entries, ef: kept.append(ef) or walk(x, links, q, entries, ef))
+    for kind in ("layered", "refined"):
+        found = graph._answer(SimpleNamespace(value=(np.arange(len(q)), q)), kind, 5, len(x))(rows).to_pandas()
+        assert [found[found.qid == i].sort_values(["dist", "vec_id"]).vec_id.tolist() for i in range(len(q))] == brute(x, q, 5)
+    # query by query only the layers are walked
+    assert kept and set(kept) == {1}
+    # links lead one way from {0, 1, 2} to {3, 4}; 5 stands alone
+    reach = graph.Reach({0: [1], 1: [2], 2: [0, 3], 3: [4], 4: [3], 5: []})
+    assert [np.flatnonzero(reach.masks[reach.of(i)]).tolist() for i in range(6)] == [[0, 1, 2, 3, 4]] * 3 + [[3, 4]] * 2 + [[5]] and len(reach.masks) == 3
+
+
 def test_work_tables_can_be_cleared(spark, monkeypatch):
     monkeypatch.setattr(work, "_written", [])
     made = work.materialise(spark.range(5).toDF("vec_id"), "gone")
