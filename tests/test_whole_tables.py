@@ -1,6 +1,7 @@
 """Registered queries look at all queries and all rows, whatever the limits of one pass."""
 
 import hashlib
+import re
 
 import duckdb
 import numpy as np
@@ -11,7 +12,7 @@ from annspark.functions import sql as functions
 from annspark.operators import exact, kmeans, metrics, scoring, theory, transform, weights
 from annspark.params import Params
 from annspark.plans import surround
-from annspark.sources import work
+from annspark.sources import vectors, work
 
 SF = "/root/testdata/sf0.001"
 BY_BLOCKS = ["collision_exact_score", "score_from_codes", "score_histogram", "cutoff_lookahead", "candidates_fixed", "collision_fidelity", "gap_by_query", "score_profile_transformed", "knn_agnostic_query", "collision_scan_knn"]
@@ -203,3 +204,21 @@ def test_declared_scores_shuffle_no_pairs(spark, fresh):
     space = transform.fit(base, Params(**(catalog.TINY | {"space": "agnostic"})))
     plain = scoring.score(scoring.exact_collisions_sql(transform.apply(base, space), transform.apply(queries, space, "qid"), Params(**catalog.TINY).collisions(base.count())))
     assert sorted(tuple(r) for r in made.collect()) == sorted(tuple(r) for r in plain.collect())
+
+
+def test_text_vectors_take_one_scan(spark):
+    texts = [(1, "b a\ta\nb\x0bc"), (2, None), (3, ""), (4, " \f\r "), (5, "İI\u00a0x Σ Éa"), (6, "one"), (6, "two one"), (7, None), (7, "z"), (8, "w" * 300)]
+    rows = spark.createDataFrame(texts, "id long, text string")
+    for d in (3, 64):
+        expected = {}
+        for key in {k for k, _ in texts}:
+            total = np.zeros(d)
+            for word in re.split(r"[ \t\n\x0b\f\r]+", " ".join(t for k, t in texts if k == key and t).replace("İ", "i").replace("Σ", "σ").lower()):
+                if word:
+                    h = int(hashlib.md5(word.encode()).hexdigest()[:7], 16)
+                    total[h % d] += 1 if h // d % 2 == 0 else -1
+            if total.any():
+                expected[key] = (total / np.sqrt((total * total).sum())).tolist()
+        assert {r.vec_id: r.embedding for r in vectors.text_vectors(rows, "id", d).collect()} == expected
+    alone = vectors.text_vectors(rows.where("id < 6"), "id")._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in alone and "Exchange" not in alone and "Generate" not in alone
