@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.arrays import matrix
+from ..functions.arrays import Nearest, matrix
 from ..operators.exact import NEIGHBOURS, query_blocks, ranked
 from ..operators.kmeans import assign, first_by_hash
 
@@ -36,8 +36,10 @@ def rerank_scan(points: DataFrame, columns: list[str], queries: DataFrame, k: in
     """(qid, rank, vec_id, dist): of all points the ``keep`` that ``rough(batch, q, i)`` finds best (ties to the smaller id) are measured exactly.
 
     ``rough`` gives a value for every row, infinite for rows that the method does not look at. Every task keeps and measures ``keep`` rows a query; those that are among the ``keep`` best of all
-    tasks count, so the answer does not depend on how the points lie in partitions and batches.
+    tasks count, so the answer does not depend on how the points lie in partitions and batches. If ``keep`` is no limit, every row that the method looks at is measured and tasks send k rows a query.
     """
+    if keep >= points.count():
+        return _measure_all(points, columns, queries, k, rough)
     out = points.sparkSession.createDataFrame([], f"{NEIGHBOURS}, value double")
     for qids, q in query_blocks(queries, 24 * min(keep, SAMPLE)):
         shared = points.sparkSession.sparkContext.broadcast((qids, q))
@@ -52,6 +54,10 @@ def rerank_scan(points: DataFrame, columns: list[str], queries: DataFrame, k: in
                 for i in range(len(q)):
                     value = rough(batch, q, i)
                     some = np.flatnonzero(np.isfinite(value))
+                    if len(held[i][0]) >= keep:
+                        some = some[value[some] <= held[i][0].max()]
+                    if len(some) > keep:
+                        some = some[value[some] <= np.partition(value[some], keep - 1)[keep - 1]]
                     both = [np.concatenate(pair) for pair in zip(held[i], (value[some], ids[some], np.sqrt(((x[some] - q[i]) ** 2).sum(axis=1))))]
                     best = np.lexsort((both[1], both[0]))[:keep] if len(both[0]) > keep else slice(None)
                     held[i] = [column[best] for column in both]
@@ -61,3 +67,25 @@ def rerank_scan(points: DataFrame, columns: list[str], queries: DataFrame, k: in
         out = out.unionByName(points.select("vec_id", "embedding", *columns).mapInArrow(run, out.schema))
     first = Window.partitionBy("qid").orderBy("value", "vec_id")
     return ranked(out.withColumn("r", F.row_number().over(first)).where(F.col("r") <= keep), k)
+
+
+def _measure_all(points: DataFrame, columns: list[str], queries: DataFrame, k: int, rough: Callable) -> DataFrame:
+    """(qid, rank, vec_id, dist): the k nearest of all rows whose ``rough`` value is finite."""
+    out = points.sparkSession.createDataFrame([], NEIGHBOURS)
+    for qids, q in query_blocks(queries):
+        shared = points.sparkSession.sparkContext.broadcast((qids, q))
+
+        def run(batches, shared=shared):
+            qids, q = shared.value
+            best = Nearest(q, k)
+            for batch in batches:
+                if batch.num_rows:
+                    ids, x = batch.column("vec_id").to_numpy(), matrix(batch.column("embedding"))
+                    for i in range(len(q)):
+                        some = np.flatnonzero(np.isfinite(rough(batch, q, i)))
+                        if len(some):
+                            best.offer(i, ids[some], x[some])
+            yield best.batch(qids)
+
+        out = out.unionByName(points.select("vec_id", "embedding", *columns).mapInArrow(run, NEIGHBOURS))
+    return ranked(out, k)

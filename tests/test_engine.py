@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from annspark.baselines import graph, ivf, lsh, two_codebooks
+from annspark.baselines import common, graph, ivf, lsh, two_codebooks
 from annspark.functions import sql as names
 from annspark.operators import activation, exact, imi, kmeans, linalg, metrics, scoring, select, theory, transform
 from annspark.params import Params, preset
@@ -281,6 +281,23 @@ def test_graphs_are_exact_when_they_walk_everywhere(data):
     assert jumps and all(r.level >= 2 for r in jumps)
 
 
+def test_rows_without_a_limit_are_measured_in_their_tasks(data):
+    x, q, base, queries = data
+    made = lsh.build(base)
+    found = lsh.query(made, queries, 5, beta=1.0)
+    assert answers(found) == brute(x, q, 5) and "value" not in found._jdf.queryExecution().executedPlan().toString()
+
+    def rough(batch, q, i):
+        ids = batch.column("vec_id").to_numpy()
+        return np.where(ids % 2 == 0, (ids // 2 % 7).astype(float), np.inf)
+
+    # with a limit: the rows of the least (value, id), of many ties, in batches that are cut one after another
+    for keep in (3, 20, 100):
+        first = sorted((i // 2 % 7, i) for i in range(0, len(x), 2))[:keep]
+        chosen = [i for _, i in first]
+        assert answers(common.rerank_scan(base, [], queries, 3, keep, rough)) == [[chosen[j] for j in np.lexsort((chosen, d))[:3]] for d in np.sqrt(((x[chosen][None] - q[:, None]) ** 2).sum(axis=2))]
+
+
 def test_walks_that_keep_every_point_are_taken_together(data, monkeypatch):
     x, q, base, _ = data
     rows, kept, walk = graph.build(base).nodes.toArrow(), [], graph._walk
