@@ -2,7 +2,7 @@
 
 From public literature, in the simplest form. Shards are hash buckets of at most about ``shard`` points, so a graph fits one task; a query walks every
 shard's graph and the k best of all shards are the answer. ``layered`` descends from its summit layer by layer. ``refined`` builds its neighbour lists by exchange
-among neighbours' neighbours as DataFrame joins and then puts layers over them; S and R are read as the length of the lists and the neighbours that
+among neighbours' neighbours, a shard's pairs in arrays, and then puts layers over them; S and R are read as the length of the lists and the neighbours that
 each point offers a round. ``shortcut`` is the layered graph whose points of the upper layers record the points of the first layer nearest to them when it is built: a query walks the
 top layer, jumps along the recorded shortcuts past the layers between, and goes on in the base. Both readings are
 assumptions of ours, as published descriptions beyond the parameters were not at hand.
@@ -15,14 +15,15 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.arrays import CELLS, Nearest, matrix, squared_distances
-from ..functions.vector import l2sq
 from ..operators.exact import NEIGHBOURS, query_blocks, ranked
 from ..sources.work import materialise
 
+#: Flags of points that walks have met, for all walks that go in step.
+WALKED = 1 << 22
 ROWS = "shard int, vec_id long, level int, neighbours array<array<long>>, shortcuts array<long>, embedding array<double>"
 
 
@@ -38,8 +39,10 @@ class Graph:
         return 8 * self.n * self.degree
 
 
-def _walk(x: np.ndarray, links: dict[int, list[int]] | list[list[int]], q: np.ndarray, entries: list[int], ef: int) -> list[tuple[float, int]]:
-    """Best-first search: the ef nearest that were met, nearest first."""
+def _walk(x: np.ndarray, links, q: np.ndarray, entries, ef: int):
+    """Best-first search: the ef nearest that were met, nearest first. For one query a list of (squared distance, point); for a matrix of queries, with a row of entries each, see ``_walks``."""
+    if q.ndim == 2:
+        return _walks(x, links, q, entries, ef)
     seen = set(entries)
     start = [(float(((x[e] - q) ** 2).sum()), e) for e in seen]
     todo = list(start)
@@ -69,6 +72,80 @@ def _walk(x: np.ndarray, links: dict[int, list[int]] | list[list[int]], q: np.nd
     return sorted((-d, e) for d, e in best)
 
 
+class Links:
+    """The links of all points of a layer, one list after another."""
+
+    def __init__(self, near: list[list[int]]):
+        self.start = np.concatenate([[0], np.cumsum([len(v) for v in near])])
+        self.to = np.fromiter((v for own in near for v in own), np.int64, self.start[-1])
+
+    def of(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place in ``at``, neighbour) of all neighbours of several points."""
+        degree = self.start[at + 1] - self.start[at]
+        who = np.repeat(np.arange(len(at)), degree)
+        return who, self.to[np.arange(len(who)) + np.repeat(self.start[at] - np.cumsum(degree) + degree, degree)]
+
+
+def _walks(x: np.ndarray, links: Links, q: np.ndarray, entries: np.ndarray, ef: int) -> tuple[np.ndarray, np.ndarray]:
+    """(queries x ef squared distances, points): the walk of every query, a step of all of them at a time; entries below 0 are none, and what was not met is infinitely far.
+
+    What a walk holds is the ef nearest it met; it steps to the nearest of these that it has not left, until it has left them all.
+    """
+    far, near = np.full((len(q), ef), np.inf), np.full((len(q), ef), -1)
+    step = max(1, WALKED // max(1, len(x)))
+    for lo in range(0, len(q), step):
+        _in_step(x, links, q[lo : lo + step], entries[lo : lo + step], far[lo : lo + step], near[lo : lo + step])
+    order = np.lexsort((near, far), axis=1)
+    return np.take_along_axis(far, order, axis=1), np.take_along_axis(near, order, axis=1)
+
+
+def _in_step(x: np.ndarray, links: Links, q: np.ndarray, entries: np.ndarray, far_out: np.ndarray, near_out: np.ndarray) -> None:
+    ef, who = far_out.shape[1], np.arange(len(q))
+    # of the walks under way: what they hold, and the distances of what they have not left
+    far, near, open_ = far_out.copy(), near_out.copy(), far_out.copy()
+    seen = np.zeros((len(q), len(x)), bool)
+    row, column = np.nonzero(entries >= 0)
+    # by query and point, each once
+    row, new = np.divmod(np.unique(row * len(x) + entries[row, column]), len(x))
+    while True:
+        seen[row, new] = True
+        gap = x[new]
+        gap -= q[who[row]]
+        gap *= gap
+        dist = np.add.reduce(gap, axis=1)
+        # fewer than ef: infinitely far ones fill up
+        some = np.flatnonzero(dist < far.max(axis=1)[row])
+        row, new, dist = row[some], new[some], dist[some]
+        if len(row):
+            got = np.unique(row)
+            place, own = np.arange(len(row)) - np.searchsorted(row, row), np.searchsorted(got, row)
+            width = int(place.max()) + 1
+            more, names = np.full((len(got), width), np.inf), np.full((len(got), width), -1)
+            more[own, place], names[own, place] = dist, new
+            both = np.concatenate([far[got], more], axis=1)
+            kept = np.argpartition(both, ef - 1, axis=1)[:, :ef]
+            far[got] = np.take_along_axis(both, kept, axis=1)
+            near[got] = np.take_along_axis(np.concatenate([near[got], names], axis=1), kept, axis=1)
+            open_[got] = np.take_along_axis(np.concatenate([open_[got], more], axis=1), kept, axis=1)
+        at = open_.argmin(axis=1)
+        every = np.arange(len(who))
+        going = np.isfinite(open_[every, at])
+        if not going.all():
+            if not going.any():
+                far_out[who], near_out[who] = far, near
+                return
+            if 4 * going.sum() <= 3 * len(who):
+                far_out[who[~going]], near_out[who[~going]] = far[~going], near[~going]
+                who, far, near, open_, seen, at = who[going], far[going], near[going], open_[going], seen[going], at[going]
+                every, going = np.arange(len(who)), np.ones(len(who), bool)
+        active = every[going]
+        open_[active, at[going]] = np.inf
+        row, new = links.of(near[active, at[going]])
+        row = active[row]
+        unmet = ~seen[row, new]
+        row, new = row[unmet], new[unmet]
+
+
 def _met(links: dict[int, list[int]], at: int) -> np.ndarray:
     """Which points can be reached from one."""
     seen, todo = np.zeros(len(links), bool), [at]
@@ -182,42 +259,68 @@ def build_shortcut(base: DataFrame, m: int = 16, ef_build: int = 40, shard: int
 
 
 def build_refined(base: DataFrame, s: int = 12, r: int = 4, rounds: int = 4, shard: int = 5_000, seed: int = 23) -> Graph:
-    """Neighbour lists of length s from random ones, improved over rounds of joins; r neighbours are offered on each side."""
+    """Neighbour lists of length s from random ones, improved over rounds, each shard in its task; r neighbours are offered on each side."""
     points, shards = _sharded(base, shard)
-    points = materialise(points, "refined-points")
-    x = points.select("shard", F.col("vec_id").alias("v"), F.col("embedding").alias("xv"))
-    sizes = points.groupBy("shard").agg(F.count(F.lit(1)).alias("n"))
-    numbered = points.select("shard", "vec_id", "embedding", (F.row_number().over(Window.partitionBy("shard").orderBy(F.xxhash64(F.lit(seed), "vec_id"))) - 1).alias("r"))
-    numbered = materialise(numbered.join(F.broadcast(sizes), "shard"), "refined-numbers")
+    # seeded orders of the points: of the first lists, and of each round's offers and of those that meet
+    seeds = [seed, *[step + more for step in range(rounds) for more in (0, 100)]]
+    hashed = points.select("*", F.array(*[F.xxhash64(F.lit(v), "vec_id") for v in seeds]).alias("hashes"))
+    nodes = materialise(_by_shard(hashed, shards).applyInArrow(_refined(s, r, rounds, seed), ROWS), "refined")
+    return Graph(nodes, "refined", nodes.count(), 2 * s, shards)
+
+
+def _first(u: np.ndarray, order: tuple[np.ndarray, ...], most: int) -> np.ndarray:
+    """Which pairs are among the ``most`` first of their u, in the order of the keys (the last counts most)."""
+    at = np.lexsort((*order, u))
+    own = u[at]
+    return np.sort(at[np.arange(len(at)) - np.searchsorted(own, own) < most])
+
+
+def _refine(x: np.ndarray, hashes: np.ndarray, s: int, r: int, rounds: int) -> list[list[int]]:
+    """One shard's lists, both ways. ``hashes`` has a row for the first lists, then two for each round."""
+    n, across = len(x), np.ascontiguousarray(x.T)
+
+    def distinct(u, v):
+        return np.divmod(np.unique(np.concatenate(u) * n + np.concatenate(v)), n)
+
+    def squared(u, v):
+        total = np.zeros(len(u))
+        for line in across:
+            gap = line[u] - line[v]
+            total += gap * gap
+        return total
+
     # the first lists: the next s points in a seeded order
-    steps = numbered.select("shard", F.col("vec_id").alias("u"), F.col("embedding").alias("xu"), "r", "n", F.explode(F.sequence(F.lit(1), F.lit(s))).alias("step")).withColumn("r", (F.col("r") + F.col("step")) % F.col("n"))
-    first = steps.join(numbered.select("shard", "r", F.col("vec_id").alias("v"), F.col("embedding").alias("xv")), ["shard", "r"]).where("u <> v")
-    best = Window.partitionBy("shard", "u").orderBy("d", "v")
-    lists_ = materialise(first.select("shard", "u", "v", l2sq(F.col("xu"), F.col("xv")).alias("d")).distinct(), "refined-lists")
+    order = np.argsort(hashes[0], kind="stable")
+    u, v = distinct([np.repeat(order, s)], [order[(np.arange(n)[:, None] + np.arange(1, s + 1)) % n].ravel()])
+    u, v = u[u != v], v[u != v]
+    d = squared(u, v)
     for step in range(rounds):
-        offered = lists_.withColumn("k", F.row_number().over(Window.partitionBy("shard", "u").orderBy(F.xxhash64(F.lit(step), "v")))).where(F.col("k") <= r).select("shard", "u", "v")
-        ways = offered.unionByName(offered.select("shard", F.col("v").alias("u"), F.col("u").alias("v"))).distinct()
+        offer, cap = hashes[1 + 2 * step], hashes[2 + 2 * step]
+        some = _first(u, (offer[v],), r)
+        a, b = distinct([u[some], v[some]], [v[some], u[some]])
+        some = _first(a, (cap[b],), 2 * r)
         # points with a neighbour in common meet; each offers a bounded number
-        capped = ways.withColumn("k", F.row_number().over(Window.partitionBy("shard", "u").orderBy(F.xxhash64(F.lit(step + 100), "v")))).where(F.col("k") <= 2 * r).select("shard", "u", "v")
-        meet = capped.withColumnRenamed("v", "a").join(capped.withColumnRenamed("v", "b"), ["shard", "u"]).where("a <> b").select("shard", F.col("a").alias("u"), F.col("b").alias("v")).distinct()
-        told = meet.join(x.select("shard", F.col("v").alias("u"), F.col("xv").alias("xu")), ["shard", "u"]).join(x, ["shard", "v"])
-        fresh = told.select("shard", "u", "v", l2sq(F.col("xu"), F.col("xv")).alias("d"))
-        lists_ = materialise(lists_.unionByName(fresh).distinct().withColumn("k", F.row_number().over(best)).where(F.col("k") <= s).select("shard", "u", "v", "d"), "refined-lists")
-    both = lists_.select("shard", "u", "v").unionByName(lists_.select("shard", F.col("v").alias("u"), F.col("u").alias("v"))).distinct()
-    held = both.groupBy("shard", "u").agg(F.sort_array(F.collect_list("v")).alias("near"))
-    flat = points.join(held.withColumnRenamed("u", "vec_id"), ["shard", "vec_id"], "left").select("shard", "vec_id", F.coalesce("near", F.array().cast("array<long>")).alias("near"), "embedding")
-    nodes = materialise(_by_shard(flat, shards).applyInArrow(_layers_over(s, seed), ROWS), "refined")
-    return Graph(nodes, "refined", nodes.count(), 2 * s, shards)
+        a, b = a[some], b[some]
+        start, degree = np.searchsorted(a, a), np.bincount(a, minlength=n)[a]
+        left = np.repeat(b, degree)
+        right = b[np.arange(len(left)) + np.repeat(start - np.cumsum(degree) + degree, degree)]
+        fresh = np.setdiff1d((left * n + right)[left != right], u * n + v)
+        u, v, d = np.concatenate([u, fresh // n]), np.concatenate([v, fresh % n]), np.concatenate([d, squared(fresh // n, fresh % n)])
+        some = _first(u, (v, d), s)
+        u, v, d = u[some], v[some], d[some]
+    u, v = distinct([u, v], [v, u])
+    return [own.tolist() for own in np.split(v, np.searchsorted(u, np.arange(1, n)))]
 
 
-def _layers_over(s: int, seed: int):
-    """Puts layers over one shard's finished base lists: each has about one point in s of the one below, linked to its s nearest there, pruned, and back."""
+def _refined(s: int, r: int, rounds: int, seed: int):
+    """Refines one shard's lists and puts layers over them: each has about one point in s of the one below, linked to its s nearest there, pruned, and back."""
 
     def one(rows):
         rows = rows.sort_by("vec_id")
         x, ids = matrix(rows.column("embedding")), rows.column("vec_id").to_numpy()
         levels = np.minimum((-np.log(np.random.default_rng(seed).uniform(1e-12, 1, len(x))) / np.log(max(2, s))).astype(int), 8)
-        links = [{i: np.searchsorted(ids, near).tolist() for i, near in enumerate(rows.column("near").to_pylist())}]
+        hashes = rows.column("hashes").combine_chunks().flatten().to_numpy().reshape(len(x), -1).T
+        links = [dict(enumerate(_refine(x, hashes, s, r, rounds)))]
         for level in range(1, int(levels.max(initial=0)) + 1):
             own = np.flatnonzero(levels >= level)
             far = squared_distances(x[own], x[own])
@@ -242,6 +345,12 @@ def query(graph: Graph, queries: DataFrame, k: int = 10, ef: int = 100) -> DataF
     return ranked(out, k)
 
 
+def _three_nearest(x: np.ndarray, q: np.ndarray) -> np.ndarray:
+    """For each query the places of the three nearest rows, or of all if they are fewer."""
+    far = np.stack([((q - row) ** 2).sum(axis=1) for row in x], axis=1)
+    return np.argsort(far, axis=1, kind="stable")[:, :3]
+
+
 def _answer(shared, kind: str, k: int, ef: int):
     """Walks one shard's graph for every query."""
 
@@ -257,26 +366,33 @@ def _answer(shared, kind: str, k: int, ef: int):
         jumps = {i: np.searchsorted(ids, near).tolist() for i, near in enumerate(rows.column("shortcuts").to_pylist()) if near}
         # lists that were refined apart from the layers may fall into parts: some points of the base help in
         spread = np.linspace(0, len(x) - 1, min(len(x), 16)).astype(int)
-        found = {"qid": [], "vec_id": [], "dist": []}
+        layers = [Links([near.get(i, []) for i in range(len(x))]) for near in links]
+        at = np.full((len(q), 1), summit)
+        if kind == "shortcut" and jumps:
+            at = _walk(x, layers[top], q, at, 1)[1]
+            helped = np.full((len(q), 3), -1)
+            for point in np.unique(at):
+                near, own = np.array(jumps[int(point)]), np.flatnonzero(at[:, 0] == point)
+                helped[own, : len(near)] = near[_three_nearest(x[near], q[own])]
+            at = np.hstack([at, helped])
+        else:
+            for l in range(top, 0, -1):
+                at = _walk(x, layers[l], q, at, 1)[1]
+        if kind == "refined":
+            helped = spread[_three_nearest(x[spread], q)]
+            at = np.hstack([at, helped])
+        parts = [pa.record_batch({"qid": pa.array([], pa.int64()), "vec_id": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})]
         # such a walk leaves out no point that it can reach, so these are measured for all queries together
         reach, alike = Reach(links[0]) if max(ef, k) >= len(x) else None, {}
-        for number, (qid, v) in enumerate(zip(qids, q)):
-            at = [summit]
-            if kind == "shortcut" and jumps:
-                at = [_walk(x, links[top], v, at, 1)[0][1]]
-                near = jumps[at[0]]
-                at += [near[i] for i in np.argsort(((x[near] - v) ** 2).sum(axis=1), kind="stable")[:3]]
-            else:
-                for l in range(top, 0, -1):
-                    at = [_walk(x, links[l], v, at, 1)[0][1]]
-            if kind == "refined":
-                at += spread[np.argsort(((x[spread] - v) ** 2).sum(axis=1), kind="stable")[:3]].tolist()
-            if reach:
-                alike.setdefault(frozenset(map(reach.of, at)), []).append(number)
-                continue
-            for d, i in _walk(x, links[0], v, list(dict.fromkeys(at)), max(ef, k))[:k]:
-                found["qid"].append(int(qid)), found["vec_id"].append(int(ids[i])), found["dist"].append(float(np.sqrt(d)))
-        parts = [pa.record_batch({"qid": pa.array(found["qid"], pa.int64()), "vec_id": pa.array(found["vec_id"], pa.int64()), "dist": pa.array(found["dist"], pa.float64())})]
+        if reach:
+            for number, own in enumerate(at.tolist()):
+                alike.setdefault(frozenset(reach.of(v) for v in own if v >= 0), []).append(number)
+        else:
+            step = max(1, WALKED // len(x))
+            for lo in range(0, len(q), step):
+                far, near = (met[:, :k] for met in _walk(x, layers[0], q[lo : lo + step], at[lo : lo + step], max(ef, k)))
+                row, column = np.nonzero(near >= 0)
+                parts.append(pa.record_batch({"qid": qids[lo + row], "vec_id": ids[near[row, column]], "dist": np.sqrt(far[row, column])}))
         for masks, own in alike.items():
             near, met = Nearest(q[own], k), np.flatnonzero(np.any([reach.masks[m] for m in masks], axis=0))
             step = max(1, CELLS // len(own))

@@ -7,6 +7,7 @@ query over that. Points of the nearest ``probe`` lists whose estimate less its e
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -17,7 +18,7 @@ from pyspark.sql import functions as F
 from ..functions.arrays import lists, matrix
 from ..operators.kmeans import assign
 from ..sources.work import materialise
-from .common import lloyd, rerank_scan, sample_of
+from .common import Tile, Tiled, lloyd, rerank_scan, sample_of, tiles_of
 
 
 @dataclass
@@ -60,27 +61,47 @@ def build(base: DataFrame, lists_: int = 64, bits: int = 3, seed: int = 23) -> B
     return BitLists(centres, rotation, bits, points, points.count())
 
 
+class Looked(Tiled):
+    """Tiles of a block of queries: for the points of the lists that they probe the estimated squared distance, less its error bound."""
+
+    def __init__(self, index: BitLists, q: np.ndarray, probe: int, confidence: float):
+        self.top, self.confidence, self.q, self.centres = (1 << index.bits) - 1, confidence, q, index.centres
+        self.turned, self.turned_centres = q @ index.rotation, index.centres @ index.rotation
+        self.far = np.stack([((index.centres - v) ** 2).sum(axis=1) for v in q])
+        self.probed = np.zeros(self.far.shape, bool)
+        np.put_along_axis(self.probed, np.argsort(self.far, axis=1, kind="stable")[:, :probe], True, axis=1)
+
+    def tiles(self, batch: pa.RecordBatch) -> Iterator[Tile]:
+        label, length, own = (batch.column(c).to_numpy() for c in ("list", "length", "own"))
+        shown = matrix(batch.column("code")) - self.top / 2
+        own_ = np.maximum(own, 1e-12)
+        cosine2 = np.minimum(1, own**2 / np.maximum((shown**2).sum(axis=1), 1e-12))
+        loose = np.maximum(0, (1 - cosine2) / np.maximum(cosine2, 1e-12))
+        width = max(1, shown.shape[1] - 1)
+
+        def values(row, who):
+            of = label[row]
+            product = ((self.turned[who] - self.turned_centres[of]) * shown[row]).sum(axis=1) / own_[row]
+            far = self.far[who, of]
+            return far + length[row] ** 2 - 2 * length[row] * (product + self.confidence * np.sqrt(far * loose[row] / width))
+
+        # the same in parts that depend on the point alone, times parts that depend on the query
+        scaled = shown * (2 * length / own_)[:, None]
+        fixed = length**2 + (scaled * self.turned_centres[label]).sum(axis=1)
+        error = 2 * self.confidence * length * np.sqrt(loose / width)
+        root = np.sqrt(self.far)
+        reach = np.sqrt((scaled**2).sum(axis=1).max(initial=0) * (self.turned**2).sum(axis=1).max(initial=0))
+        slack = 1e-13 * (shown.shape[1] + 6) * float(self.far.max(initial=0) + np.abs(fixed).max(initial=0) + reach + error.max(initial=0) * root.max(initial=0)) + 1e-300
+        for some in tiles_of(len(self.q), len(label)):
+            value = self.turned[some] @ -scaled.T
+            value += fixed
+            value += self.far[some][:, label]
+            value -= root[some][:, label] * error
+            value[~self.probed[some][:, label]] = np.inf
+            yield some, value, slack, values
+
+
 def query(index: BitLists, queries: DataFrame, k: int = 10, probe: int = 8, keep: int | None = None, confidence: float = 1.9) -> DataFrame:
     """(qid, rank, vec_id, dist)."""
-    centres, rotation, top = index.centres, index.rotation, (1 << index.bits) - 1
-    d = centres.shape[1]
-
-    def rough(batch, q, i):
-        near = np.argsort(((centres - q[i]) ** 2).sum(axis=1), kind="stable")[:probe]
-        probed = np.zeros(len(centres), bool)
-        probed[near] = True
-        label = batch.column("list").to_numpy()
-        some = np.flatnonzero(probed[label])
-        value = np.full(len(label), np.inf)
-        if len(some):
-            shown = matrix(batch.column("code").take(pa.array(some))) - top / 2
-            gap = q[i] - centres[label[some]]
-            length, own = batch.column("length").to_numpy()[some], batch.column("own").to_numpy()[some]
-            product = (shown * (gap @ rotation)).sum(axis=1) / np.maximum(own, 1e-12)
-            far = (gap**2).sum(axis=1)
-            cosine2 = np.minimum(1, own**2 / np.maximum((shown**2).sum(axis=1), 1e-12))
-            error = confidence * np.sqrt(far * np.maximum(0, (1 - cosine2) / np.maximum(cosine2, 1e-12)) / max(1, d - 1))
-            value[some] = far + length**2 - 2 * length * (product + error)
-        return value
-
-    return rerank_scan(index.points, ["list", "code", "length", "own"], queries, k, keep or 8 * k, rough)
+    held = 16 * index.centres.shape[1] + 9 * len(index.centres)
+    return rerank_scan(index.points, ["list", "code", "length", "own"], queries, k, keep or 8 * k, None, lambda q: Looked(index, q, probe, confidence), held)

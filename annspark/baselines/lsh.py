@@ -8,17 +8,19 @@ in some set, and those are measured exactly. The trees have at most ``LEAVES`` l
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.arrays import lists, matrix
-from ..operators.exact import query_blocks
+from ..functions.arrays import lists, matrix, places
+from ..operators.exact import NEIGHBOURS, query_blocks, ranked
 from ..sources.work import materialise
-from .common import rerank_scan, sample_of
+from .common import Tiled, measure_all, sample_of
 
 LEVELS = 24
 LEAVES = 256
@@ -79,41 +81,126 @@ class ProjectionHash:
         trees = sum(3 * len(t.dim) + 2 * len(t.low) * self.directions.shape[2] for t in self.trees)
         return self.n * (8 + self.directions.shape[0] * (2 + self.directions.shape[2])) + 8 * (self.directions.size + self.breaks.size + trees)
 
-    def _edges(self, q: np.ndarray, t: int) -> tuple[np.ndarray, np.ndarray]:
-        """For each projection (row) and symbol how far the symbol lies above and below the query's place."""
-        place = (q @ self.directions[t])[:, None]
-        open_ = np.full((len(place), 1), np.inf)
-        return np.hstack([-open_, self.breaks[t]]) - place, place - np.hstack([self.breaks[t], open_])
+    def places_of(self, q: np.ndarray) -> np.ndarray:
+        """Where the queries lie: queries x sets x projections; the same, to the last bit, whichever queries come together."""
+        return np.stack([[v @ d for d in self.directions] for v in q])
 
-    def leaves_within(self, q: np.ndarray, radius: float) -> list[np.ndarray]:
-        """For each set which leaves' boxes come within the radius."""
+    def _gaps(self, place: np.ndarray, t: int, c: int | np.ndarray, symbol: np.ndarray) -> np.ndarray:
+        """How far symbols of a projection lie from places on it."""
+        below, above = self._ends[0][t, c, symbol], self._ends[1][t, c, symbol]
+        return np.maximum(0, np.maximum(below - place, place - above))
+
+    @cached_property
+    def _ends(self) -> tuple[np.ndarray, np.ndarray]:
+        """Least and greatest place of every symbol: sets x projections x symbols."""
+        open_ = np.full((*self.breaks.shape[:2], 1), np.inf)
+        return np.concatenate([-open_, self.breaks], axis=2), np.concatenate([self.breaks, open_], axis=2)
+
+    def leaves_near(self, at: np.ndarray, radius: np.ndarray) -> list[np.ndarray]:
+        """For each set leaves x queries: which leaves' boxes come within the queries' radii."""
         out = []
         for t, tree in enumerate(self.trees):
-            above, below = self._edges(q, t)
-            each = np.arange(len(above))
-            low, high = np.array(tree.low), np.array(tree.high)
-            gap = np.maximum(0, np.maximum(above[each, low], below[each, high]))
-            out.append(np.sqrt((gap * gap).sum(axis=1)) <= radius)
+            low, high, total = np.array(tree.low), np.array(tree.high), 0.0
+            for c in range(at.shape[2]):
+                # a box's range of symbols is one long symbol
+                gap = np.maximum(0, np.maximum(self._ends[0][t, c, low[:, c], None] - at[:, t, c], at[:, t, c] - self._ends[1][t, c, high[:, c], None]))
+                total = total + gap * gap
+            # a box is never farther than a point in it, however the sums are rounded
+            out.append(total * (1 - 1e-12) <= radius * radius)
         return out
 
-    def lower_bounds(self, symbols: np.ndarray, q: np.ndarray) -> np.ndarray:
-        """Least possible projected distance of every point to q, the smallest over the sets."""
+    def pair_bounds(self, symbols: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """Least possible projected distance of each point (row) to the query of the same row, the smallest over the sets."""
         best, width = np.full(len(symbols), np.inf), self.directions.shape[2]
         for t in range(len(self.directions)):
-            gap = np.maximum(0, np.maximum(*self._edges(q, t)))
-            own = gap[np.arange(width), symbols[:, t * width : (t + 1) * width]]
-            np.minimum(best, (own * own).sum(axis=1), out=best)
+            gap = self._gaps(at[:, t], t, np.arange(width), symbols[:, t * width : (t + 1) * width])
+            np.minimum(best, (gap * gap).sum(axis=1), out=best)
         return np.sqrt(best)
 
+    def lower_bounds(self, symbols: np.ndarray, q: np.ndarray) -> np.ndarray:
+        """Least possible projected distance of every point to q."""
+        return self.pair_bounds(symbols, np.broadcast_to(self.places_of(q[None]), (len(symbols), *self.directions.shape[::2])))
+
     def bounds_within(self, batch: pa.RecordBatch, q: np.ndarray, radius: float) -> np.ndarray:
         """Lower bounds of the points in leaves that come within the radius; infinite for all others, whose symbols are not looked at."""
         leaf = matrix(batch.column("leaves")).astype(np.int64)
-        some = np.flatnonzero(np.any([near[leaf[:, t]] for t, near in enumerate(self.leaves_within(q, radius))], axis=0))
+        some = np.flatnonzero(np.any([near[leaf[:, t], 0] for t, near in enumerate(self.leaves_near(self.places_of(q[None]), np.array([radius])))], axis=0))
         out = np.full(batch.num_rows, np.inf)
         if len(some):
             out[some] = self.lower_bounds(matrix(batch.column("symbols").take(pa.array(some))).astype(np.int64), q)
         return out
 
+    def rough_bounds(self, symbols: np.ndarray, at: np.ndarray, kind: type) -> np.ndarray:
+        """Points x queries: squares of the lower bounds, summed in the given precision from tables of the projections' gaps. ``symbols`` has a row for each projection."""
+        best, width, rows = None, at.shape[2], symbols.shape[1]
+        buffer = np.empty((STRIPE, len(at)), kind)
+        for t in range(at.shape[1]):
+            total = np.zeros((rows, len(at)), kind)
+            for c in range(width):
+                gap = np.maximum(self._ends[0][t, c, :, None] - at[:, t, c], at[:, t, c] - self._ends[1][t, c, :, None])
+                np.maximum(0, gap, out=gap)
+                table = np.multiply(gap, gap, out=gap).astype(kind)
+                for lo in range(0, rows, STRIPE):
+                    own = symbols[t * width + c, lo : lo + STRIPE]
+                    total[lo : lo + STRIPE] += np.take(table, own, axis=0, out=buffer[: len(own)], mode="clip")
+            best = total if best is None else np.minimum(best, total, out=best)
+        return best
+
+
+#: Queries whose tables of one projection stay in a core's cache, and rows that are looked up in them at a time.
+TILE, STRIPE = 128, 1024
+#: By what share sums in single precision may be off, or more.
+SLACK = 1e-5
+
+
+class Looked(Tiled):
+    """Bounds of a batch's points to a block of queries, tile by tile; pairs where rounding could decide are settled one by one."""
+
+    def __init__(self, index: ProjectionHash, q: np.ndarray, radius: np.ndarray | None = None):
+        self.index, self.places, self.radius = index, index.places_of(q), radius
+        most = float(np.abs(self.places).max(initial=0) + np.abs(index.breaks).max(initial=0))
+        self.kind = np.float32 if 1e-10 < most < 1e15 else np.float64
+
+    def _edges(self, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Below and above what rounding may do to squares."""
+        return (edges * edges * (1 - SLACK) - 1e-30).astype(self.kind), (edges * edges * (1 + SLACK) + 1e-30).astype(self.kind)
+
+    def counts(self, batch: pa.RecordBatch, edges: np.ndarray) -> np.ndarray:
+        """Queries x (edges + 1): how many points have a bound up to the first of the ascending edges, up to the next, and so on."""
+        symbols = _by_projection(batch)
+        total, (low, high) = np.zeros((len(self.places), len(edges) + 1), np.int64), self._edges(edges)
+        for lo in range(0, len(total), TILE):
+            own = self.places[lo : lo + TILE]
+            square = self.index.rough_bounds(symbols, own, self.kind)
+            place = np.searchsorted(high, square.ravel(), "left").reshape(square.shape)
+            row, i = np.divmod(places(place != np.searchsorted(low, square.ravel(), "left").reshape(square.shape)), len(own))
+            place[row, i] = np.searchsorted(edges, self.index.pair_bounds(symbols.T[row], own[i]), "left")
+            place += np.arange(len(own)) * total.shape[1]
+            total[lo : lo + TILE] = np.bincount(place.ravel(), minlength=len(own) * total.shape[1]).reshape(len(own), -1)
+        return total
+
+    def flags(self, batch: pa.RecordBatch) -> Iterator[tuple[slice, np.ndarray]]:
+        """Points within the queries' ranges. Those in leaves that no range of a tile's queries touches are passed over."""
+        symbols, leaf = _by_projection(batch), matrix(batch.column("leaves")).astype(np.int64)
+        for lo in range(0, len(self.places), TILE):
+            some = slice(lo, min(len(self.places), lo + TILE))
+            own, radius = self.places[some], self.radius[some]
+            touched = np.any([near.any(axis=1)[leaf[:, t]] for t, near in enumerate(self.index.leaves_near(own, radius))], axis=0)
+            rows, mask = np.flatnonzero(touched), np.zeros((batch.num_rows, len(own)), bool)
+            if len(rows):
+                looked = symbols if len(rows) == batch.num_rows else np.ascontiguousarray(symbols[:, rows])
+                square, (low, high) = self.index.rough_bounds(looked, own, self.kind), self._edges(radius)
+                inside = square <= low
+                row, i = np.divmod(places(inside != (square <= high)), len(own))
+                inside[row, i] = self.index.pair_bounds(looked.T[row], own[i]) <= radius[i]
+                mask[rows] = inside
+            yield some, mask
+
+
+def _by_projection(batch: pa.RecordBatch) -> np.ndarray:
+    """The points' symbols, a row for each projection."""
+    return np.ascontiguousarray(matrix(batch.column("symbols")).T.astype(np.intp))
+
 
 def build(base: DataFrame, sets: int = 4, projections: int = 16, symbols: int = 256, seed: int = 23) -> ProjectionHash:
     x = sample_of(base)
@@ -148,38 +235,23 @@ def query(index: ProjectionHash, queries: DataFrame, k: int = 10, beta: float =
     # the widest range holds everything; each narrower one is c times less
     widest = float(np.abs(index.breaks).max()) * 4 * np.sqrt(index.directions.shape[2]) + 1e-9
     radii = np.concatenate([[0.0], widest / c ** np.arange(LEVELS - 1, -1, -1)])
-    want = min(n, beta * n + k)
-    radius: dict[bytes, float] = {}
-    for _, q in query_blocks(queries, 8 * (LEVELS + 2)):
-        reach, open_ = np.zeros(len(q), int), np.arange(len(q))
-        while len(open_):
-            # a few ranges further in each round; what lies in leaves beyond them is passed over
-            reach[open_] = np.minimum(LEVELS, reach[open_] + (LEVELS // 2 if not reach[open_].any() else 4))
-            shared = index.points.sparkSession.sparkContext.broadcast((q[open_], reach[open_]))
-
-            def count(batches, shared=shared):
-                asked, reach = shared.value
-                total = np.zeros((len(asked), len(radii) + 1), np.int64)
-                for batch in batches:
-                    if batch.num_rows:
-                        for i, v in enumerate(asked):
-                            total[i] += np.bincount(np.searchsorted(radii, bare.bounds_within(batch, v, radii[reach[i]]), "left"), minlength=total.shape[1])
-                yield pa.RecordBatch.from_arrays([pa.array(np.arange(total.size)), pa.array(total.ravel())], names=["at", "n"])
-
-            got = index.points.select("symbols", "leaves").mapInArrow(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
-            total = np.zeros(len(open_) * (len(radii) + 1), np.int64)
-            total[got.column("at").to_numpy()] = got.column("n").to_numpy()
-            upto = np.cumsum(total.reshape(len(open_), -1), axis=1)[:, : len(radii)]
-            # a count is whole up to the range that was looked at
-            enough = (upto >= want) & (np.arange(len(radii)) <= reach[open_][:, None])
-            done = enough.any(axis=1) | (reach[open_] >= LEVELS)
-            for i, e in zip(open_[done], enough[done]):
-                radius[q[i].tobytes()] = float(radii[np.argmax(e)] if e.any() else radii[-1])
-            open_ = open_[~done]
-
-    def rough(batch, q, i):
-        r = radius[q[i].tobytes()]
-        bound = bare.bounds_within(batch, q[i], r)
-        return np.where(bound <= r, bound, np.inf)
-
-    return rerank_scan(index.points, ["symbols", "leaves"], queries, k, n, rough)
+    want, out = min(n, beta * n + k), index.points.sparkSession.createDataFrame([], NEIGHBOURS)
+    for qids, q in query_blocks(queries, max(8 * (LEVELS + 2), 8 * index.directions.shape[0] * index.directions.shape[2])):
+        shared = index.points.sparkSession.sparkContext.broadcast(Looked(bare, q))
+
+        def count(batches, shared=shared):
+            held = shared.value
+            total = np.zeros((len(held.places), len(radii) + 1), np.int64)
+            for batch in batches:
+                if batch.num_rows:
+                    total += held.counts(batch, radii)
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(total.size)), pa.array(total.ravel())], names=["at", "n"])
+
+        # points within every range, from one scan
+        got = index.points.select("symbols").mapInArrow(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
+        total = np.zeros(len(q) * (len(radii) + 1), np.int64)
+        total[got.column("at").to_numpy()] = got.column("n").to_numpy()
+        enough = np.cumsum(total.reshape(len(q), -1), axis=1)[:, : len(radii)] >= want
+        radius = np.where(enough.any(axis=1), radii[enough.argmax(axis=1)], radii[-1])
+        out = out.unionByName(measure_all(index.points, ["symbols", "leaves"], qids, q, k, Looked(bare, q, radius)))
+    return ranked(out, k)

@@ -7,18 +7,19 @@ ranks them by lookup tables and re-ranks the best exactly.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.arrays import lists, matrix
+from ..functions.arrays import Rough, lists, matrix
 from ..operators.activation import by_heap, centroid_lists
 from ..operators.kmeans import assign
 from ..sources.work import materialise
-from .common import lloyd, rerank_scan, sample_of
+from .common import Tile, Tiled, lloyd, rerank_scan, sample_of, tiles_of
 
 
 @dataclass
@@ -76,35 +77,53 @@ def build(base: DataFrame, cells: int = 256, pieces: int = 8, codes: int = 16, r
     return TwoCodebooks(rotation, coarse, fine, counts, points, int(counts.sum()))
 
 
+class Looked(Tiled):
+    """Tiles of a block of queries: their squared distances to what the codes say of the points in the cells that they take."""
+
+    def __init__(self, index: TwoCodebooks, y: np.ndarray, taken: np.ndarray):
+        self.coarse, self.fine, self.side, self.y, self.taken = index.coarse, index.fine, index.counts.shape[1], y, taken
+
+    def tiles(self, batch: pa.RecordBatch) -> Iterator[Tile]:
+        cell, code = batch.column("cell").to_numpy(), matrix(batch.column("code")).astype(np.int64)
+        shown = np.hstack([self.coarse[0][cell // self.side], self.coarse[1][cell % self.side]])
+        shown += np.hstack([book[own] for book, own in zip(self.fine, code.T)])
+        rough = Rough(shown)
+
+        def values(row, who):
+            gap = shown[row]
+            gap -= self.y[who]
+            return np.multiply(gap, gap, out=gap).sum(axis=1)
+
+        for some in tiles_of(len(self.y), len(cell)):
+            value, slack = rough(self.y[some])
+            value[~self.taken[some][:, cell]] = np.inf
+            yield some, value, slack, values
+
+
+def _taken(spark: SparkSession, index: TwoCodebooks, y: np.ndarray, beta: float) -> np.ndarray:
+    """Queries x cells: which cells each rotated query takes. Every query walks its cells once, in tasks."""
+    coarse, counts, want = index.coarse, index.counts, beta * index.n
+
+    def walk(batches):
+        for batch in batches:
+            flags = np.zeros((batch.num_rows, counts.size), bool)
+            halves = _halves(matrix(batch.column("y"))) if batch.num_rows else []
+            for i in range(batch.num_rows):
+                (order1, d1), (order2, d2) = [centroid_lists(c, h[i], "l2sq") for c, h in zip(coarse, halves)]
+                got = by_heap(d1, d2, counts[np.ix_(order1, order2)], want)
+                flags[i, order1[got.pos1] * counts.shape[1] + order2[got.pos2]] = True
+            yield pa.RecordBatch.from_arrays([batch.column("i"), pa.array([np.packbits(f).tobytes() for f in flags], pa.binary())], names=["i", "bits"])
+
+    asked = spark.createDataFrame(pa.table({"i": np.arange(len(y)), "y": lists(y)})).repartition(min(len(y), spark.sparkContext.defaultParallelism))
+    got = asked.mapInArrow(walk, "i long, bits binary").toArrow().sort_by("i")
+    return np.unpackbits(np.frombuffer(b"".join(got.column("bits").to_pylist()), np.uint8).reshape(len(y), -1), axis=1)[:, : counts.size].astype(bool)
+
+
 def query(index: TwoCodebooks, queries: DataFrame, k: int = 10, beta: float = 0.1, keep: int | None = None) -> DataFrame:
     """(qid, rank, vec_id, dist)."""
-    rotation, coarse, fine, counts, n = index.rotation, index.coarse, index.fine, index.counts, index.n
-    walked: dict[bytes, np.ndarray] = {}  # a task walks the cells of a query once
-
-    def cells_of(y):
-        lists_ = [centroid_lists(c, h[0], "l2sq") for c, h in zip(coarse, _halves(y[None]))]
-        order1, order2 = lists_[0][0], lists_[1][0]
-        got = by_heap(lists_[0][1], lists_[1][1], counts[np.ix_(order1, order2)], beta * n)
-        taken = np.zeros(counts.size, bool)
-        taken[order1[got.pos1] * counts.shape[1] + order2[got.pos2]] = True
-        return taken
-
-    def rough(batch, q, i):
-        y = q[i] @ rotation
-        key = q[i].tobytes()
-        if key not in walked:
-            walked[key] = cells_of(y)
-        taken = walked[key]
-        cell = batch.column("cell").to_numpy()
-        some = np.flatnonzero(taken[cell])
-        value = np.full(len(cell), np.inf)
-        code = matrix(batch.column("code").take(pa.array(some))).astype(np.int64) if len(some) else np.zeros((0, len(fine)), np.int64)
-        # query less centroid, against the residual codebooks
-        centre = np.hstack([coarse[0][cell[some] // counts.shape[1]], coarse[1][cell[some] % counts.shape[1]]])
-        total = np.zeros(len(some))
-        for piece, book, own in zip(_pieces(y - centre, len(fine)), fine, code.T):
-            total += ((piece - book[own]) ** 2).sum(axis=1)
-        value[some] = total
-        return value
-
-    return rerank_scan(index.points, ["cell", "code"], queries, k, keep or 8 * k, rough)
+
+    def look(q):
+        y = q @ index.rotation
+        return Looked(index, y, _taken(index.points.sparkSession, index, y, beta))
+
+    return rerank_scan(index.points, ["cell", "code"], queries, k, keep or 8 * k, None, look, 8 * index.rotation.size // len(index.rotation) + index.counts.size)
