@@ -22,6 +22,8 @@ from ..functions.arrays import CELLS, Nearest, matrix, squared_distances
 from ..operators.exact import NEIGHBOURS, query_blocks, ranked
 from ..sources.work import materialise
 
+#: Up to so many points a new one's distances to all before it are taken at once: looking them up is cheaper than taking a few for each step.
+KNOWN = 10_000
 #: Flags of points that walks have met, for all walks that go in step.
 WALKED = 1 << 22
 ROWS = "shard int, vec_id long, level int, neighbours array<array<long>>, shortcuts array<long>, embedding array<double>"
@@ -72,6 +74,37 @@ def _walk(x: np.ndarray, links, q: np.ndarray, entries, ef: int):
     return sorted((-d, e) for d, e in best)
 
 
+def _walk_known(known: list[float], links: dict[int, list[int]], entries: list[int], ef: int) -> list[tuple[float, int]]:
+    """``_walk`` where the squared distances are known."""
+    seen = set(entries)
+    todo = [(known[e], e) for e in seen]
+    best = [(-d, e) for d, e in todo]
+    heapq.heapify(todo)
+    heapq.heapify(best)
+    while len(best) > ef:
+        heapq.heappop(best)
+    push, replace, pop = heapq.heappush, heapq.heapreplace, heapq.heappop
+    last = -best[0][0] if len(best) >= ef else np.inf
+    while todo:
+        d, at = pop(todo)
+        if d > last:
+            break
+        for v in links[at]:
+            if v not in seen:
+                seen.add(v)
+                dist = known[v]
+                if dist < last:
+                    push(todo, (dist, v))
+                    if len(best) < ef:
+                        push(best, (-dist, v))
+                        if len(best) == ef:
+                            last = -best[0][0]
+                    else:
+                        replace(best, (-dist, v))
+                        last = -best[0][0]
+    return sorted((-d, e) for d, e in best)
+
+
 class Links:
     """The links of all points of a layer, one list after another."""
 
@@ -103,7 +136,7 @@ def _in_step(x: np.ndarray, links: Links, q: np.ndarray, entries: np.ndarray, fa
     ef, who = far_out.shape[1], np.arange(len(q))
     # of the walks under way: what they hold, and the distances of what they have not left
     far, near, open_ = far_out.copy(), near_out.copy(), far_out.copy()
-    seen = np.zeros((len(q), len(x)), bool)
+    seen, worst = np.zeros((len(q), len(x)), bool), np.full(len(q), np.inf)
     row, column = np.nonzero(entries >= 0)
     # by query and point, each once
     row, new = np.divmod(np.unique(row * len(x) + entries[row, column]), len(x))
@@ -114,7 +147,7 @@ def _in_step(x: np.ndarray, links: Links, q: np.ndarray, entries: np.ndarray, fa
         gap *= gap
         dist = np.add.reduce(gap, axis=1)
         # fewer than ef: infinitely far ones fill up
-        some = np.flatnonzero(dist < far.max(axis=1)[row])
+        some = np.flatnonzero(dist < worst[row])
         row, new, dist = row[some], new[some], dist[some]
         if len(row):
             got = np.unique(row)
@@ -122,11 +155,22 @@ def _in_step(x: np.ndarray, links: Links, q: np.ndarray, entries: np.ndarray, fa
             width = int(place.max()) + 1
             more, names = np.full((len(got), width), np.inf), np.full((len(got), width), -1)
             more[own, place], names[own, place] = dist, new
-            both = np.concatenate([far[got], more], axis=1)
-            kept = np.argpartition(both, ef - 1, axis=1)[:, :ef]
-            far[got] = np.take_along_axis(both, kept, axis=1)
-            near[got] = np.take_along_axis(np.concatenate([near[got], names], axis=1), kept, axis=1)
-            open_[got] = np.take_along_axis(np.concatenate([open_[got], more], axis=1), kept, axis=1)
+            if width > 1:
+                order = np.argsort(more, axis=1)[:, :ef]
+                more, names = np.take_along_axis(more, order, axis=1), np.take_along_axis(names, order, axis=1)
+                width = more.shape[1]
+            # the nearest new one takes the place of the farthest held, the next that of the next, while it is nearer
+            held = far[got]
+            last = held.argmax(axis=1)[:, None] if width == 1 else np.argpartition(held, ef - width, axis=1)[:, ef - width :]
+            value = np.take_along_axis(held, last, axis=1)
+            if width > 1:
+                order = np.argsort(-value, axis=1)
+                value, last = np.take_along_axis(value, order, axis=1), np.take_along_axis(last, order, axis=1)
+            i, j = np.nonzero(more < value)
+            to = got[i], last[i, j]
+            far[to] = open_[to] = more[i, j]
+            near[to] = names[i, j]
+            worst[got] = far[got].max(axis=1)
         at = open_.argmin(axis=1)
         every = np.arange(len(who))
         going = np.isfinite(open_[every, at])
@@ -136,7 +180,7 @@ def _in_step(x: np.ndarray, links: Links, q: np.ndarray, entries: np.ndarray, fa
                 return
             if 4 * going.sum() <= 3 * len(who):
                 far_out[who[~going]], near_out[who[~going]] = far[~going], near[~going]
-                who, far, near, open_, seen, at = who[going], far[going], near[going], open_[going], seen[going], at[going]
+                who, far, near, open_, seen, worst, at = who[going], far[going], near[going], open_[going], seen[going], worst[going], at[going]
                 every, going = np.arange(len(who)), np.ones(len(who), bool)
         active = every[going]
         open_[active, at[going]] = np.inf
@@ -202,12 +246,17 @@ def layered(x: np.ndarray, m: int, ef: int, rng: np.random.Generator) -> tuple[l
     levels = np.minimum((-np.log(rng.uniform(1e-12, 1, len(x))) / np.log(m)).astype(int), 8).tolist()
     links: list[dict[int, list[int]]] = [{} for _ in range(max(levels, default=0) + 1)]
     top = entry = -1
+    room = np.empty(x[:KNOWN].shape)
     for i in range(len(x)):
         at = [entry] if entry >= 0 else []
+        if i < KNOWN:
+            gap = np.subtract(x[:i], x[i], out=room[:i])
+            gap *= gap
+            known = np.add.reduce(gap, axis=1).tolist()
         for level in range(top, levels[i], -1):
-            at = [_walk(x, links[level], x[i], at, 1)[0][1]]
+            at = [(_walk_known(known, links[level], at, 1) if i < KNOWN else _walk(x, links[level], x[i], at, 1))[0][1]]
         for level in range(min(top, levels[i]), -1, -1):
-            near = _walk(x, links[level], x[i], at, ef)
+            near = _walk_known(known, links[level], at, ef) if i < KNOWN else _walk(x, links[level], x[i], at, ef)
             own = links[level][i] = _pruned(x, i, near, m)
             for v in own:
                 back = links[level][v]

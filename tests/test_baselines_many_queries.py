@@ -125,6 +125,20 @@ def test_walks_in_step(monkeypatch, ef):
     assert all(sorted(row) == [-1, -1, -1, 0, 1] for row in met.tolist()) and np.isinf(far[:, 2:]).all()
 
 
+def test_layers_from_known_distances(monkeypatch):
+    """The same graph, copies among the points included; no walk of the building takes its distances step by step."""
+    x = np.round(np.random.default_rng(4).standard_normal((300, 5)), 1)
+    x[80:110] = x[79]
+    walk, walked = graph._walk, []
+    monkeypatch.setattr(graph, "_walk", lambda *given: walked.append(1) or walk(*given))
+    made = graph.layered(x, 4, 12, np.random.default_rng(1))
+    assert not walked
+    monkeypatch.setattr(graph, "KNOWN", 0)
+    assert graph.layered(x, 4, 12, np.random.default_rng(1)) == made and walked
+    monkeypatch.setattr(graph, "KNOWN", 150)
+    assert graph.layered(x, 4, 12, np.random.default_rng(1)) == made
+
+
 @pytest.mark.parametrize("n", [1, 2, 9, 70])
 def test_refined_lists_against_sets(n):
     rng = np.random.default_rng(n)
